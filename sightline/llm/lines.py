@@ -5,7 +5,7 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from .common import SPACES, UPPER
+from .common import SPACES, UPPER, saved
 
 
 def lines_of(text: Column) -> Column:
@@ -14,47 +14,43 @@ def lines_of(text: Column) -> Column:
 
 
 def key_of(line: Column) -> Column:
-    """The line without white space at both ends, A-Z lower-cased."""
-    return F.translate(F.btrim(line, F.lit(SPACES)), UPPER, UPPER.lower())
-
-
-def _digest(line: Column, least: int) -> Column:
-    """128 bits for a line whose key counts, else null."""
-    key = key_of(line)
-    return F.when(F.length(key) >= least, F.struct(F.xxhash64(key).alias("x"), F.xxhash64(F.lit(17), key).alias("y")))
+    """The line without white space at both ends, A-Z lower-cased; lines of ASCII take the faster function with the same result."""
+    bare = F.btrim(line, F.lit(SPACES))
+    return F.when(F.length(bare) == F.octet_length(bare), F.lower(bare)).otherwise(F.translate(bare, UPPER, UPPER.lower()))
 
 
 def dedup_lines(docs: DataFrame, least_chars: int = 20, least_docs: int = 3) -> DataFrame:
     """Adds n_lines, n_dropped and kept_text to the rows of ``docs`` (doc_id, text).
 
     A line of at least ``least_chars`` code points (by its key) that at least ``least_docs`` distinct documents
-    hold is dropped everywhere but in the largest doc_id that holds it. Hashes are counted with map-side
-    combine per (hash, document), so a line that a third of all documents hold is no hot task; the way back to
-    the documents is a join that adaptive execution can split. Only hashes travel until the last join.
-    Rows with equal doc_id count as one document; a null doc_id neither counts nor loses lines. Null and empty texts have one empty line. Other columns stay, except that
-    columns named like the results are replaced.
+    hold is dropped everywhere but in the largest doc_id that holds it. Keys are hashed once, to 128 bits; the hashes, not the lines, are
+    counted, with map-side combine per (hash, document), so a line that a third of all documents hold is no hot task. The way back
+    is a join of written tables, which adaptive execution can split, and gives each document the places of its lost lines.
+    Rows with equal doc_id count as one document; a null doc_id neither counts nor loses lines. Null and empty texts have one empty
+    line, repeated rows stay. Other columns stay, except that columns named like the results are replaced.
     """
-    base = docs.drop("n_lines", "n_dropped", "kept_text", "drop_keys")
-    marked = (
-        docs.where("doc_id is not null")
-        .select("doc_id", F.explode(F.array_distinct(F.filter(F.transform(lines_of(F.col("text")), lambda l: _digest(l, least_chars)), lambda d: d.isNotNull()))).alias("d"))
-        .select("doc_id", "d.x", "d.y")
+    version = F.xxhash64(F.coalesce("text", F.lit("")))
+    base = docs.drop("n_lines", "n_dropped", "kept_text", "_places", "_version").withColumn("_version", version)
+    long = F.when(F.length("line") >= least_chars, key_of(F.col("line")))
+    keyed = saved(
+        docs.where("doc_id is not null").select("doc_id", version.alias("_version"), F.posexplode(lines_of(F.col("text"))).alias("place", "line"))
+        .select("doc_id", "_version", "place", long.alias("key")).where(F.length("key") >= least_chars)
+        .select("doc_id", "_version", "place", F.xxhash64("key").alias("x"), F.xxhash64(F.lit(17), "key").alias("y")),
+        "line-hashes",
     )
-    pairs = marked.groupBy("x", "y", "doc_id").agg(F.count(F.lit(1)).alias("seen"))
-    common = pairs.groupBy("x", "y").agg(F.count(F.lit(1)).alias("n"), F.max("doc_id").alias("keeper")).where(F.col("n") >= least_docs).drop("n")
-    drops = (
-        marked.join(common, ["x", "y"]).where("doc_id <> keeper")
-        .groupBy("doc_id").agg(F.collect_set(F.struct("x", "y")).alias("drop_keys"))
+    common = saved(
+        keyed.groupBy("x", "y", "doc_id").agg(F.count(F.lit(1)).alias("seen"))
+        .groupBy("x", "y").agg(F.count(F.lit(1)).alias("n"), F.max("doc_id").alias("keeper")).where(F.col("n") >= least_docs).drop("n"),
+        "common-lines",
     )
-    tagged = F.transform(
-        lines_of(F.col("text")),
-        lambda l: F.struct(l.alias("l"), F.coalesce(F.array_contains("drop_keys", _digest(l, least_chars)), F.lit(False)).alias("gone")),
+    drops = (
+        keyed.join(common, ["x", "y"]).where("doc_id <> keeper")
+        .groupBy("doc_id", "_version").agg(F.collect_set("place").alias("_places"))
     )
-    joined = base.join(drops, "doc_id", "left")
-    kept = F.when(
-        F.col("drop_keys").isNull(), F.coalesce("text", F.lit(""))
-    ).otherwise(F.array_join(F.transform(F.filter(tagged, lambda s: ~s["gone"]), lambda s: s["l"]), "\n"))
-    gone = F.when(F.col("drop_keys").isNull(), F.lit(0)).otherwise(F.size(F.filter(tagged, lambda s: s["gone"])))
-    return joined.withColumns(
-        {"n_lines": F.size(lines_of(F.col("text"))).cast("long"), "n_dropped": gone.cast("long"), "kept_text": kept}
-    ).drop("drop_keys")
+    kept = F.filter(lines_of(F.col("text")), lambda l, i: ~F.array_contains("_places", i))
+    whole = F.col("_places").isNull()
+    return base.join(drops, ["doc_id", "_version"], "left").withColumns({
+        "n_lines": F.size(lines_of(F.col("text"))).cast("long"),
+        "n_dropped": F.when(whole, F.lit(0)).otherwise(F.size("_places")).cast("long"),
+        "kept_text": F.when(whole, F.coalesce("text", F.lit(""))).otherwise(F.array_join(kept, "\n")),
+    }).drop("_places", "_version")
