@@ -5,6 +5,7 @@ from __future__ import annotations
 import hashlib
 import heapq
 import json
+import re
 from collections.abc import Iterator
 
 import numpy as np
@@ -15,9 +16,12 @@ from pyspark.sql import DataFrame
 #: The pre-tokenizer's white space (Unicode White_Space) and its pattern.
 _SPACE = r"\t-\r\x20\x85\xa0\u1680\u2000-\u200a\u2028\u2029\u202f\u205f\u3000"
 PIECES = rf"'s|'t|'re|'ve|'m|'ll|'d| ?\p{{L}}+| ?\p{{N}}+| ?[^{_SPACE}\p{{L}}\p{{N}}]+|[{_SPACE}]+(?![^{_SPACE}])|[{_SPACE}]+"
+#: The same pattern for texts of ASCII only.
+ASCII_PIECES = r"'s|'t|'re|'ve|'m|'ll|'d| ?[A-Za-z]+| ?[0-9]+| ?[^\t-\r\x20A-Za-z0-9]+|[\t-\r\x20]+(?![^\t-\r\x20])|[\t-\r\x20]+"
 _CACHE_ROWS = 150_000
 _CACHE_PIECE = 64
 _TOKENIZERS: dict[str, "ByteBpe"] = {}
+_PATTERNS: dict[str, regex.Pattern] = {}
 
 
 def _byte_letters() -> dict[str, int]:
@@ -27,6 +31,26 @@ def _byte_letters() -> dict[str, int]:
     return {chr(b): b for b in plain} | {chr(256 + i): b for i, b in enumerate(rest)}
 
 
+def piece_pattern(path: str) -> regex.Pattern:
+    """The pre-tokenizer's pattern with the letters and numbers that the library knows.
+
+    Its Unicode tables may be older than those of ``regex``; characters that they class otherwise are found by probing its
+    pre-tokenizer with each letter and number once.
+    """
+    if path not in _PATTERNS:
+        from tokenizers import Tokenizer
+
+        cut = Tokenizer.from_file(path).pre_tokenizer.pre_tokenize_str
+        text = "".join(map(chr, [*range(128, 0xD800), *range(0xE000, 0x110000)]))
+        pattern = PIECES
+        for kind, lead in (("L", "a"), ("N", "1")):
+            newer = [c for c in regex.findall(rf"\p{{{kind}}}", text) if len(cut(lead + c)) > 1]
+            if newer:
+                pattern = pattern.replace(rf"\p{{{kind}}}", rf"[\p{{{kind}}}--[{''.join(newer)}]]")
+        _PATTERNS[path] = regex.compile("(?V1)" + pattern)
+    return _PATTERNS[path]
+
+
 class ByteBpe:
     """Encoder and decoder of a byte-level BPE file of the ``tokenizers`` library.
 
@@ -52,7 +76,8 @@ class ByteBpe:
         self.added = {s: np.uint32(i).tobytes() for s, i in added.items()}
         self.strings |= {i: s.encode() for s, i in added.items()}
         self.split = regex.compile("(" + "|".join(regex.escape(s) for s in sorted(added, key=len, reverse=True)) + ")") if added else None
-        self.pieces = regex.compile(PIECES)
+        self.pieces = piece_pattern(path)
+        self.ascii = re.compile(ASCII_PIECES, re.ASCII)
         self.cache: dict[str, bytes] = {}
 
     def merge(self, data: bytes) -> list[int]:
@@ -104,7 +129,7 @@ class ByteBpe:
                 out.append(self.added[part])
                 continue
             have = self.cache
-            for p in self.pieces.findall(part):
+            for p in (self.ascii if part.isascii() else self.pieces).findall(part):
                 out.append(have.get(p) or self.piece(p))
         return b"".join(out)
 

@@ -19,28 +19,51 @@ from .common import connected_components, forget, saved
 from .hashing import mix, shingle_sets
 
 #: Buckets of the count sketch that orders tokens from rare to frequent: a fixed size, whatever the corpus.
-SKETCH_BITS = 18
+SKETCH_BITS = 20
+_CHUNK_BITS = 10
 #: Bits of the filter of document ids that a verification needs: a fixed size too; false hits only cost time.
 FILTER_BITS = 22
 ORDERS = 2
 
 
 def _sketch(docs: DataFrame, words: int) -> np.ndarray:
-    """How often the shingles of each bucket are held, over all documents; frequent shingles make their buckets stand out."""
+    """How often the shingles of each bucket are held, over all documents; frequent shingles make their buckets stand out.
 
-    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    Every task counts in one array and hands it on in chunks; tasks of the second stage add up chunks as they stream by.
+    """
+    chunk = 1 << _CHUNK_BITS
+
+    def count(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         seen = np.zeros(1 << SKETCH_BITS, np.int64)
         for batch in batches:
+            some: list[np.ndarray] = []
             for s in shingle_sets(batch.column(0), words):
-                if len(s):
-                    np.add.at(seen, (s >> np.uint64(64 - SKETCH_BITS)).astype(np.int64), 1)
-        at = np.flatnonzero(seen)
-        yield pa.RecordBatch.from_arrays([pa.array(at.astype(np.int32)), pa.array(seen[at])], ["bucket", "n"])
-
-    rows = docs.select("text").mapInArrow(run, "bucket int, n bigint").groupBy("bucket").agg(F.sum("n").alias("n")).toPandas()
-    out = np.zeros(1 << SKETCH_BITS, np.int64)
-    out[rows["bucket"].to_numpy()] = rows["n"].to_numpy()
-    return out
+                some.append((s >> np.uint64(64 - SKETCH_BITS)).astype(np.int32))
+                if len(some) == 1000:
+                    seen += np.bincount(np.concatenate(some), minlength=len(seen))
+                    some = []
+            if some:
+                seen += np.bincount(np.concatenate(some), minlength=len(seen))
+        yield from packed({i: row for i, row in enumerate(seen.reshape(-1, chunk)) if row.any()})
+
+    def packed(sums: dict[int, np.ndarray]) -> Iterator[pa.RecordBatch]:
+        kept = list(sums)
+        yield pa.RecordBatch.from_arrays([pa.array(kept, pa.int32()), pa.array([sums[i].tobytes() for i in kept], pa.binary())], ["chunk", "counts"])
+
+    def add(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        sums: dict[int, np.ndarray] = {}
+        for batch in batches:
+            for i, raw in zip(batch.column(0).to_pylist(), batch.column(1).to_pylist()):
+                row = np.frombuffer(raw, np.int64)
+                sums[i] = sums[i] + row if i in sums else row
+        yield from packed(sums)
+
+    kind = "chunk int, counts binary"
+    rows = docs.select("text").mapInArrow(count, kind).repartition("chunk").mapInArrow(add, kind).collect()  # 8 bytes a bucket in all
+    out = np.zeros((1 << SKETCH_BITS) // chunk * chunk, np.int64).reshape(-1, chunk)
+    for r in rows:
+        out[r.chunk] += np.frombuffer(bytes(r.counts), np.int64)
+    return out.reshape(-1)
 
 
 def _ranks(counts: np.ndarray) -> np.ndarray:
@@ -78,14 +101,19 @@ def _profiles(docs: DataFrame, words: int, percent: int, ranks) -> DataFrame:
 
 
 def _passing(pairs: DataFrame, profiles: DataFrame, percent: int) -> DataFrame:
-    """Pairs (a, b) that share a prefix token under the further orders as well and whose sizes allow the threshold."""
-    further = [f"prefix{k}" for k in range(1, ORDERS)]
-    side = lambda s: profiles.select(F.col("doc_id").alias(s), F.col("n").alias(f"n_{s}"), *(F.col(p).alias(f"{p}_{s}") for p in further))
-    out = pairs.join(side("a"), "a").join(side("b"), "b").where(
-        (100 * F.least("n_a", "n_b") >= percent * F.greatest("n_a", "n_b"))
-    )
-    for p in further:
-        out = out.where(F.arrays_overlap(f"{p}_a", f"{p}_b"))
+    """Pairs (a, b) that every order lets through.
+
+    Up to the smaller of the two last prefix tokens, both prefixes hold all tokens of their sets; so the overlap is at
+    most the number of common prefix tokens plus what the set with the smaller last token has behind its prefix. This has to reach the overlap
+    that the threshold asks of the two sizes.
+    """
+    side = lambda s: profiles.select(F.col("doc_id").alias(s), F.col("n").alias(f"n_{s}"), *(F.col(f"prefix{k}").alias(f"p{k}_{s}") for k in range(ORDERS)))
+    out = pairs.join(side("a"), "a").join(side("b"), "b").where(100 * F.least("n_a", "n_b") >= percent * F.greatest("n_a", "n_b"))
+    asked = F.expr(f"({percent}L * (n_a + n_b) + {99 + percent}) div {100 + percent}")
+    for k in range(ORDERS):
+        behind = F.when(F.array_max(f"p{k}_a") <= F.array_max(f"p{k}_b"), F.col("n_a") - F.size(f"p{k}_a")).otherwise(F.col("n_b") - F.size(f"p{k}_b"))
+        common = F.size(F.array_intersect(f"p{k}_a", f"p{k}_b"))
+        out = out.where((common > 0) & (common + behind >= asked))
     return out.select("a", "b")
 
 
@@ -128,7 +156,7 @@ def verify_pairs(pairs: DataFrame, docs: DataFrame, words: int, percent: int) ->
     return both.mapInArrow(run, f"a {kind}, b {kind}")
 
 
-def jaccard_components(docs: DataFrame, words: int = 5, percent: int = 80, star_rounds: int = 3) -> DataFrame:
+def jaccard_components(docs: DataFrame, words: int = 5, percent: int = 80, star_rounds: int = 2) -> DataFrame:
     """One row per distinct non-null doc_id: doc_id, n_shingles (set size), component_id (smallest doc_id reachable by links).
 
     Two documents link when the Jaccard index of their sets of ``words``-word shingles is at least ``percent`` per cent; a text with
@@ -144,11 +172,10 @@ def jaccard_components(docs: DataFrame, words: int = 5, percent: int = 80, star_
     base = docs.where("doc_id is not null").select("doc_id", "text")
     ranks = spark.sparkContext.broadcast(_ranks(_sketch(base, words)))
     every = saved(_profiles(base, words, percent, ranks), "profiles")
-    if (repeated := every.groupBy("doc_id").count().where("count > 1").limit(1).count()):
+    if every.groupBy("doc_id").count().where("count > 1").limit(1).count():
         base = saved(base.groupBy("doc_id").agg(F.max("text").alias("text")), "texts")
         forget(spark, every)
         every = saved(_profiles(base, words, percent, ranks), "profiles")
-    del repeated
     classes = every.where("n > 0").groupBy("sign_a", "sign_b", "n").agg(F.min("doc_id").alias("rep"))
     member = saved(every.select("doc_id", "n", "sign_a", "sign_b").join(classes, ["sign_a", "sign_b", "n"], "left").select("doc_id", "n", F.coalesce("rep", "doc_id").alias("rep")), "members")
     reps = saved(every.join(member.where("doc_id = rep and n > 1").select("doc_id"), "doc_id", "left_semi"), "representatives")
@@ -174,15 +201,13 @@ def jaccard_components(docs: DataFrame, words: int = 5, percent: int = 80, star_
         left = buckets.join(comp, "doc_id", "left").select("doc_id", "n", "token", F.coalesce("comp", "doc_id").alias("comp"))
         apart = left.groupBy("token").agg(F.min("comp").alias("low"), F.max("comp").alias("top")).where("low <> top").select("token")
         left = saved(left.join(apart, "token", "left_semi"), "apart")
-        if turn + 1 < star_rounds and left.groupBy("token").count().agg(F.max("count")).first()[0] in (None, 1, 2):
-            break
     one = left.select("token", F.col("doc_id").alias("a"), F.col("comp").alias("comp_a"), F.col("n").alias("n_a"))
     two = left.select("token", F.col("doc_id").alias("b"), F.col("comp").alias("comp_b"), F.col("n").alias("n_b"))
     rest = one.join(two, "token").where((F.col("a") < F.col("b")) & (F.col("comp_a") != F.col("comp_b")) & (100 * F.least("n_a", "n_b") >= percent * F.greatest("n_a", "n_b"))).select("a", "b").distinct()
     tried = saved(_passing(saved(rest, "rest"), reps, percent), "candidates")
     links.append(saved(verify_pairs(tried, base, words, percent), "verified"))
     comp = _components(links)
-    forget(spark, buckets, reps)
+    forget(spark, buckets, reps, left, tried, *links)
     return member.join(comp.withColumnRenamed("doc_id", "rep"), "rep", "left").select("doc_id", F.col("n").cast("long").alias("n_shingles"), F.coalesce("comp", "rep").alias("component_id"))
 
 

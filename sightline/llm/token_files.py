@@ -2,29 +2,31 @@
 
 from __future__ import annotations
 
+import re
 import uuid
 import zlib
 from collections.abc import Iterator
 
 import numpy as np
 import pyarrow as pa
-import regex
+from pyspark import TaskContext
 from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
-from .bpe import PIECES
+from .bpe import ASCII_PIECES, piece_pattern
 from .common import shared_dir
 
-_CACHE_ROWS = 150_000
+_CACHE_ROWS = 200_000
 _CACHE_PIECE = 64
+_STEP = 1000
 _READY: dict[str, "LibraryEncoder"] = {}
 
 
 class LibraryEncoder:
     """Ids as the ``tokenizers`` library gives them, with the ids of recent pieces kept.
 
-    The library's own pre-tokenizer pattern cuts a text into pieces that merge alone; each new piece goes through
-    the library once, in batches. Texts that hold an added token go through the library whole.
+    The library's own pre-tokenizer pattern cuts a text into pieces that merge alone; each piece that two generations of
+    recent ones lack goes through the library, all of a step at once. Texts that hold an added token go through it whole.
     """
 
     def __init__(self, path: str):
@@ -34,35 +36,31 @@ class LibraryEncoder:
         self.library.no_truncation()
         self.library.no_padding()
         self.added = [t.content for t in self.library.get_added_tokens_decoder().values()]
-        self.pieces = regex.compile(PIECES)
-        self.cache: dict[str, bytes] = {}
+        self.pieces = piece_pattern(path)
+        self.ascii = re.compile(ASCII_PIECES, re.ASCII)
+        self.young: dict[str, bytes] = {}
+        self.old: dict[str, bytes] = {}
 
     def encode(self, texts: list[str]) -> list[bytes]:
-        cut: list[list[str] | None] = []
-        fresh: dict[str, None] = {}
-        if len(self.cache) > _CACHE_ROWS:
-            self.cache.clear()
-        have = self.cache
-        for t in texts:
-            if any(a in t for a in self.added):
-                cut.append(None)
-                continue
-            found = self.pieces.findall(t)
-            cut.append(found)
-            fresh.update((p, None) for p in found if p not in have)
-        names = list(fresh)
-        made = self.library.encode_batch(names, add_special_tokens=False)
-        new = {p: np.array(e.ids, np.uint32).tobytes() for p, e in zip(names, made)}
-        look = new if not have else None
-        out = []
-        for t, found in zip(texts, cut):
-            if found is None:
-                out.append(np.array(self.library.encode(t, add_special_tokens=False).ids, np.uint32).tobytes())
-            elif look is not None:
-                out.append(b"".join([look[p] for p in found]))
-            else:
-                out.append(b"".join([have[p] if p in have else new[p] for p in found]))
-        have.update((p, i) for p, i in new.items() if len(p) <= _CACHE_PIECE)
+        cut = [None if any(a in t for a in self.added) else (self.ascii if t.isascii() else self.pieces).findall(t) for t in texts]
+        if len(self.young) > _CACHE_ROWS:
+            self.old, self.young = self.young, {}
+        young, old = self.young, self.old
+        need = set().union(*(c for c in cut if c)).difference(young)
+        young.update((p, old[p]) for p in need.intersection(old))
+        names = [p for p in need if p not in young]
+        if names:
+            made = self.library.encode(names, is_pretokenized=True, add_special_tokens=False)
+            ids = np.array(made.ids, np.uint32).tobytes()
+            ends = np.searchsorted(np.array(made.word_ids), np.arange(len(names) + 1)).tolist()
+            young.update((p, ids[4 * a : 4 * b]) for p, a, b in zip(names, ends, ends[1:]))
+        out = [
+            np.array(self.library.encode(t, add_special_tokens=False).ids, np.uint32).tobytes() if found is None else b"".join(map(young.__getitem__, found))
+            for t, found in zip(texts, cut)
+        ]
+        for p in names:
+            if len(p) > _CACHE_PIECE:
+                del young[p]
         return out
 
 
@@ -75,12 +73,11 @@ def library(path: str) -> LibraryEncoder:
 def write_token_files(docs: DataFrame, tokenizer_path: str, target: str, end_id: int = 0, shards: int | None = None, row_group_bytes: int = 16 << 20, page_bytes: int = 256 << 10) -> None:
     """Encode ``docs`` (doc_id, text) and write Parquet shards in ascending doc_id order below ``target``.
 
-    Columns of a shard: doc_id, n_tokens, ids_crc32 (of the little-endian ids), tokens (list of int). ``end_id``
-    ends every document. Row groups and pages have the given sizes, ids are dictionary encoded and delta coded
-    where the dictionary doesn't pay (format version 2), and the writer leaves column and offset indexes, so that a reader of
-    metadata or of a range of documents skips the token pages. Documents are dealt by ranges of doc_id; null
-    ids come first, equal ids are ordered by their checksum. Null texts are empty. Spark's commit protocol makes lost
-    tasks harmless. An empty table gives an empty data set.
+    Columns: doc_id, shard, inside (ids before the document in its shard), n_tokens, ids_crc32 (of the little-endian ids), tokens (list of
+    int). ``end_id`` ends every document. Row groups and pages have the given sizes, ids are dictionary encoded, or delta coded where a
+    dictionary doesn't pay (format version 2), and the writer leaves column and offset indexes, so that a reader of metadata or of a range of
+    documents skips the token pages. Documents are dealt by ranges of doc_id, null ids first, equal ids by a hash of the text. Null texts are
+    empty. Spark's commit protocol makes lost tasks harmless. An empty table gives an empty data set.
     """
     spark = docs.sparkSession
     count = shards or int(spark.conf.get("spark.sql.shuffle.partitions"))
@@ -88,22 +85,26 @@ def write_token_files(docs: DataFrame, tokenizer_path: str, target: str, end_id:
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         own = library(tokenizer_path)
         end = np.uint32(end_id).tobytes()
+        shard, before = TaskContext.get().partitionId(), 0
         for batch in batches:
-            for at in range(0, batch.num_rows, 256):
-                part = batch.slice(at, 256)
+            for at in range(0, batch.num_rows, _STEP):
+                part = batch.slice(at, _STEP)
                 ids = [i + end for i in own.encode([t or "" for t in part.column(1).to_pylist()])]
-                sizes = np.array([len(i) // 4 for i in ids], np.int32)
+                sizes = np.array([len(i) // 4 for i in ids], np.int64)
+                ends = np.cumsum(sizes)
                 flat = pa.array(np.frombuffer(b"".join(ids), "<i4"), pa.int32())
-                lists = pa.ListArray.from_arrays(pa.array(np.concatenate([[0], np.cumsum(sizes)]).astype(np.int32)), flat)
+                lists = pa.ListArray.from_arrays(pa.array(np.concatenate([[0], ends]).astype(np.int32)), flat)
                 yield pa.RecordBatch.from_arrays(
-                    [part.column(0), pa.array(sizes.astype(np.int64)), pa.array([zlib.crc32(i) for i in ids], pa.int64()), lists],
-                    ["doc_id", "n_tokens", "ids_crc32", "tokens"],
+                    [part.column(0), pa.array(np.full(len(ids), shard, np.int32)), pa.array(before + ends - sizes), pa.array(sizes), pa.array([zlib.crc32(i) for i in ids], pa.int64()), lists],
+                    ["doc_id", "shard", "inside", "n_tokens", "ids_crc32", "tokens"],
                 )
+                before += int(ends[-1])
 
     kind = docs.schema["doc_id"].dataType.simpleString()
-    encoded = docs.select("doc_id", "text").mapInArrow(run, f"doc_id {kind}, n_tokens bigint, ids_crc32 bigint, tokens array<int>")
+    order = F.col("doc_id").asc_nulls_first()
+    dealt = docs.select("doc_id", "text").repartitionByRange(count, order).sortWithinPartitions(order, F.xxhash64("text"))
     (
-        encoded.repartitionByRange(count, F.col("doc_id").asc_nulls_first()).sortWithinPartitions(F.col("doc_id").asc_nulls_first(), "ids_crc32", "n_tokens")
+        dealt.mapInArrow(run, f"doc_id {kind}, shard int, inside bigint, n_tokens bigint, ids_crc32 bigint, tokens array<int>")
         .write.option("parquet.block.size", row_group_bytes).option("parquet.page.size", page_bytes)
         .option("parquet.writer.version", "PARQUET_2_0").option("parquet.enable.dictionary", "true")
         .option("compression", "zstd").parquet(target)
@@ -113,19 +114,13 @@ def write_token_files(docs: DataFrame, tokenizer_path: str, target: str, end_id:
 def read_token_files(spark: SparkSession, target: str, tokens: bool = True) -> DataFrame:
     """The shards as rows (doc_id, start, n_tokens, ids_crc32, and tokens): start counts the ids of all documents before.
 
-    Starts come from metadata columns alone: a running sum inside each shard plus the totals of the shards
-    before it (one row per shard).
+    Starts come from metadata columns alone: the totals of the shards before, one row per shard, and the place inside the shard.
     """
-    rows = spark.read.parquet(target).withColumn("shard", F.input_file_name())
-    meta = rows.select("shard", "doc_id", "n_tokens")
-    totals = meta.groupBy("shard").agg(F.sum("n_tokens").alias("total"), F.min("doc_id").alias("low"), F.max(F.col("doc_id").isNull()).alias("null_low"))
-    before = totals.withColumn(
-        "before", F.coalesce(F.sum("total").over(Window.orderBy(F.desc("null_low"), F.asc_nulls_first("low")).rowsBetween(Window.unboundedPreceding, -1)), F.lit(0))
-    ).select("shard", "before")
-    inside = Window.partitionBy("shard").orderBy(F.asc_nulls_first("doc_id"), "ids_crc32", "n_tokens").rowsBetween(Window.unboundedPreceding, -1)
-    columns = ["doc_id", "n_tokens", "ids_crc32", "shard"] + (["tokens"] if tokens else [])
-    placed = rows.select(*columns).withColumn("inside", F.coalesce(F.sum("n_tokens").over(inside), F.lit(0)))
-    return placed.join(before, "shard").select(
+    rows = spark.read.parquet(target)
+    totals = rows.groupBy("shard").agg(F.max(F.col("inside") + F.col("n_tokens")).alias("total"))
+    earlier = Window.orderBy("shard").rowsBetween(Window.unboundedPreceding, -1)
+    before = totals.select("shard", F.coalesce(F.sum("total").over(earlier), F.lit(0)).alias("before"))
+    return rows.join(F.broadcast(before), "shard").select(  # one row per shard
         "doc_id", (F.col("before") + F.col("inside")).alias("start"), "n_tokens", "ids_crc32", *(["tokens"] if tokens else [])
     )
 
