@@ -21,7 +21,7 @@ ASCII_PIECES = r"'s|'t|'re|'ve|'m|'ll|'d| ?[A-Za-z]+| ?[0-9]+| ?[^\t-\r\x20A-Za-
 _CACHE_ROWS = 150_000
 _CACHE_PIECE = 64
 _TOKENIZERS: dict[str, "ByteBpe"] = {}
-_PATTERNS: dict[str, regex.Pattern] = {}
+_PATTERNS: dict[str, "Pieces"] = {}
 
 
 def _byte_letters() -> dict[str, int]:
@@ -31,23 +31,36 @@ def _byte_letters() -> dict[str, int]:
     return {chr(b): b for b in plain} | {chr(256 + i): b for i, b in enumerate(rest)}
 
 
-def piece_pattern(path: str) -> regex.Pattern:
-    """The pre-tokenizer's pattern with the letters and numbers that the library knows.
+class Pieces:
+    """Cuts texts into the pre-tokenizer's pieces, with the letters and numbers that the library knows.
 
     Its Unicode tables may be older than those of ``regex``; characters that they class otherwise are found by probing its
-    pre-tokenizer with each letter and number once.
+    pre-tokenizer with each letter and number once. Only texts with one of them take the slower exact pattern.
     """
-    if path not in _PATTERNS:
+
+    def __init__(self, path: str):
         from tokenizers import Tokenizer
 
         cut = Tokenizer.from_file(path).pre_tokenizer.pre_tokenize_str
         text = "".join(map(chr, [*range(128, 0xD800), *range(0xE000, 0x110000)]))
-        pattern = PIECES
+        exact, every = PIECES, ""
         for kind, lead in (("L", "a"), ("N", "1")):
-            newer = [c for c in regex.findall(rf"\p{{{kind}}}", text) if len(cut(lead + c)) > 1]
+            newer = "".join(c for c in regex.findall(rf"\p{{{kind}}}", text) if len(cut(lead + c)) > 1)
+            every += newer
             if newer:
-                pattern = pattern.replace(rf"\p{{{kind}}}", rf"[\p{{{kind}}}--[{''.join(newer)}]]")
-        _PATTERNS[path] = regex.compile("(?V1)" + pattern)
+                exact = exact.replace(rf"\p{{{kind}}}", rf"[\p{{{kind}}}--[{newer}]]")
+        self.newer = re.compile(f"[{every}]" if every else r"(?!)")
+        self.ascii, self.usual, self.exact = re.compile(ASCII_PIECES, re.ASCII), regex.compile(PIECES), regex.compile("(?V1)" + exact)
+
+    def cut(self, text: str) -> list[str]:
+        if text.isascii():
+            return self.ascii.findall(text)
+        return (self.exact if self.newer.search(text) else self.usual).findall(text)
+
+
+def pieces_of(path: str) -> Pieces:
+    if path not in _PATTERNS:
+        _PATTERNS[path] = Pieces(path)
     return _PATTERNS[path]
 
 
@@ -76,8 +89,7 @@ class ByteBpe:
         self.added = {s: np.uint32(i).tobytes() for s, i in added.items()}
         self.strings |= {i: s.encode() for s, i in added.items()}
         self.split = regex.compile("(" + "|".join(regex.escape(s) for s in sorted(added, key=len, reverse=True)) + ")") if added else None
-        self.pieces = piece_pattern(path)
-        self.ascii = re.compile(ASCII_PIECES, re.ASCII)
+        self.pieces = pieces_of(path)
         self.cache: dict[str, bytes] = {}
 
     def merge(self, data: bytes) -> list[int]:
@@ -129,7 +141,7 @@ class ByteBpe:
                 out.append(self.added[part])
                 continue
             have = self.cache
-            for p in (self.ascii if part.isascii() else self.pieces).findall(part):
+            for p in self.pieces.cut(part):
                 out.append(have.get(p) or self.piece(p))
         return b"".join(out)
 

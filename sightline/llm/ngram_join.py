@@ -7,6 +7,7 @@ a verified chain already joins are never made, so a group of near copies costs a
 
 from __future__ import annotations
 
+import zlib
 from collections.abc import Iterator
 
 import numpy as np
@@ -19,8 +20,8 @@ from .common import connected_components, forget, saved
 from .hashing import mix, shingle_sets
 
 #: Buckets of the count sketch that orders tokens from rare to frequent: a fixed size, whatever the corpus.
-SKETCH_BITS = 20
-_CHUNK_BITS = 10
+SKETCH_BITS = 23
+_CHUNK_BITS = 15
 #: Bits of the filter of document ids that a verification needs: a fixed size too; false hits only cost time.
 FILTER_BITS = 22
 ORDERS = 2
@@ -34,42 +35,51 @@ def _sketch(docs: DataFrame, words: int) -> np.ndarray:
     chunk = 1 << _CHUNK_BITS
 
     def count(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        seen = np.zeros(1 << SKETCH_BITS, np.int64)
+        seen = np.zeros(1 << SKETCH_BITS, np.int32)
+        some: list[np.ndarray] = []
+        held = 0
+
+        def put() -> None:
+            at, n = np.unique(np.concatenate(some), return_counts=True)
+            seen[at] += n.astype(np.int32)
+            some.clear()
+
         for batch in batches:
-            some: list[np.ndarray] = []
             for s in shingle_sets(batch.column(0), words):
                 some.append((s >> np.uint64(64 - SKETCH_BITS)).astype(np.int32))
-                if len(some) == 1000:
-                    seen += np.bincount(np.concatenate(some), minlength=len(seen))
-                    some = []
-            if some:
-                seen += np.bincount(np.concatenate(some), minlength=len(seen))
+                held += len(s)
+                if held > 1 << 20:
+                    put()
+                    held = 0
+        if some:
+            put()
         yield from packed({i: row for i, row in enumerate(seen.reshape(-1, chunk)) if row.any()})
 
     def packed(sums: dict[int, np.ndarray]) -> Iterator[pa.RecordBatch]:
         kept = list(sums)
-        yield pa.RecordBatch.from_arrays([pa.array(kept, pa.int32()), pa.array([sums[i].tobytes() for i in kept], pa.binary())], ["chunk", "counts"])
+        yield pa.RecordBatch.from_arrays([pa.array(kept, pa.int32()), pa.array([zlib.compress(sums[i].astype(np.int64).tobytes(), 1) for i in kept], pa.binary())], ["chunk", "counts"])
 
     def add(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         sums: dict[int, np.ndarray] = {}
         for batch in batches:
             for i, raw in zip(batch.column(0).to_pylist(), batch.column(1).to_pylist()):
-                row = np.frombuffer(raw, np.int64)
+                row = np.frombuffer(zlib.decompress(raw), np.int64)
                 sums[i] = sums[i] + row if i in sums else row
         yield from packed(sums)
 
     kind = "chunk int, counts binary"
-    rows = docs.select("text").mapInArrow(count, kind).repartition("chunk").mapInArrow(add, kind).collect()  # 8 bytes a bucket in all
+    rows = docs.select("text").mapInArrow(count, kind).repartition("chunk").mapInArrow(add, kind).collect()  # a bucket's count each, packed
     out = np.zeros((1 << SKETCH_BITS) // chunk * chunk, np.int64).reshape(-1, chunk)
     for r in rows:
-        out[r.chunk] += np.frombuffer(bytes(r.counts), np.int64)
+        out[r.chunk] += np.frombuffer(zlib.decompress(bytes(r.counts)), np.int64)
     return out.reshape(-1)
 
 
 def _ranks(counts: np.ndarray) -> np.ndarray:
-    """A class from 0 (rare) to 31 for each bucket: half powers of two of its load over the mean load."""
+    """A class from 0 (rare) to 31 for each bucket: half powers of two of how far its load is above chance, in spreads of a random load."""
     mean = max(1.0, counts.sum() / len(counts))
-    return np.clip(np.floor(2 * np.log2(np.maximum(counts / mean, 1.0)) - 0.6), 0, 31).astype(np.uint64)
+    spread = np.sqrt(mean)
+    return np.clip(np.floor(2 * np.log2(np.maximum(counts - mean, 1.0) / (3 * spread)) + 1), 0, 31).astype(np.uint8)
 
 
 def _profiles(docs: DataFrame, words: int, percent: int, ranks) -> DataFrame:
@@ -86,10 +96,10 @@ def _profiles(docs: DataFrame, words: int, percent: int, ranks) -> DataFrame:
                 signs[0].append(mix(s, 21).sum(dtype=np.uint64))
                 signs[1].append(np.bitwise_xor.reduce(mix(s, 22)) if n else np.uint64(0))
                 keep = n - (percent * n + 99) // 100 + 1 if n else 0
-                high = rank[(s >> np.uint64(64 - SKETCH_BITS)).astype(np.int64)] << np.uint64(58)
+                high = rank[(s >> np.uint64(64 - SKETCH_BITS)).astype(np.int64)].astype(np.uint64) << np.uint64(58)
                 for k in range(ORDERS):
                     token = high | (mix(s, 31 + k) >> np.uint64(6))
-                    first[k].append((np.partition(token, keep - 1)[:keep] if keep < n else token).view(np.int64))
+                    first[k].append(np.sort(np.partition(token, keep - 1)[:keep] if keep < n else token).view(np.int64))
             columns = [batch.column(0), pa.array(sizes, pa.int32()), *(pa.array(np.array(x, np.uint64).view(np.int64)) for x in signs)]
             for lists in first:
                 offsets = np.concatenate([[0], np.cumsum([len(x) for x in lists])]).astype(np.int32)
@@ -100,6 +110,12 @@ def _profiles(docs: DataFrame, words: int, percent: int, ranks) -> DataFrame:
     return docs.select("doc_id", "text").mapInArrow(run, f"doc_id {kind}, n int, sign_a bigint, sign_b bigint, {prefixes}")
 
 
+def _fit(n: str, place: str, m: str, at: str, percent: int):
+    """Length and positional filter: sizes within the threshold, and enough left of both sets from the first common token on."""
+    asked = F.expr(f"({percent}L * ({n} + {m}) + {99 + percent}) div {100 + percent}")
+    return (100 * F.least(n, m) >= percent * F.greatest(n, m)) & (F.col(n) - F.col(place) >= asked) & (F.col(m) - F.col(at) >= asked)
+
+
 def _passing(pairs: DataFrame, profiles: DataFrame, percent: int) -> DataFrame:
     """Pairs (a, b) that every order lets through.
 
@@ -180,30 +196,30 @@ def jaccard_components(docs: DataFrame, words: int = 5, percent: int = 80, star_
     member = saved(every.select("doc_id", "n", "sign_a", "sign_b").join(classes, ["sign_a", "sign_b", "n"], "left").select("doc_id", "n", F.coalesce("rep", "doc_id").alias("rep")), "members")
     reps = saved(every.join(member.where("doc_id = rep and n > 1").select("doc_id"), "doc_id", "left_semi"), "representatives")
     forget(spark, every)
-    rows = reps.select("doc_id", "n", F.explode("prefix0").alias("token"))
+    rows = reps.select("doc_id", "n", F.posexplode("prefix0").alias("place", "token"))
     shared = rows.groupBy("token").agg(F.count(F.lit(1)).alias("c")).where("c > 1").select("token")
     buckets = saved(rows.join(shared, "token"), "buckets")
     links: list[DataFrame] = []
     comp: DataFrame | None = None
     left = buckets.withColumn("comp", F.col("doc_id"))
     for turn in range(star_rounds):
-        lead = [F.col("doc_id").alias("lead"), F.col("comp").alias("lead_comp"), F.col("n").alias("lead_n")]
+        lead = [F.col("doc_id").alias("lead"), F.col("comp").alias("lead_comp"), F.col("n").alias("lead_n"), F.col("place").alias("lead_place")]
         first = F.min(F.struct(F.xxhash64(F.lit(turn), "doc_id").alias("h"), *lead) if turn else F.struct(*lead)).alias("l")
-        leaders = left.groupBy("token").agg(first, F.max("comp").alias("top"), F.min("comp").alias("low")).where("top <> low").select("token", "l.lead", "l.lead_comp", "l.lead_n")
+        leaders = left.groupBy("token").agg(first, F.max("comp").alias("top"), F.min("comp").alias("low")).where("top <> low").select("token", "l.lead", "l.lead_comp", "l.lead_n", "l.lead_place")
         stars = saved(
-            left.join(leaders, "token").where((F.col("comp") != F.col("lead_comp")) & (100 * F.least("n", "lead_n") >= percent * F.greatest("n", "lead_n")))
+            left.join(leaders, "token").where((F.col("comp") != F.col("lead_comp")) & _fit("n", "place", "lead_n", "lead_place", percent))
             .select(F.least("doc_id", "lead").alias("a"), F.greatest("doc_id", "lead").alias("b")).distinct(), "stars",
         )
         tried = saved(_passing(stars, reps, percent), "candidates")
         links.append(saved(verify_pairs(tried, base, words, percent), "verified"))
         forget(spark, stars, tried)
         comp = _components(links)
-        left = buckets.join(comp, "doc_id", "left").select("doc_id", "n", "token", F.coalesce("comp", "doc_id").alias("comp"))
+        left = buckets.join(comp, "doc_id", "left").select("doc_id", "n", "place", "token", F.coalesce("comp", "doc_id").alias("comp"))
         apart = left.groupBy("token").agg(F.min("comp").alias("low"), F.max("comp").alias("top")).where("low <> top").select("token")
         left = saved(left.join(apart, "token", "left_semi"), "apart")
-    one = left.select("token", F.col("doc_id").alias("a"), F.col("comp").alias("comp_a"), F.col("n").alias("n_a"))
-    two = left.select("token", F.col("doc_id").alias("b"), F.col("comp").alias("comp_b"), F.col("n").alias("n_b"))
-    rest = one.join(two, "token").where((F.col("a") < F.col("b")) & (F.col("comp_a") != F.col("comp_b")) & (100 * F.least("n_a", "n_b") >= percent * F.greatest("n_a", "n_b"))).select("a", "b").distinct()
+    one = left.select("token", F.col("doc_id").alias("a"), F.col("comp").alias("comp_a"), F.col("n").alias("n_a"), F.col("place").alias("place_a"))
+    two = left.select("token", F.col("doc_id").alias("b"), F.col("comp").alias("comp_b"), F.col("n").alias("n_b"), F.col("place").alias("place_b"))
+    rest = one.join(two, "token").where((F.col("a") < F.col("b")) & (F.col("comp_a") != F.col("comp_b")) & _fit("n_a", "place_a", "n_b", "place_b", percent)).select("a", "b").distinct()
     tried = saved(_passing(saved(rest, "rest"), reps, percent), "candidates")
     links.append(saved(verify_pairs(tried, base, words, percent), "verified"))
     comp = _components(links)

@@ -2,7 +2,6 @@
 
 from __future__ import annotations
 
-import re
 import uuid
 import zlib
 from collections.abc import Iterator
@@ -13,7 +12,7 @@ from pyspark import TaskContext
 from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
-from .bpe import ASCII_PIECES, piece_pattern
+from .bpe import pieces_of
 from .common import shared_dir
 
 _CACHE_ROWS = 200_000
@@ -36,13 +35,12 @@ class LibraryEncoder:
         self.library.no_truncation()
         self.library.no_padding()
         self.added = [t.content for t in self.library.get_added_tokens_decoder().values()]
-        self.pieces = piece_pattern(path)
-        self.ascii = re.compile(ASCII_PIECES, re.ASCII)
+        self.pieces = pieces_of(path)
         self.young: dict[str, bytes] = {}
         self.old: dict[str, bytes] = {}
 
     def encode(self, texts: list[str]) -> list[bytes]:
-        cut = [None if any(a in t for a in self.added) else (self.ascii if t.isascii() else self.pieces).findall(t) for t in texts]
+        cut = [None if any(a in t for a in self.added) else self.pieces.cut(t) for t in texts]
         if len(self.young) > _CACHE_ROWS:
             self.old, self.young = self.young, {}
         young, old = self.young, self.old
