@@ -49,13 +49,14 @@ class Pieces:
             every += newer
             if newer:
                 exact = exact.replace(rf"\p{{{kind}}}", rf"[\p{{{kind}}}--[{newer}]]")
-        self.newer = re.compile(f"[{every}]" if every else r"(?!)")
+        self.newer = frozenset(every)
+        self.far = re.compile(f"[{min(every, default=chr(0x10FFFF))}-\U0010ffff]")
         self.ascii, self.usual, self.exact = re.compile(ASCII_PIECES, re.ASCII), regex.compile(PIECES), regex.compile("(?V1)" + exact)
 
     def cut(self, text: str) -> list[str]:
         if text.isascii():
             return self.ascii.findall(text)
-        return (self.exact if self.newer.search(text) else self.usual).findall(text)
+        return (self.exact if self.far.search(text) and not self.newer.isdisjoint(text) else self.usual).findall(text)
 
 
 def pieces_of(path: str) -> Pieces:
