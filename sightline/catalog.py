@@ -6,9 +6,26 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
-QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {}
+Builder = Callable[[SparkSession, str], DataFrame]
+QUERIES: dict[str, Builder] = {}
 ORACLES: dict[str, str] = {}
 
 
+def query(oracle: str | None = None, name: str | None = None) -> Callable[[Builder], Builder]:
+    """Register a builder under its function's name, with the SQL that DuckDB answers alike, if there is one."""
+
+    def put(f: Builder) -> Builder:
+        QUERIES[name or f.__name__] = f
+        if oracle:
+            ORACLES[name or f.__name__] = oracle
+        return f
+
+    return put
+
+
 def flagship(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return spark.read.parquet(f"{sf_dir}/orders.parquet")
+    """Turning counts of every test clip after proxy, windows, detector, tracker and repair."""
+    return QUERIES["turning_counts"](spark, sf_dir)
+
+
+from .plans import measures, operators, scenes, streams, tracks, tuning, windows  # noqa: E402, F401
