@@ -25,7 +25,7 @@ def query(oracle: str | None = None, name: str | None = None) -> Callable[[Build
 
 def flagship(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Turning counts of every test clip after proxy, windows, detector, tracker and repair."""
-    return QUERIES["turning_counts"](spark, sf_dir)
+    return QUERIES["turning_counts_full"](spark, sf_dir)
 
 
 from .plans import measures, operators, scenes, streams, tracks, tuning, windows  # noqa: E402, F401

@@ -1 +1,159 @@
-"""Queries to come."""
+"""Queries that tune, compare with the baselines, and repeat the experiments on the simulated scenes."""
+
+from __future__ import annotations
+
+from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import functions as F
+
+from ..catalog import query
+from ..sources.scenes import detections
+from ..tune import greedy
+from ..tune.trial import Config, Models, changed, evaluate, outcomes, train
+
+BASE = Config(arch="one_stage", width=640, conf=0.5)
+OURS = changed(BASE, tracker="recurrent", refine="clusters")
+FULL = changed(OURS, gap=4, proxy=1, threshold=0.2)
+_MODELS: dict[tuple, Models] = {}
+
+
+def models(spark: SparkSession, sf_dir: str) -> Models:
+    key = (spark.sparkContext.applicationId, sf_dir)
+    if key not in _MODELS:
+        _MODELS[key] = train(spark, sf_dir)
+    return _MODELS[key]
+
+
+def clips(spark: SparkSession, sf_dir: str, split: str, most: int = 3, scenes: str = "true") -> DataFrame:
+    """True boxes of the first clips of a split: the tuner's validation clips, the experiments' test clips."""
+    return detections(spark, sf_dir, split).where(scenes).where(F.col("clip") < 3 * most)
+
+
+def judge(spark: SparkSession, sf_dir: str, split: str = "val", most: int = 2, scenes: str = "true", by: tuple[str, ...] = ()):
+    truth, own = clips(spark, sf_dir, split, most, scenes).cache(), models(spark, sf_dir)
+    return lambda configs: evaluate(truth, configs, own, by)
+
+
+_ROW = "place int, arch string, width int, proxy int, threshold double, gap int, tracker string, refine string, gate double, tolerance double, sec double, accuracy double, recall double, frames bigint, over double"
+
+
+def frame(spark: SparkSession, rows: list[dict], **more: str) -> DataFrame:
+    """Trial rows as a DataFrame; ``more``: further columns and their types."""
+    out = []
+    for i, r in enumerate(rows):
+        c = r["config"]
+        out.append((i, c.arch, c.width, c.proxy, c.threshold, c.gap, c.tracker, c.refine, c.gate, c.tolerance, r["sec"], r["accuracy"], r["recall"], r["frames"], r["over"], *(r[k] for k in more)))
+    return spark.createDataFrame(out, _ROW + "".join(f", {k} {t}" for k, t in more.items()))
+
+
+@query()
+def turning_counts_full(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Turning counts of the test clips after the full method: cells, windows, detector, reduced-rate tracker, repaired ends."""
+    return outcomes(detections(spark, sf_dir, "test"), [FULL], models(spark, sf_dir)).select("scene", "clip", "pat", F.col("est").cast("long").alias("n"), F.col("truth").cast("long").alias("truth"))
+
+
+@query()
+def best_config_trace(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Both descents of the search for the best configuration."""
+    return frame(spark, greedy.find_best(judge(spark, sf_dir), BASE)[1], step="string")
+
+
+@query()
+def tune_curve(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """The joint greedy tuner's curve on validation clips."""
+    curve, _ = greedy.tune(judge(spark, sf_dir), OURS, [greedy.DetectionModule(), greedy.ProxyModule(), greedy.TrackingModule()])
+    return frame(spark, curve, module="string")
+
+
+@query()
+def rate_res_curve(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return frame(spark, greedy.rate_res(judge(spark, sf_dir), BASE))
+
+
+@query()
+def frame_gate_curve(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return frame(spark, greedy.frame_gate(judge(spark, sf_dir), BASE))
+
+
+@query()
+def var_rate_curve(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return frame(spark, greedy.var_rate(judge(spark, sf_dir), BASE))
+
+
+@query()
+def proxy_grid(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Runtime and recall of every proxy size and threshold."""
+    configs = [changed(BASE, gap=8, proxy=p, threshold=b) for p in range(5) for b in (0.05, 0.2, 0.4, 0.6, 0.8)]
+    return frame(spark, judge(spark, sf_dir)(configs))
+
+
+@query()
+def sweep_gap(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Single-knob curve: only the sampling gap, for each tracker."""
+    return frame(spark, judge(spark, sf_dir)([changed(BASE, gap=g, tracker=t) for g in greedy.GAPS for t in ("overlap", "motion", "recurrent")]))
+
+
+@query()
+def refine_variants(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """No repair, run to the border, extra frames, and reference clusters at reduced rates."""
+    return frame(spark, judge(spark, sf_dir)([changed(OURS, gap=g, refine=r) for g in (4, 8, 16) for r in ("none", "border", "frames", "clusters")]))
+
+
+@query()
+def ablation(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Four steps on one scene: detector only, with reduced rate and overlap tracker, with the recurrent tracker, with the proxy."""
+    run = judge(spark, sf_dir, scenes="scene = 1", most=4)
+    steps = {
+        "detector": (BASE, [greedy.DetectionModule()]), "overlap": (BASE, [greedy.DetectionModule(), greedy.TrackingModule()]),
+        "recurrent": (OURS, [greedy.DetectionModule(), greedy.TrackingModule()]), "proxy": (OURS, [greedy.DetectionModule(), greedy.TrackingModule(), greedy.ProxyModule()]),
+    }
+    rows = [r | {"variant": name} for name, (start, modules) in steps.items() for r in greedy.tune(run, start, modules, points=6)[0]]
+    return frame(spark, rows, variant="string")
+
+
+def curves_of(spark: SparkSession, sf_dir: str) -> list[dict]:
+    """Curves of all methods: tuned on validation clips, every point scored on test clips by scene."""
+    val, test = judge(spark, sf_dir), judge(spark, sf_dir, "test", 2, by=("scene",))
+    ours, _ = greedy.tune(val, OURS, [greedy.DetectionModule(), greedy.ProxyModule(), greedy.TrackingModule()], points=7)
+    points = {
+        "ours": [r["config"] for r in ours], "rate_res": [r["config"] for r in greedy.rate_res(val, BASE, 7)],
+        "frame_gate": [changed(BASE, gate=b) for b in (0.1, 0.3, 0.5, 0.7, 0.9)], "var_rate": [changed(BASE, gap=16, tolerance=b, refine="frames") for b in (0.1, 0.3, 0.5, 0.7)],
+    }
+    names = {c.id: m for m, some in points.items() for c in some}
+    return [r | {"method": names[r["config"].id]} for r in test([c for some in points.values() for c in some])]
+
+
+@query()
+def curves(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return frame(spark, curves_of(spark, sf_dir), scene="int", method="string")
+
+
+@query()
+def table_within5(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Seconds of each method's fastest point within five points of the best accuracy of any method, by scene, and the gain over the next best."""
+    rows = curves_of(spark, sf_dir)
+    out = []
+    for scene in sorted({r["scene"] for r in rows}):
+        own = [r for r in rows if r["scene"] == scene]
+        best = max(r["accuracy"] for r in own)
+        got = {m: greedy.pick([r for r in own if r["method"] == m], least=best - 0.05) for m in ("ours", "rate_res", "frame_gate", "var_rate")}
+        sec = {m: r["sec"] if r else None for m, r in got.items()}
+        rest = [s for m, s in sec.items() if m != "ours" and s is not None]
+        out.append((scene, best, *sec.values(), min(rest) / sec["ours"] if rest and sec["ours"] else None))
+    return spark.createDataFrame(out, "scene int, best double, ours double, rate_res double, frame_gate double, var_rate double, gain double")
+
+
+@query("SELECT k AS rung, round(640 * pow(0.85e0, k))::INT AS width FROM range(0, 6) t(k)")
+def res_ladder(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return spark.createDataFrame(list(enumerate(greedy.resolution_ladder())), "rung bigint, width int")
+
+
+@query("SELECT g AS gap, CASE WHEN g < 32 THEN 2 * g END AS next_gap FROM (VALUES (1), (2), (4), (8), (16), (32)) v(g)")
+def gap_ladder(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return spark.createDataFrame([(g, greedy.next_gap(g)) for g in greedy.GAPS], "gap int, next_gap int")
+
+
+@query("SELECT a AS arch, round(640 * pow(0.85e0, k))::INT AS width, g AS gap FROM (VALUES ('one_stage'), ('two_stage')) v(a), range(0, 6) t(k), (VALUES (1), (2), (4), (8), (16), (32)) w(g)")
+def config_space(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """The discretised space of detector and rate, for the exhaustive tuner."""
+    knob = lambda name, kind, values: spark.createDataFrame([(v,) for v in values], f"{name} {kind}")
+    return knob("arch", "string", ("one_stage", "two_stage")).crossJoin(knob("width", "int", greedy.resolution_ladder())).crossJoin(knob("gap", "int", greedy.GAPS))
