@@ -6,6 +6,7 @@ import hashlib
 import heapq
 import json
 import re
+import unicodedata
 from collections.abc import Iterator
 
 import numpy as np
@@ -51,11 +52,17 @@ class Pieces:
                 exact = exact.replace(rf"\p{{{kind}}}", rf"[\p{{{kind}}}--[{newer}]]")
         self.newer = frozenset(every)
         self.far = re.compile(f"[{min(every, default=chr(0x10FFFF))}-\U0010ffff]")
+        near = [chr(c) for c in range(128, 0x250)]
+        letters, numbers = ("".join(c for c in near if unicodedata.category(c)[0] == k) for k in "LN")
+        latin = ASCII_PIECES.replace("A-Za-z", "A-Za-z" + letters).replace("0-9", "0-9" + numbers).replace(r"\t-\r\x20", r"\t-\r\x20\x85\xa0")
+        self.latin, self.beyond = re.compile(latin), re.compile("[\u0250-\U0010ffff]")
         self.ascii, self.usual, self.exact = re.compile(ASCII_PIECES, re.ASCII), regex.compile(PIECES), regex.compile("(?V1)" + exact)
 
     def cut(self, text: str) -> list[str]:
         if text.isascii():
             return self.ascii.findall(text)
+        if not self.beyond.search(text):
+            return self.latin.findall(text)
         return (self.exact if self.far.search(text) and not self.newer.isdisjoint(text) else self.usual).findall(text)
 
 

@@ -47,11 +47,14 @@ class LibraryEncoder:
         need = set().union(*(c for c in cut if c)).difference(young)
         young.update((p, old[p]) for p in need.intersection(old))
         names = [p for p in need if p not in young]
-        if names:
-            made = self.library.encode(names, is_pretokenized=True, add_special_tokens=False)
-            ids = np.array(made.ids, np.uint32).tobytes()
-            ends = np.searchsorted(np.array(made.word_ids), np.arange(len(names) + 1)).tolist()
-            young.update((p, ids[4 * a : 4 * b]) for p, a, b in zip(names, ends, ends[1:]))
+        plain = [p for p in names if p[0] == " " and p[1:].isalpha()]  # in a row, the library cuts them at their spaces
+        for some, made in (
+            (plain, self.library.encode("".join(plain), add_special_tokens=False)),
+            (rest := [p for p in names if not (p[0] == " " and p[1:].isalpha())], self.library.encode(rest, is_pretokenized=True, add_special_tokens=False)),
+        ):
+            ids, words = np.array(made.ids, np.uint32).tobytes(), np.array(made.word_ids, np.int64)
+            ends = np.searchsorted(words, np.arange(len(some) + 1)).tolist()
+            young.update((p, ids[4 * a : 4 * b]) for p, a, b in zip(some, ends, ends[1:]))
         out = [
             np.array(self.library.encode(t, add_special_tokens=False).ids, np.uint32).tobytes() if found is None else b"".join(map(young.__getitem__, found))
             for t, found in zip(texts, cut)
