@@ -150,6 +150,8 @@ def fit(docs: DataFrame, labels: DataFrame, sample_rows: int = 6000, features: i
             yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(2), pa.array(own, lists), pa.array(other, lists)], ["doc_id", "toxic", "own", "other"])
 
     data = rows.select("doc_id", "text", "toxic").mapInArrow(run, "doc_id long, toxic int, own array<int>, other array<int>").orderBy("doc_id").collect()
+    if len({r.toxic for r in data}) < 2:  # the documents with labels are not here
+        return ToxicityModel({}, float(np.log((totals[1] + 0.5) / (totals[0] + 0.5))) if data else -40.0)
     y = np.array([r.toxic for r in data], float)
     share = np.array([totals[int(c)] / sizes[int(c)] for c in y])
     w, b = _descend([r.own for r in data], [r.other for r in data], y, share / share.sum(), len(names), penalty, ridge, steps)
