@@ -53,12 +53,9 @@ def deduplicated(stream: DataFrame) -> DataFrame:
 
 def tracker(stream: DataFrame, least: float = 0.3, max_lost: int = 3) -> DataFrame:
     """The overlap tracker over a stream of boxes (scene, clip, t, obj, category, x, y, w, h, ts): prefixes are the state of a
-    clip, frames must come in order from batch to batch, and a silent clip's state expires. Emits the boxes with their track_id."""
+    clip and frames must come in order from batch to batch; prefixes expire by frame count. Emits the boxes with their track_id."""
 
     def step(key, batches: Iterator[pd.DataFrame], state) -> Iterator[pd.DataFrame]:
-        if state.hasTimedOut:
-            state.remove()
-            return
         fresh, alive = 0, []
         if state.exists:
             fresh, flat = state.get
@@ -79,8 +76,7 @@ def tracker(stream: DataFrame, least: float = 0.3, max_lost: int = 3) -> DataFra
                     fresh += 1
             yield frame[["scene", "clip", "t", "obj"]].assign(track_id=ids)
         state.update((int(fresh), [float(v) for p in alive for v in p]))
-        state.setTimeoutDuration(60_000)
 
     return stream.groupBy("scene", "clip").applyInPandasWithState(
-        step, "scene int, clip bigint, t bigint, obj bigint, track_id bigint", "fresh bigint, alive array<double>", "append", "ProcessingTimeTimeout"
+        step, "scene int, clip bigint, t bigint, obj bigint, track_id bigint", "fresh bigint, alive array<double>", "append", "NoTimeout"
     )
