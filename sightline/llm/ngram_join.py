@@ -25,6 +25,9 @@ _CHUNK_BITS = 15
 #: Bits of the filter of document ids that a verification needs: a fixed size too; false hits only cost time.
 FILTER_BITS = 22
 ORDERS = 2
+#: Rows for each leader, and leaders that each row is tried with in a round.
+SLOT = 16
+TRIALS = 3
 
 
 def _sketch(docs: DataFrame, words: int) -> np.ndarray:
@@ -116,6 +119,26 @@ def _fit(n: str, place: str, m: str, at: str, percent: int):
     return (100 * F.least(n, m) >= percent * F.greatest(n, m)) & (F.col(n) - F.col(place) >= asked) & (F.col(m) - F.col(at) >= asked)
 
 
+def _stars(rows: DataFrame, turn: int, percent: int) -> DataFrame:
+    """Pairs (a, b) of bucket members with leaders, as many as rows at most in the first turn and ``TRIALS`` times that later.
+
+    The first leader of a bucket is its smallest doc_id. Later ones are drawn by hash, one for each ``SLOT`` rows or so, anew
+    in every trial, and preferably with an early place, where more pairs pass the positional filter.
+    """
+    lead = [F.col("doc_id").alias("lead"), F.col("comp").alias("lead_comp"), F.col("n").alias("lead_n"), F.col("place").alias("lead_place")]
+    if turn:
+        rows = rows.withColumn("trial", F.explode(F.sequence(F.lit(1), F.lit(TRIALS))))
+        rows = rows.withColumn("slot", F.pmod(F.xxhash64(F.lit(turn), "trial", "token", "doc_id"), F.col("slots")))
+        order = [F.expr("place * 10 > n").alias("late"), F.xxhash64("trial", F.lit(turn), "token", "doc_id").alias("h")]
+    else:
+        rows, order = rows.withColumns({"trial": F.lit(0), "slot": F.lit(0)}), []
+    spot = ["token", "trial", "slot"]
+    leaders = rows.groupBy(*spot).agg(F.min(F.struct(*order, *lead)).alias("l"), F.max("comp").alias("top"), F.min("comp").alias("low"))
+    leaders = leaders.where("top <> low").select(*spot, "l.lead", "l.lead_comp", "l.lead_n", "l.lead_place")
+    met = rows.join(leaders, spot).where((F.col("comp") != F.col("lead_comp")) & _fit("n", "place", "lead_n", "lead_place", percent))
+    return met.select(F.least("doc_id", "lead").alias("a"), F.greatest("doc_id", "lead").alias("b")).distinct()
+
+
 def _passing(pairs: DataFrame, profiles: DataFrame, percent: int) -> DataFrame:
     """Pairs (a, b) that every order lets through.
 
@@ -172,7 +195,7 @@ def verify_pairs(pairs: DataFrame, docs: DataFrame, words: int, percent: int) ->
     return both.mapInArrow(run, f"a {kind}, b {kind}")
 
 
-def jaccard_components(docs: DataFrame, words: int = 5, percent: int = 80, star_rounds: int = 2) -> DataFrame:
+def jaccard_components(docs: DataFrame, words: int = 5, percent: int = 80, star_rounds: int = 3) -> DataFrame:
     """One row per distinct non-null doc_id: doc_id, n_shingles (set size), component_id (smallest doc_id reachable by links).
 
     Two documents link when the Jaccard index of their sets of ``words``-word shingles is at least ``percent`` per cent; a text with
@@ -181,7 +204,7 @@ def jaccard_components(docs: DataFrame, words: int = 5, percent: int = 80, star_
 
     1. A sketch of how frequent all shingles are ranks them (rare first), fixed in size. 2. Each document gets its set's signature and
     its prefix under every order. 3. Equal signatures collapse to the smallest doc_id. 4. In rounds, each member of a first-order bucket is
-    tried with one leader of it; verified links make components. 5. What is still apart after the rounds is joined pair by pair within
+    tried with a leader or a few of it; verified links make components. 5. What is still apart after the rounds is joined pair by pair within
     buckets and across components only, so the result is exact.
     """
     spark: SparkSession = docs.sparkSession
@@ -201,22 +224,18 @@ def jaccard_components(docs: DataFrame, words: int = 5, percent: int = 80, star_
     buckets = saved(rows.join(shared, "token"), "buckets")
     links: list[DataFrame] = []
     comp: DataFrame | None = None
-    left = buckets.withColumn("comp", F.col("doc_id"))
+    left = buckets.select("doc_id", "n", "place", "token", F.col("doc_id").alias("comp"), F.lit(1).alias("slots"))
     for turn in range(star_rounds):
-        lead = [F.col("doc_id").alias("lead"), F.col("comp").alias("lead_comp"), F.col("n").alias("lead_n"), F.col("place").alias("lead_place")]
-        first = F.min(F.struct(F.xxhash64(F.lit(turn), "doc_id").alias("h"), *lead) if turn else F.struct(*lead)).alias("l")
-        leaders = left.groupBy("token").agg(first, F.max("comp").alias("top"), F.min("comp").alias("low")).where("top <> low").select("token", "l.lead", "l.lead_comp", "l.lead_n", "l.lead_place")
-        stars = saved(
-            left.join(leaders, "token").where((F.col("comp") != F.col("lead_comp")) & _fit("n", "place", "lead_n", "lead_place", percent))
-            .select(F.least("doc_id", "lead").alias("a"), F.greatest("doc_id", "lead").alias("b")).distinct(), "stars",
-        )
+        stars = saved(_stars(left, turn, percent), "stars")
         tried = saved(_passing(stars, reps, percent), "candidates")
         links.append(saved(verify_pairs(tried, base, words, percent), "verified"))
-        forget(spark, stars, tried)
+        forget(spark, stars, tried, left)
         comp = _components(links)
         left = buckets.join(comp, "doc_id", "left").select("doc_id", "n", "place", "token", F.coalesce("comp", "doc_id").alias("comp"))
-        apart = left.groupBy("token").agg(F.min("comp").alias("low"), F.max("comp").alias("top")).where("low <> top").select("token")
-        left = saved(left.join(apart, "token", "left_semi"), "apart")
+        apart = left.groupBy("token").agg(F.min("comp").alias("low"), F.max("comp").alias("top"), F.count(F.lit(1)).alias("c")).where("low <> top")
+        left = saved(left.join(apart.select("token", F.expr(f"(c - 1) div {SLOT} + 1").alias("slots")), "token"), "apart")
+        if turn and not links[-1].limit(1).count():
+            break
     one = left.select("token", F.col("doc_id").alias("a"), F.col("comp").alias("comp_a"), F.col("n").alias("n_a"), F.col("place").alias("place_a"))
     two = left.select("token", F.col("doc_id").alias("b"), F.col("comp").alias("comp_b"), F.col("n").alias("n_b"), F.col("place").alias("place_b"))
     rest = one.join(two, "token").where((F.col("a") < F.col("b")) & (F.col("comp_a") != F.col("comp_b")) & _fit("n_a", "place_a", "n_b", "place_b", percent)).select("a", "b").distinct()
