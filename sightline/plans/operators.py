@@ -191,3 +191,77 @@ def dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
 def sql_surface(spark: SparkSession, sf_dir: str) -> DataFrame:
     """A view of tracks asked in SQL with a parameter marker."""
     return spark.sql("SELECT category, count(*) AS n FROM {tracks} WHERE dur > :least GROUP BY category", args={"least": 100}, tracks=objects(spark, sf_dir))
+
+
+@query(with_scene("SELECT scene, count(*) AS frames FROM (SELECT DISTINCT scene, clip, t FROM det d WHERE EXISTS (SELECT 1 FROM obj o WHERE o.scene = d.scene AND o.clip = d.clip AND o.t_in = d.t)) GROUP BY scene"))
+def semi_frames(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Frames at which some object enters."""
+    entries = objects(spark, sf_dir).select("scene", "clip", F.col("t_in").alias("t"))
+    return detections(spark, sf_dir).select("scene", "clip", "t").distinct().join(entries, ["scene", "clip", "t"], "left_semi").groupBy("scene").agg(F.count("*").alias("frames"))
+
+
+@query(with_scene("SELECT scene, count(*) AS frames FROM (SELECT DISTINCT scene, clip, t FROM det d WHERE NOT EXISTS (SELECT 1 FROM obj o WHERE o.scene = d.scene AND o.clip = d.clip AND o.t_in = d.t)) GROUP BY scene"))
+def anti_frames(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Frames with objects at which none enters."""
+    entries = objects(spark, sf_dir).select("scene", "clip", F.col("t_in").alias("t"))
+    return detections(spark, sf_dir).select("scene", "clip", "t").distinct().join(entries, ["scene", "clip", "t"], "left_anti").groupBy("scene").agg(F.count("*").alias("frames"))
+
+
+@query("SELECT event_type, count(DISTINCT user_id) AS users, count(DISTINCT (user_id, ts::DATE)) AS visits FROM events GROUP BY event_type")
+def agg_distinct(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return table(spark, sf_dir, "events").groupBy("event_type").agg(F.countDistinct("user_id").alias("users"), F.expr("count(DISTINCT struct(user_id, date(ts))) AS visits"))
+
+
+@query("SELECT strftime(ts, '%Y-%m-%d') AS day, count(DISTINCT user_id) AS users FROM (SELECT user_id, min(ts) AS ts FROM events GROUP BY user_id) GROUP BY 1")
+def events_unique(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Objects by the day they are first seen."""
+    first = table(spark, sf_dir, "events").groupBy("user_id").agg(F.min("ts").alias("ts"))
+    return first.groupBy(F.date_format("ts", "yyyy-MM-dd").alias("day")).agg(F.countDistinct("user_id").alias("users"))
+
+
+@query(with_scene("SELECT scene, clip, t, sum(n) OVER (PARTITION BY scene, clip ORDER BY t RANGE BETWEEN 8 PRECEDING AND CURRENT ROW)::BIGINT AS lately FROM (SELECT scene, clip, t, count(*) AS n FROM det WHERE scene >= 3 GROUP BY ALL)"))
+def win_range(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Boxes of the last second, by frames of time and not by rows."""
+    n = detections(spark, sf_dir).where("scene >= 3").groupBy("scene", "clip", "t").agg(F.count("*").alias("n"))
+    return n.select("scene", "clip", "t", F.sum("n").over(Window.partitionBy("scene", "clip").orderBy("t").rangeBetween(-8, 0)).alias("lately"))
+
+
+@query("SELECT l_orderkey, max(l_extendedprice) AS price, arg_max(l_linenumber, (l_extendedprice, -l_linenumber)) AS line FROM lineitem GROUP BY l_orderkey")
+def fn_struct(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Largest row of a group as a struct, ordered by its fields."""
+    best = F.max(F.struct(F.col("l_extendedprice").alias("price"), (-F.col("l_linenumber")).alias("back"))).alias("best")
+    return table(spark, sf_dir, "lineitem").groupBy("l_orderkey").agg(best).select("l_orderkey", F.col("best").withField("line", -F.col("best.back")).alias("best")).select("l_orderkey", "best.price", "best.line")
+
+
+@query(with_scene("SELECT scene, category, round(sum(sec), 6) AS sec FROM det JOIN (VALUES ('car', 0.004e0), ('bus', 0.006e0), ('walker', 0.003e0)) c(category, sec) USING (category) GROUP BY ALL"))
+def bcast_cost(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Seconds by category from a literal cost table, which is broadcast."""
+    costs = spark.createDataFrame([("car", 0.004), ("bus", 0.006), ("walker", 0.003)], "category string, sec double")
+    n = detections(spark, sf_dir).groupBy("scene", "category").agg(F.count("*").alias("n"))  # counted before the join: far fewer rows meet the table
+    return n.join(F.broadcast(costs), "category").select("scene", "category", F.round(F.col("n") * F.col("sec"), 6).alias("sec"))
+
+
+@query(with_scene("SELECT scene, clip, obj, t, cx, cy, round(w / 640e0, 9) AS bw, round(h / 384e0, 9) AS bh, coalesce(t - lag(t) OVER (PARTITION BY scene, clip, obj ORDER BY t), 0) AS elapsed FROM (SELECT *, round(x / 640e0, 9) AS cx, round(y / 384e0, 9) AS cy FROM det WHERE scene = 4 AND t % 4 = 0)"))
+def det_features(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Inputs of the scorer for each box: position and size in parts of the frame, and frames since the box before."""
+    e = F.coalesce(F.col("t") - F.lag("t").over(Window.partitionBy("scene", "clip", "obj").orderBy("t")), F.lit(0))
+    return detections(spark, sf_dir, gap=4).where("scene = 4").select("scene", "clip", "obj", "t", F.expr("round(x / 640e0, 9) AS cx"), F.expr("round(y / 384e0, 9) AS cy"), F.expr("round(w / 640e0, 9) AS bw"), F.expr("round(h / 384e0, 9) AS bh"), e.alias("elapsed"))
+
+
+@query(with_scene("SELECT scene, cx, cy, count(*) AS boxes FROM (SELECT scene, clip, t, obj, cx, unnest(range(floor(y0 / 32e0)::BIGINT, ceil(y1 / 32e0)::BIGINT))::INT AS cy FROM (SELECT *, unnest(range(floor(x0 / 32e0)::BIGINT, ceil(x1 / 32e0)::BIGINT))::INT AS cx FROM (SELECT *, greatest(x - w / 2e0, 0e0) AS x0, least(x + w / 2e0, 640e0) AS x1, greatest(y - h / 2e0, 0e0) AS y0, least(y + h / 2e0, 384e0) AS y1 FROM det WHERE scene = 4 AND t % 16 = 0) WHERE x0 < x1 AND y0 < y1)) GROUP BY ALL"))
+def udtf_cells(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """The cells of a box as a table function joined laterally; cell_labels is the built-in form for large inputs."""
+    from pyspark.sql.functions import udtf
+
+    @udtf(returnType="cx int, cy int")
+    class CellsOfBox:
+        def eval(self, x: float, y: float, w: float, h: float):
+            x0, x1, y0, y1 = max(x - w / 2, 0.0), min(x + w / 2, 640.0), max(y - h / 2, 0.0), min(y + h / 2, 384.0)
+            if x0 < x1 and y0 < y1:
+                for cx in range(int(x0 // 32), int(-(-x1 // 32))):
+                    for cy in range(int(y0 // 32), int(-(-y1 // 32))):
+                        yield cx, cy
+
+    boxes = detections(spark, sf_dir, gap=16).where("scene = 4").select("scene", "x", "y", "w", "h")
+    cells = boxes.lateralJoin(CellsOfBox(F.col("x").outer(), F.col("y").outer(), F.col("w").outer(), F.col("h").outer()))
+    return cells.groupBy("scene", "cx", "cy").agg(F.count("*").alias("boxes"))

@@ -155,3 +155,17 @@ def test_greedy_takes_the_most_accurate_offer():
 
     curve, trials = greedy.tune(evaluate, Config(), [greedy.TrackingModule()], points=10)
     assert [r["config"].gap for r in curve] == [1, 2, 4, 8, 16, 32] and trials == 6
+
+
+def test_limit_walk_against_plain_search():
+    from sightline.plans.gates import walk
+
+    import random
+
+    draw = random.Random(5)
+    for _ in range(50):
+        ranked = [(at, draw.random() < 0.3) for at in draw.sample(range(300), 200)]
+        found, calls = walk(iter(ranked), 5, 12)
+        assert all(abs(a - b) >= 12 for i, a in enumerate(found) for b in found[:i]) and calls >= len(found)
+        free = [at for at, holds in ranked if holds and all(abs(at - x) >= 12 for x in found)]
+        assert len(found) == 5 or not free
