@@ -28,4 +28,4 @@ def flagship(spark: SparkSession, sf_dir: str) -> DataFrame:
     return QUERIES["turning_counts_full"](spark, sf_dir)
 
 
-from .plans import gates, measures, operators, repair, scenes, streams, tracks, tuning, windows  # noqa: E402, F401
+from .plans import gates, measures, operators, repair, scenes, streams, studies, tracks, tuning, windows  # noqa: E402, F401
