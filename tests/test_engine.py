@@ -169,3 +169,31 @@ def test_limit_walk_against_plain_search():
         assert all(abs(a - b) >= 12 for i, a in enumerate(found) for b in found[:i]) and calls >= len(found)
         free = [at for at, holds in ranked if holds and all(abs(at - x) >= 12 for x in found)]
         assert len(found) == 5 or not free
+
+
+def test_trained_proxies_find_cells_and_small_inputs_are_worse():
+    import pandas as pd
+
+    from sightline.detect.proxy import SegmentProxy, brightness, fit_many, patches
+
+    rng = np.random.default_rng(3)
+    rows = pd.DataFrame([(0, t, *rng.uniform((0, 0), (640, 384)), 64.0, 40.0) for t in range(40) for _ in range(3)], columns=["clip", "t", "x", "y", "w", "h"])
+    recall = []
+    for proxy in fit_many(rows):
+        score, label = zip(*(proxy.score(g[["x", "y", "w", "h"]].to_numpy(), 1000 + t) for t, g in rows.groupby("t")))
+        hit, label = np.concatenate(score) > 0.5, np.concatenate(label)
+        recall.append((hit & label).sum() / label.sum())
+        assert (hit != label).mean() < min(label.mean(), 1 - label.mean())  # better than one answer for all cells
+    assert recall[0] > 0.6 and recall[0] > recall[-1]
+    image, label = brightness(np.zeros((0, 4)), 5, 0)  # an empty frame
+    assert not label.any() and patches(image).shape == (240, 11)
+    assert SegmentProxy(0).fit([(5, np.zeros((0, 4)))]).score(np.zeros((0, 4)), 6)[0].max() < 0.5
+
+
+def test_extra_frames_go_to_tracks_that_may_follow_the_pattern():
+    from sightline.sources.scenes import PATHS
+    from sightline.tune.trial import may_follow
+
+    for pattern, (first, _, last) in enumerate(PATHS):
+        assert may_follow(np.array(first), np.array(last), pattern)
+    assert not may_follow(np.array(PATHS[1][0]), np.array(PATHS[1][2]), 2)
