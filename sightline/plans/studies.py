@@ -2,8 +2,6 @@
 
 from __future__ import annotations
 
-import time
-
 import pandas as pd
 from pyspark.ml.classification import LogisticRegression
 from pyspark.ml.functions import array_to_vector, vector_to_array
@@ -14,13 +12,12 @@ from ..catalog import ORACLES, QUERIES, query
 from ..detect.proxy import fit_many, tally
 from ..model.schemas import COST, FRAMES, PROXY_COST, seconds
 from ..sources.scenes import detections, frame_cells, noise, objects, simulated, table
-from ..tune import greedy
-from ..tune.trial import changed, train
+from ..tune.trial import changed
 from ..windows.group import components, grouped
 from .gates import walk
 from .sql import CELLS, SIM, with_scene
 from .sql import noise as sql_noise
-from .tuning import BASE, OURS, frame, judge
+from .tuning import BASE, frame, judge
 from .windows import _S, SIZES
 
 _GAPPED = "gapped AS (SELECT scene, clip, obj, g AS gap, calls, count(*) AS n FROM sim, (VALUES (4, 4), (8, 6), (16, 8)) v(g, calls) WHERE obj >= 0 AND t % g = 0 GROUP BY ALL)"
@@ -167,18 +164,3 @@ def var_rate_predicate(spark: SparkSession, sf_dir: str) -> DataFrame:
     """The variable-rate baseline with and without the predicate north to south: extra frames only for tracks that may satisfy it."""
     configs = [changed(BASE, gap=16, tolerance=b, refine="frames", only=p) for b in (0.1, 0.3, 0.5, 0.7) for p in (None, 2)]
     return frame(spark, [r | {"pattern": r["config"].only} for r in judge(spark, sf_dir)(configs)], pattern="int")
-
-
-@query()
-def setup_costs(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """Fixed costs by phase. Labelling is modelled detector time; training and tuning are wall seconds of this session: kinds are not added up."""
-    clips = objects(spark, sf_dir).where("clip % 3 < 2").select("scene", "clip").distinct().count()
-    out = [("label", "modelled", clips * FRAMES * seconds("two_stage", 640, 384))]
-    for phase, run in (
-        ("train proxies", lambda: _proxies(spark, sf_dir)), ("train tracker", lambda: train(spark, sf_dir)),
-        ("tune", lambda: greedy.tune(judge(spark, sf_dir), OURS, [greedy.DetectionModule(), greedy.ProxyModule(), greedy.TrackingModule()], points=3)),
-    ):
-        began = time.monotonic()
-        run()
-        out.append((phase, "wall", time.monotonic() - began))
-    return spark.createDataFrame(out, "phase string, kind string, sec double")
