@@ -80,9 +80,19 @@ def chain_tracks(spark: SparkSession, sf_dir: str) -> DataFrame:
     SELECT g, scene, obj, min(t) AS t FROM few, (VALUES (2), (4), (8)) v(g) GROUP BY ALL
     UNION ALL SELECT g, k.scene, k.obj, n.t FROM keep k, LATERAL (SELECT min(t) AS t FROM few f WHERE f.obj = k.obj AND f.t >= k.t + g) n WHERE n.t IS NOT NULL)""".replace("few AS", "few AS MATERIALIZED"), recursive=True).replace("few AS MATERIALIZED", SIM + ", few AS MATERIALIZED"))
 def subsample_tracks(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """Boxes kept when each is at least a gap after the last kept one: a fold over each track."""
+    """Boxes kept when each is at least a gap after the last kept one: a fold over each track; twelve clips of scene 4, as the SQL has it."""
+    return _subsampled(spark, sf_dir, "scene = 4 and clip < 12")
+
+
+@query()
+def subsample_tracks_all(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """The same for all clips of all scenes."""
+    return _subsampled(spark, sf_dir)
+
+
+def _subsampled(spark: SparkSession, sf_dir: str, some: str = "true") -> DataFrame:
     gaps = spark.createDataFrame([(2,), (4,), (8,)], "gap int")
-    tracks = simulated(detections(spark, sf_dir)).where("obj >= 0 and scene = 4 and clip < 12").groupBy("scene", "obj").agg(F.sort_array(F.collect_list("t")).alias("ts"))
+    tracks = simulated(detections(spark, sf_dir)).where("obj >= 0").where(some).groupBy("scene", "obj").agg(F.sort_array(F.collect_list("t")).alias("ts"))
     kept = F.aggregate("ts", F.struct(F.lit(-(10**6)).cast("long").alias("last"), F.lit(0).cast("long").alias("n")), lambda acc, t: F.when(t >= acc["last"] + F.col("gap"), F.struct(t.alias("last"), (acc["n"] + 1).alias("n"))).otherwise(acc))
     return tracks.crossJoin(F.broadcast(gaps)).withColumn("kept", kept["n"]).groupBy("gap", "scene").agg(F.sum("kept").alias("kept"))
 
@@ -107,7 +117,7 @@ def variable_gap_frames(spark: SparkSession, sf_dir: str) -> DataFrame:
     def run(key, pdf: pd.DataFrame) -> pd.DataFrame:
         return pd.DataFrame([(*key, loop.variable_gap(pdf, key[0])[1])], columns=["tolerance", "scene", "clip", "frames"])
 
-    boxes = simulated(detections(spark, sf_dir, "test").where("scene >= 3 and clip < 15")).crossJoin(F.broadcast(levels))
+    boxes = simulated(detections(spark, sf_dir, "test")).crossJoin(F.broadcast(levels))
     return boxes.groupBy("tolerance", "scene", "clip").applyInPandas(run, "tolerance double, scene int, clip bigint, frames bigint")
 
 

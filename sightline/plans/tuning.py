@@ -23,13 +23,13 @@ def models(spark: SparkSession, sf_dir: str) -> Models:
     return _MODELS[key]
 
 
-def clips(spark: SparkSession, sf_dir: str, split: str, most: int = 3, scenes: str = "true") -> DataFrame:
-    """True boxes of the first clips of a split: the tuner's validation clips, the experiments' test clips."""
-    return detections(spark, sf_dir, split).where(scenes).where(F.col("clip") < 3 * most)
+def clips(spark: SparkSession, sf_dir: str, split: str, scenes: str = "true") -> DataFrame:
+    """True boxes of all clips of a split: the tuner's validation clips, the experiments' test clips."""
+    return detections(spark, sf_dir, split).where(scenes)
 
 
-def judge(spark: SparkSession, sf_dir: str, split: str = "val", most: int = 2, scenes: str = "true", by: tuple[str, ...] = ()):
-    truth, own = clips(spark, sf_dir, split, most, scenes).cache(), models(spark, sf_dir)
+def judge(spark: SparkSession, sf_dir: str, split: str = "val", scenes: str = "true", by: tuple[str, ...] = ()):
+    truth, own = clips(spark, sf_dir, split, scenes).cache(), models(spark, sf_dir)
     return lambda configs: evaluate(truth, configs, own, by)
 
 
@@ -101,7 +101,7 @@ def refine_variants(spark: SparkSession, sf_dir: str) -> DataFrame:
 @query()
 def ablation(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Four steps on one scene: detector only, with reduced rate and overlap tracker, with the recurrent tracker, with the proxy."""
-    run = judge(spark, sf_dir, scenes="scene = 1", most=4)
+    run = judge(spark, sf_dir, scenes="scene = 1")
     steps = {
         "detector": (BASE, [greedy.DetectionModule()]), "overlap": (BASE, [greedy.DetectionModule(), greedy.TrackingModule()]),
         "recurrent": (OURS, [greedy.DetectionModule(), greedy.TrackingModule()]), "proxy": (OURS, [greedy.DetectionModule(), greedy.TrackingModule(), greedy.ProxyModule()]),
@@ -112,7 +112,7 @@ def ablation(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 def curves_of(spark: SparkSession, sf_dir: str) -> list[dict]:
     """Curves of all methods: tuned on validation clips, every point scored on test clips by scene."""
-    val, test = judge(spark, sf_dir), judge(spark, sf_dir, "test", 2, by=("scene",))
+    val, test = judge(spark, sf_dir), judge(spark, sf_dir, "test", by=("scene",))
     ours, _ = greedy.tune(val, OURS, [greedy.DetectionModule(), greedy.ProxyModule(), greedy.TrackingModule()], points=7)
     points = {
         "ours": [r["config"] for r in ours], "rate_res": [r["config"] for r in greedy.rate_res(val, BASE, 7)],

@@ -38,12 +38,15 @@ def dbscan(paths: np.ndarray, eps: float = 40.0, min_pts: int = 3) -> np.ndarray
     mids = np.floor(paths.mean(1) / eps).astype(int) if n else np.zeros((0, 2), int)
     for i, c in enumerate(mids):
         cells.setdefault(tuple(c), []).append(i)
-    near = []
-    for i, (cx, cy) in enumerate(mids):
+
+    def near(i: int) -> list[int]:
+        cx, cy = mids[i]
         some = np.array([j for dx in (-1, 0, 1) for dy in (-1, 0, 1) for j in cells.get((cx + dx, cy + dy), [])])
         d = np.hypot(*(paths[some] - paths[i]).transpose(2, 0, 1)).mean(1)
-        near.append(sorted(some[d <= eps].tolist()))
-    core = [len(x) >= min_pts for x in near]
+        return sorted(some[d <= eps].tolist())
+
+    # neighbours are found again when a cluster grows: lists of all of them would take the square of a cluster's size
+    core = [len(near(i)) >= min_pts for i in range(n)]
     label = np.full(n, -1)
     k = 0
     for i in range(n):
@@ -51,7 +54,7 @@ def dbscan(paths: np.ndarray, eps: float = 40.0, min_pts: int = 3) -> np.ndarray
             continue
         label[i], work = k, [i]
         while work:
-            for j in near[work.pop()]:
+            for j in near(work.pop()):
                 if label[j] < 0:
                     label[j] = k
                     if core[j]:
@@ -75,12 +78,16 @@ class Reference:
         label = dbscan(paths, eps, min_pts)
         groups = [paths[label == k] for k in range(label.max(initial=-1) + 1)] + [paths[i : i + 1] for i in np.flatnonzero(label < 0)]
         centres = np.array([g.mean(0) for g in groups]) if groups else np.zeros((0, POINTS, 2))
+        return cls.of(centres, np.array([len(g) for g in groups], int), cell)
+
+    @classmethod
+    def of(cls, centres: np.ndarray, sizes: np.ndarray, cell: float = 64.0) -> "Reference":
         index: dict[tuple[int, int], set[int]] = {}
         for k, c in enumerate(centres):
             dense = resample(c, max(2, int(np.hypot(*np.diff(c, axis=0).T).sum() / (cell / 2)) + 2))
             for p in dense:
                 index.setdefault(tuple(np.floor(p / cell).astype(int)), set()).add(k)
-        return cls(centres, np.array([len(g) for g in groups], int), index, cell)
+        return cls(centres, sizes, index, cell)
 
     def _around(self, point: np.ndarray, ring: int) -> set[int]:
         cx, cy = np.floor(point / self.cell).astype(int)

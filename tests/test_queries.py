@@ -1,6 +1,7 @@
 """The registered queries against their SQL twins, and plans that must hold at scale."""
 
 import duckdb
+import numpy as np
 import pytest
 
 from sightline.catalog import ORACLES, QUERIES
@@ -47,3 +48,27 @@ def test_stream_tracker_equals_batch(spark, tmp_path):
     for clip, pdf in boxes.toPandas().groupby("clip"):
         want = track(pdf, Overlap()).groupby("obj")["track_id"].nunique().to_dict()
         assert got[got["clip"] == clip].groupby("obj")["track_id"].nunique().to_dict() == want
+
+
+def test_experiments_read_all_clips_of_a_split(spark):
+    from sightline.plans.tuning import BASE, clips
+    from sightline.refine.paths import Reference, resample
+    from sightline.sources.scenes import detections, objects
+    from sightline.tune.trial import Models, changed, evaluate, train
+
+    some = DATA.replace("0.001", "0.01")
+    every = objects(spark, some, "val").select("scene", "clip").distinct().count()
+    got = evaluate(clips(spark, some, "val"), [changed(BASE, gap=32)], Models())
+    assert got[0]["clips"] == every > 90
+    own, tracks = train(spark, some, rows=200), objects(spark, some, "train").toPandas()
+    alone = detections(spark, some, "train").where("scene = 4").toPandas()
+    paths = [resample(one.sort_values("t")[["x", "y"]].to_numpy()) for _, one in alone.groupby(["clip", "obj"]) if len(one) > 1]
+    assert sorted(own.references) == sorted(tracks["scene"].unique()) and sorted(own.references[4].sizes) == sorted(Reference.build(np.array(paths)).sizes)
+
+
+def test_whole_tables_beside_the_slices_of_the_sql(spark):
+    some = DATA.replace("0.001", "0.01")
+    whole, few = QUERIES["mota_mutual_all"](spark, some).toPandas(), QUERIES["mota_mutual"](spark, some).toPandas()
+    assert rows(whole[(whole["scene"] == 0) & whole["clip"].isin([2, 5, 8, 11])].drop(columns="scene")) == rows(few)
+    assert set(whole["scene"]) == set(range(5)) and whole["clip"].nunique() == 20
+    assert set(QUERIES["subsample_tracks_all"](spark, some).toPandas()["scene"]) == set(range(5))
