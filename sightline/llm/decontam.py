@@ -1,8 +1,8 @@
 """Benchmark decontamination by canonical templates.
 
 Numbers, names and units become typed placeholders; windows of the canonical words are joined by hash with those of the
-benchmark; the values that fill the placeholders must correspond one to one, which also catches questions that were
-asked again with other values.
+benchmark; the values that fill the placeholders must correspond inside one alignment of item and document, which also
+catches questions that were asked again with other values.
 """
 
 from __future__ import annotations
@@ -15,7 +15,6 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import saved
 from .hashing import mix
 
 _TOKEN = re.compile(r"\d+(?:[.,]\d+)*|[^\W\d_]+|[.!?:\n|]|[%€$£°]")
@@ -25,8 +24,10 @@ UNITS = {
     "meter", "meters", "metre", "metres", "kilometer", "kilometers", "kilometre", "kilometres", "gram", "grams", "kilogram", "kilograms", "liter", "liters", "litre", "litres", "mile", "miles", "foot", "feet", "inch", "inches",
     "dollar", "dollars", "euro", "euros", "pound", "pounds", "cent", "cents", "percent", "degree", "degrees", "%", "€", "$", "£", "°",
 }
-#: Benchmark windows are broadcast up to so many rows (8 bytes each), else joined by shuffle.
+#: The benchmark's windows are broadcast in parts of about so many (16 bytes each).
 BROADCAST_WINDOWS = 2_000_000
+#: Hits of one alignment may be so many words off it, for added or dropped words.
+SHIFT = 3
 
 
 def canonical(text: str | None) -> tuple[list[str], list[str | None]]:
@@ -95,70 +96,141 @@ def window_hashes(words: list[str], size: int) -> np.ndarray:
     return mix(out, size)
 
 
-def _windows(frame: DataFrame, key: str, sizes: list[int] | None, size: int, wanted=None) -> DataFrame:
-    """Rows (key, window, place, values) of the windows of every text.
-
-    With ``sizes`` None a text has windows of ``size`` words, or one of all its words if it has three at least (benchmark
-    items); else windows of each of the sizes, and of ``wanted`` hashes only where that is given (documents).
+class Index:
+    """Windows of some benchmark items for the search in documents: sorted hashes with item and place, and each item's words and values."""
+
+    def __init__(self, size: int):
+        self.size, self.items, self.parts, self.n = size, [], [], 0
+
+    def add(self, item_id, text: str | None) -> None:
+        words, values = canonical(text)
+        if len(words) < 3:
+            return
+        width = min(self.size, len(words))
+        got = window_hashes(words, width)
+        self.parts.append((np.full(len(got), len(self.items)), np.arange(len(got)), got))
+        self.items.append((item_id, len(words), width, len(np.unique(got)), values))
+        self.n += len(got)
+
+    def close(self) -> Index:
+        item, place, hashes = (np.concatenate(c) for c in zip(*self.parts))
+        order = np.argsort(hashes, kind="stable")
+        self.parts, self.item, self.place, self.hashes = [], item[order].astype(np.int32), place[order].astype(np.int32), hashes[order]
+        self.widths = sorted({i[2] for i in self.items})
+        return self
+
+    def hits(self, words: list[str]) -> dict[int, tuple[np.ndarray, np.ndarray]]:
+        """Item -> (places in the item, places in the document) of all windows that both hold."""
+        out = []
+        for width in self.widths:
+            if len(words) < width:
+                continue
+            got = window_hashes(words, width)
+            lo, hi = np.searchsorted(self.hashes, got), np.searchsorted(self.hashes, got, "right")
+            at = np.flatnonzero(hi > lo)
+            if len(at):
+                n = hi[at] - lo[at]
+                k = np.repeat(lo[at] - np.cumsum(n) + n, n) + np.arange(n.sum())
+                out.append((self.item[k], self.place[k], np.repeat(at, n)))
+        if not out:
+            return {}
+        item, place, found = (np.concatenate(c) for c in zip(*out))
+        order = np.argsort(item, kind="stable")
+        item, place, found = item[order], place[order], found[order]
+        cuts = np.flatnonzero(np.diff(item)) + 1
+        return {int(i[0]): (p, q) for i, p, q in zip(np.split(item, cuts), np.split(place, cuts), np.split(found, cuts))}
+
+
+def _alignments(asked: np.ndarray, found: np.ndarray) -> Iterator[dict[int, int]]:
+    """Hits (item place -> document place) of each way to lay the item on the document, those with most hits first.
+
+    A way is one distance of places, with hits up to ``SHIFT`` words off it (added or dropped words); for each item place the nearest counts.
     """
-    kind = frame.schema[key].dataType.simpleString()
-
-    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        need = wanted.value if wanted is not None else None
-        for batch in batches:
-            ids, hashes, places, fills, used = [], [], [], [], []
-            for k, text in zip(batch.column(0).to_pylist(), batch.column(1).to_pylist()):
-                words, values = canonical(text)
-                own = sizes if sizes is not None else [min(size, len(words))] * (len(words) >= 3)
-                for n in own:
-                    if len(words) < n:
-                        continue
-                    got = window_hashes(words, n)
-                    at = np.arange(len(got))
-                    if need is not None:
-                        spot = np.minimum(np.searchsorted(need, got), len(need) - 1)
-                        at = np.flatnonzero(need[spot] == got)
-                    for i in at.tolist():
-                        ids.append(k)
-                        hashes.append(int(got[i].astype(np.int64)))
-                        places.append(i)
-                        fills.append([v for v in values[i : i + n] if v is not None])
-                        used.append(n)
-            columns = [pa.array(ids, batch.schema.field(0).type), pa.array(hashes, pa.int64()), pa.array(places, pa.int64()), pa.array(fills, pa.list_(pa.string())), pa.array(used, pa.int32())]
-            yield pa.RecordBatch.from_arrays(columns, [key, "window", "place", "values", "size"])
-
-    return frame.where(f"{key} is not null").select(key, "text").mapInArrow(run, f"{key} {kind}, window bigint, place bigint, values array<string>, size int")
+    off = found - asked
+    order = np.lexsort((asked, off))
+    asked, found, off = asked[order], found[order], off[order]
+    anchors, n = np.unique(off, return_counts=True)
+    for a in anchors[np.argsort(-n, kind="stable")].tolist():
+        lo, hi = np.searchsorted(off, a - SHIFT), np.searchsorted(off, a + SHIFT, "right")
+        near = lo + np.argsort(np.abs(off[lo:hi] - a), kind="stable")
+        out: dict[int, int] = {}
+        for p, q in zip(asked[near].tolist(), found[near].tolist()):
+            out.setdefault(p, q)
+        yield out
+
+
+def _judge(hits: dict[int, int], item: tuple, values: list, coverage: float) -> tuple | None:
+    """(words met, n_windows, n_hit, coverage, consistent, same_values) of one alignment if it is a leak."""
+    _, n, width, n_windows, own = item
+    met: dict[int, int] = {}
+    for p, q in hits.items():
+        for i in range(width):
+            met.setdefault(p + i, q + i)
+    slots = {(own[p], values[q]) for p, q in met.items() if own[p] is not None}
+    if len({a for a, _ in slots}) < len(slots):
+        return None
+    share = min(1.0, len(hits) / n_windows)
+    if share < coverage:
+        return None
+    return len(met), n_windows, min(len(hits), n_windows), share, True, all(a == b for a, b in slots)
+
+
+def leaks_of(text: str | None, index: Index, coverage: float) -> dict:
+    """Item id -> its best alignment with the text that is a leak."""
+    out: dict = {}
+    words, values = canonical(text)
+    for k, (asked, found) in index.hits(words).items():
+        item = index.items[k]
+        for hits in _alignments(asked, found):
+            got = _judge(hits, item, values, coverage)
+            if got and got > out.get(item[0], ()):
+                out[item[0]] = got
+            if got and got[0] == item[1] and got[-1]:
+                break
+    return out
+
+
+def _indexes(benchmark: DataFrame, size: int) -> Iterator[Index]:
+    """The whole benchmark, in parts of at most ``BROADCAST_WINDOWS`` windows or one item."""
+    index = Index(size)
+    for r in benchmark.where("item_id is not null").select("item_id", "text").toLocalIterator():
+        index.add(r[0], r[1])
+        if index.n >= BROADCAST_WINDOWS:
+            yield index.close()
+            index = Index(size)
+    if index.n:
+        yield index.close()
 
 
 def find_leaks(docs: DataFrame, benchmark: DataFrame, size: int = 8, coverage: float = 0.6) -> DataFrame:
     """Pairs (doc_id, item_id, n_windows, n_hit, coverage, consistent, same_values) of documents with benchmark items in them.
 
-    An item with fewer than ``size`` canonical words counts as one window of all its words, if it has three at least. A pair is
-    returned when the share of the item's distinct windows that the document holds reaches ``coverage`` and its slots are consistent:
-    over all windows met, each value of the item goes with one value of the document and the other way round. ``same_values``
-    tells a literal copy from a question with other values. Null texts and ids are left out; of repeated windows the first place counts; empty
-    tables give no pairs. The benchmark's windows are broadcast behind a check of their number, beyond it joined by shuffle.
+    An item with fewer than ``size`` canonical words counts as one window of all its words, if it has three at least. Every place of
+    a window counts; an item is laid on a document in all ways that windows of both allow, and judged for each way alone. A pair is
+    returned when in one of them the share of the item's windows that the document holds reaches ``coverage`` and the slots are
+    consistent: each value of the item goes with one value of the document (two values of the item may become one by chance).
+    ``same_values`` tells a literal copy from a question with other values. Null texts and ids are left out; empty tables give no
+    pairs. The benchmark's windows are broadcast in parts of a fixed size, each with a pass over the documents.
     """
     spark = docs.sparkSession
-    items = saved(
-        _windows(benchmark, "item_id", None, size).groupBy("item_id", "window", "size").agg(F.min_by("values", "place").alias("item_values")), "benchmark-windows"
-    )
-    n = items.count()
-    sizes = sorted(r[0] for r in items.select("size").distinct().collect())  # size - 2 values at most
-    wanted = None
-    if 0 < n <= BROADCAST_WINDOWS:
-        hashes = np.array([r[0] for r in items.select("window").distinct().collect()], np.int64)
-        wanted = spark.sparkContext.broadcast(np.unique(hashes.view(np.uint64)))
-    few = n <= BROADCAST_WINDOWS // 20
-    met = _windows(docs, "doc_id", sizes, size, wanted)
-    totals = items.groupBy("item_id").agg(F.count("*").alias("n_windows"))
-    hits = met.groupBy("doc_id", "window", "size").agg(F.min_by("values", "place").alias("values"))
-    joined = hits.join(F.broadcast(items) if few else items, ["window", "size"])
-    slots = F.arrays_zip(F.col("item_values").alias("asked"), F.col("values").alias("found"))
-    pairs = joined.groupBy("doc_id", "item_id").agg(F.count("*").alias("n_hit"), F.array_distinct(F.flatten(F.collect_list(slots))).alias("slots"))
-    pairs = pairs.join(F.broadcast(totals) if few else totals, "item_id")
-    one_way = [F.size("slots") == F.size(F.array_distinct(F.col(f"slots.{side}"))) for side in ("asked", "found")]
-    return pairs.select(
-        "doc_id", "item_id", "n_windows", "n_hit", (F.col("n_hit") / F.col("n_windows")).alias("coverage"), (one_way[0] & one_way[1]).alias("consistent"),
-        F.forall("slots", lambda s: s["asked"] == s["found"]).alias("same_values"),
-    ).where((F.col("coverage") >= coverage) & F.col("consistent"))
+    doc, item = docs.schema["doc_id"].dataType.simpleString(), benchmark.schema["item_id"].dataType
+    kind = f"doc_id {doc}, item_id {item.simpleString()}, met bigint, n_windows bigint, n_hit bigint, coverage double, consistent boolean, same_values boolean"
+    given = docs.where("doc_id is not null and text is not null").select("doc_id", "text")
+    out = spark.createDataFrame([], kind)
+    for index in _indexes(benchmark, size):
+        held = spark.sparkContext.broadcast(index)
+
+        def run(batches: Iterator[pa.RecordBatch], held=held) -> Iterator[pa.RecordBatch]:
+            from pyspark.sql.pandas.types import to_arrow_type
+
+            kinds = [to_arrow_type(item), pa.int64(), pa.int64(), pa.int64(), pa.float64(), pa.bool_(), pa.bool_()]
+            names = ["doc_id", "item_id", "met", "n_windows", "n_hit", "coverage", "consistent", "same_values"]
+            for batch in batches:
+                rows = []
+                for doc_id, text in zip(batch.column(0).to_pylist(), batch.column(1).to_pylist()):
+                    rows += [(doc_id, item_id, *got) for item_id, got in leaks_of(text, held.value, coverage).items()]
+                yield pa.RecordBatch.from_arrays([pa.array(c, k) for c, k in zip(list(zip(*rows)) or [()] * 8, [batch.schema.field(0).type, *kinds])], names)
+
+        out = out.unionByName(given.mapInArrow(run, kind))
+    best = F.max(F.struct("met", "n_windows", "n_hit", "coverage", "consistent", "same_values")).alias("b")
+    return out.groupBy("doc_id", "item_id").agg(best).select("doc_id", "item_id", "b.n_windows", "b.n_hit", "b.coverage", "b.consistent", "b.same_values")

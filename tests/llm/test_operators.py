@@ -233,3 +233,12 @@ def test_equals_sql(spark, name):
     fix = lambda v: v if isinstance(v, (str, bool)) else None if pd.isna(v) else round(float(v), 9)
     rows = lambda f: sorted(([fix(v) for v in r] for r in f[sorted(f.columns)].astype(object).values.tolist()), key=repr)
     assert rows(QUERIES[name](spark, DATA).toPandas()) == rows(con.sql(ORACLES[name]).df())
+
+
+def test_decontamination_by_alignment(spark):
+    item = "A shop in the old town has 2 red apples and later on buys 3 green pears so how many fruits are there now"
+    other = item.replace("2", "7").replace("3", "8")
+    docs = [(1, f"{other}. Some more words stand here. {item}"), (2, item.replace("2", "4").replace("3", "4")), (3, item)]
+    frame = spark.createDataFrame(docs, "doc_id long, text string")
+    bench = spark.createDataFrame([(1, item)], "item_id long, text string")
+    assert {(r.doc_id, r.same_values) for r in decontam.find_leaks(frame, bench).collect()} == {(1, True), (2, False), (3, True)}
