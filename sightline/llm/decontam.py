@@ -28,6 +28,8 @@ UNITS = {
 BROADCAST_WINDOWS = 2_000_000
 #: Hits of one alignment may be so many words off it, for added or dropped words.
 SHIFT = 3
+#: A part of an item, or an edited one, has so many words at least that are no placeholders.
+LITERAL = 5
 
 
 def canonical(text: str | None) -> tuple[list[str], list[str | None]]:
@@ -106,10 +108,11 @@ class Index:
         words, values = canonical(text)
         if len(words) < 3:
             return
-        width = min(self.size, len(words))
+        n = len(words)
+        width = n if n < self.size else min(self.size, max(3, (n - 1) // 2))  # one edit leaves a window of every item from ``size`` words on
         got = window_hashes(words, width)
         self.parts.append((np.full(len(got), len(self.items)), np.arange(len(got)), got))
-        self.items.append((item_id, len(words), width, len(np.unique(got)), values))
+        self.items.append((item_id, words, width, len(np.unique(got)), values))
         self.n += len(got)
 
     def close(self) -> Index:
@@ -159,9 +162,10 @@ def _alignments(asked: np.ndarray, found: np.ndarray) -> Iterator[dict[int, int]
         yield out
 
 
-def _judge(hits: dict[int, int], item: tuple, values: list, coverage: float) -> tuple | None:
+def _judge(hits: dict[int, int], item: tuple, words: list[str], values: list, size: int, coverage: float) -> tuple | None:
     """(words met, n_windows, n_hit, coverage, consistent, same_values) of one alignment if it is a leak."""
-    _, n, width, n_windows, own = item
+    _, asked, width, n_windows, own = item
+    n = len(asked)
     met: dict[int, int] = {}
     for p, q in hits.items():
         for i in range(width):
@@ -170,7 +174,20 @@ def _judge(hits: dict[int, int], item: tuple, values: list, coverage: float) ->
     if len({a for a, _ in slots}) < len(slots):
         return None
     share = min(1.0, len(hits) / n_windows)
-    if share < coverage:
+    run = longest = 0
+    for p in range(n):
+        run = run + 1 if p in met else 0
+        longest = max(longest, run)
+    # words beside the windows, which are too short for one of their own, are held against the document with one word of shift
+    lo, hi = min(met), max(met)
+    for ends, at in ((range(lo), met[lo] - lo), (range(hi + 1, n), met[hi] - hi)):
+        some = [[(p, p + at + d) for p in ends if own[p] is None and 0 <= p + at + d < len(words) and words[p + at + d] == asked[p]] for d in (0, 1, -1)]
+        met |= dict(max(some, key=len))
+    plain = sum(own[p] is None for p in met)
+    rest = sum(v is None for v in own) - plain
+    whole = len(hits) == n_windows or (n >= size and rest <= 1 and plain >= LITERAL)
+    part = longest >= min(size + 2, max(size, (n + 1) // 2)) and plain >= LITERAL
+    if not (whole or part or (width == size and share >= coverage)):
         return None
     return len(met), n_windows, min(len(hits), n_windows), share, True, all(a == b for a, b in slots)
 
@@ -182,10 +199,10 @@ def leaks_of(text: str | None, index: Index, coverage: float) -> dict:
     for k, (asked, found) in index.hits(words).items():
         item = index.items[k]
         for hits in _alignments(asked, found):
-            got = _judge(hits, item, values, coverage)
+            got = _judge(hits, item, words, values, index.size, coverage)
             if got and got > out.get(item[0], ()):
                 out[item[0]] = got
-            if got and got[0] == item[1] and got[-1]:
+            if got and got[0] == len(item[1]) and got[-1]:
                 break
     return out
 
@@ -207,8 +224,9 @@ def find_leaks(docs: DataFrame, benchmark: DataFrame, size: int = 8, coverage: f
 
     An item with fewer than ``size`` canonical words counts as one window of all its words, if it has three at least. Every place of
     a window counts; an item is laid on a document in all ways that windows of both allow, and judged for each way alone. A pair is
-    returned when in one of them the share of the item's windows that the document holds reaches ``coverage`` and the slots are
-    consistent: each value of the item goes with one value of the document (two values of the item may become one by chance).
+    returned when in one of them the slots are consistent and one of these holds: the share of the item's windows in the document
+    reaches ``coverage``; all its words but one are there; ``size`` + 2 words in a row are there, or half of an item of under twice
+    that, but not under ``size``. Items of under twice ``size`` words have shorter windows. Consistent: each value of the item goes with one value of the document (two values of the item may become one by chance).
     ``same_values`` tells a literal copy from a question with other values. Null texts and ids are left out; empty tables give no
     pairs. The benchmark's windows are broadcast in parts of a fixed size, each with a pass over the documents.
     """

@@ -242,3 +242,22 @@ def test_decontamination_by_alignment(spark):
     frame = spark.createDataFrame(docs, "doc_id long, text string")
     bench = spark.createDataFrame([(1, item)], "item_id long, text string")
     assert {(r.doc_id, r.same_values) for r in decontam.find_leaks(frame, bench).collect()} == {(1, True), (2, False), (3, True)}
+
+
+def test_decontamination_of_edited_and_partial_items(spark):
+    made = lambda stem, n: [stem + chr(97 + i // 26) + chr(97 + i % 26) for i in range(n)]
+    long = made("alpha", 20)
+    items = {1: long, 2: made("beta", 9), 3: made("gamma", 60)}
+    docs, want = [], set()
+    for k, words in items.items():
+        for at in range(len(words)):
+            for edited in (words[:at] + ["other"] + words[at + 1 :], words[:at] + words[at + 1 :], words[:at] + ["other"] + words[at:]):
+                docs.append((len(docs), "before it " + " ".join(edited) + " after it"))
+                want.add((len(docs) - 1, k))
+    for words, k in ((long[:10], 1), (long[10:], 1), (items[3][30:], 3), (items[3][:30], 3)):
+        docs.append((len(docs), "before it " + " ".join(words) + " after it"))
+        want.add((len(docs) - 1, k))
+    docs += [(9001, "before it " + " ".join(long[:7]) + " after it"), (9002, " ".join(items[2][:4] + ["x"] + items[3][:6]))]
+    bench = spark.createDataFrame([(k, " ".join(w)) for k, w in items.items()], "item_id long, text string")
+    got = {(r.doc_id, r.item_id) for r in decontam.find_leaks(spark.createDataFrame(docs, "doc_id long, text string"), bench).collect()}
+    assert got == want
