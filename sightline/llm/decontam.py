@@ -32,21 +32,23 @@ SHIFT = 3
 LITERAL = 5
 
 
-def canonical(text: str | None) -> tuple[list[str], list[str | None]]:
-    """Canonical words of a text and, for placeholders, the value behind each (else None).
+def canonical(text: str | None) -> list[tuple[list[str], list[str | None]]]:
+    """Canonical forms of a text: words and, for placeholders, the value behind each (else None).
 
-    Numbers become <num>, a unit right after a number <unit>, a capitalised word that does not begin a sentence <name>;
-    runs of names are one. Words are lower-cased. Texts without any lower-case letter have no names.
+    In both, numbers become <num> and a unit right after a number <unit>, and words are lower-cased. In the second, which is left
+    out where it is the same, capitalised words are <name> too, those that begin a sentence as well, so that the form does not
+    depend on what stands before; runs of names inside a sentence are one. Texts without any lower-case letter have no names.
     """
     words: list[str] = []
     values: list[str | None] = []
+    names: list[int] = []
+    fresh: set[int] = {0}
     text = text or ""
     named = any(c.islower() for c in text)
-    fresh = True
     for token in _TOKEN.findall(text):
         first = token[0]
         if first in ".!?:\n|":
-            fresh = True
+            fresh.add(len(words))
             continue
         low = token.lower()
         if first.isdigit():
@@ -57,17 +59,26 @@ def canonical(text: str | None) -> tuple[list[str], list[str | None]]:
             values.append(low)
         elif first in "%€$£°":
             continue
-        elif named and not fresh and first.isupper():
-            if words and words[-1] == "<name>":
-                values[-1] += " " + low
-            else:
-                words.append("<name>")
-                values.append(low)
         else:
+            if named and first.isupper():
+                names.append(len(words))
             words.append(low)
             values.append(None)
-        fresh = False
-    return words, values
+    if not names:
+        return [(words, values)]
+    out_words: list[str] = []
+    out_values: list[str | None] = []
+    done, before = 0, -2
+    for at in names:
+        out_words += words[done:at]
+        out_values += values[done:at]
+        if before == at - 1 and at not in fresh:
+            out_values[-1] += " " + words[at]  # type: ignore[operator]
+        else:
+            out_words.append("<name>")
+            out_values.append(words[at])
+        done, before = at + 1, at
+    return [(words, values), (out_words + words[done:], out_values + values[done:])]
 
 
 _NAMES: dict[str, int] = {}
@@ -99,13 +110,12 @@ def window_hashes(words: list[str], size: int) -> np.ndarray:
 
 
 class Index:
-    """Windows of some benchmark items for the search in documents: sorted hashes with item and place, and each item's words and values."""
+    """Windows of some benchmark items, in one form, for the search in documents: sorted hashes with item and place, and each item's words and values."""
 
     def __init__(self, size: int):
         self.size, self.items, self.parts, self.n = size, [], [], 0
 
-    def add(self, item_id, text: str | None) -> None:
-        words, values = canonical(text)
+    def add(self, item_id, words: list[str], values: list[str | None]) -> None:
         if len(words) < 3:
             return
         n = len(words)
@@ -116,6 +126,8 @@ class Index:
         self.n += len(got)
 
     def close(self) -> Index:
+        if not self.parts:
+            self.parts = [(np.zeros(0, int), np.zeros(0, int), np.zeros(0, np.uint64))]
         item, place, hashes = (np.concatenate(c) for c in zip(*self.parts))
         order = np.argsort(hashes, kind="stable")
         self.parts, self.item, self.place, self.hashes = [], item[order].astype(np.int32), place[order].astype(np.int32), hashes[order]
@@ -171,6 +183,8 @@ def _judge(hits: dict[int, int], item: tuple, words: list[str], values: list, si
         for i in range(width):
             met.setdefault(p + i, q + i)
     slots = {(own[p], values[q]) for p, q in met.items() if own[p] is not None}
+    # a run of names at an end of the item may go on in the document
+    slots -= {s for s in slots if s[0] != s[1] and any(p in met and s == (own[p], values[met[p]]) and asked[p] == "<name>" and cut(f" {s[0]}" if p == 0 else f"{s[0]} ") for p, cut in ((0, s[1].endswith), (n - 1, s[1].startswith)))}
     if len({a for a, _ in slots}) < len(slots):
         return None
     share = min(1.0, len(hits) / n_windows)
@@ -192,31 +206,35 @@ def _judge(hits: dict[int, int], item: tuple, words: list[str], values: list, si
     return len(met), n_windows, min(len(hits), n_windows), share, True, all(a == b for a, b in slots)
 
 
-def leaks_of(text: str | None, index: Index, coverage: float) -> dict:
-    """Item id -> its best alignment with the text that is a leak."""
+def leaks_of(text: str | None, indexes: list[Index], coverage: float) -> dict:
+    """Item id -> its best alignment with the text, in either form, that is a leak."""
     out: dict = {}
-    words, values = canonical(text)
-    for k, (asked, found) in index.hits(words).items():
-        item = index.items[k]
-        for hits in _alignments(asked, found):
-            got = _judge(hits, item, words, values, index.size, coverage)
-            if got and got > out.get(item[0], ()):
-                out[item[0]] = got
-            if got and got[0] == len(item[1]) and got[-1]:
-                break
-    return out
-
-
-def _indexes(benchmark: DataFrame, size: int) -> Iterator[Index]:
-    """The whole benchmark, in parts of at most ``BROADCAST_WINDOWS`` windows or one item."""
-    index = Index(size)
+    for (words, values), index in zip(canonical(text), indexes):
+        for k, (asked, found) in index.hits(words).items():
+            item = index.items[k]
+            for hits in _alignments(asked, found):
+                got = _judge(hits, item, words, values, index.size, coverage)
+                if got:
+                    best = out.get(item[0])
+                    share = (got[0] / len(item[1]), got)
+                    if best is None or share > best:
+                        out[item[0]] = share
+                if got and got[0] == len(item[1]) and got[-1]:
+                    break
+    return {k: got for k, (_, got) in out.items()}
+
+
+def _indexes(benchmark: DataFrame, size: int) -> Iterator[list[Index]]:
+    """The whole benchmark by form, in parts of at most ``BROADCAST_WINDOWS`` windows or one item."""
+    part = [Index(size), Index(size)]
     for r in benchmark.where("item_id is not null").select("item_id", "text").toLocalIterator():
-        index.add(r[0], r[1])
-        if index.n >= BROADCAST_WINDOWS:
-            yield index.close()
-            index = Index(size)
-    if index.n:
-        yield index.close()
+        for index, form in zip(part, canonical(r[1])):
+            index.add(r[0], *form)
+        if sum(index.n for index in part) >= BROADCAST_WINDOWS:
+            yield [index.close() for index in part]
+            part = [Index(size), Index(size)]
+    if any(index.n for index in part):
+        yield [index.close() for index in part]
 
 
 def find_leaks(docs: DataFrame, benchmark: DataFrame, size: int = 8, coverage: float = 0.6) -> DataFrame:
@@ -227,6 +245,7 @@ def find_leaks(docs: DataFrame, benchmark: DataFrame, size: int = 8, coverage: f
     returned when in one of them the slots are consistent and one of these holds: the share of the item's windows in the document
     reaches ``coverage``; all its words but one are there; ``size`` + 2 words in a row are there, or half of an item of under twice
     that, but not under ``size``. Items of under twice ``size`` words have shorter windows. Consistent: each value of the item goes with one value of the document (two values of the item may become one by chance).
+    Items and documents are compared in two forms, with names as words and as placeholders; the better one counts.
     ``same_values`` tells a literal copy from a question with other values. Null texts and ids are left out; empty tables give no
     pairs. The benchmark's windows are broadcast in parts of a fixed size, each with a pass over the documents.
     """
@@ -235,8 +254,8 @@ def find_leaks(docs: DataFrame, benchmark: DataFrame, size: int = 8, coverage: f
     kind = f"doc_id {doc}, item_id {item.simpleString()}, met bigint, n_windows bigint, n_hit bigint, coverage double, consistent boolean, same_values boolean"
     given = docs.where("doc_id is not null and text is not null").select("doc_id", "text")
     out = spark.createDataFrame([], kind)
-    for index in _indexes(benchmark, size):
-        held = spark.sparkContext.broadcast(index)
+    for part in _indexes(benchmark, size):
+        held = spark.sparkContext.broadcast(part)
 
         def run(batches: Iterator[pa.RecordBatch], held=held) -> Iterator[pa.RecordBatch]:
             from pyspark.sql.pandas.types import to_arrow_type

@@ -261,3 +261,16 @@ def test_decontamination_of_edited_and_partial_items(spark):
     bench = spark.createDataFrame([(k, " ".join(w)) for k, w in items.items()], "item_id long, text string")
     got = {(r.doc_id, r.item_id) for r in decontam.find_leaks(spark.createDataFrame(docs, "doc_id long, text string"), bench).collect()}
     assert got == want
+
+
+def test_decontamination_by_case_and_names(spark):
+    tom = "Tom has 3 apples. Tom buys 5 more at the shop. Tom gives half of them away. How many are left"
+    item = "A train travels 120 km in 3 hours from Paris to the coast of the north sea, how fast does it travel"
+    short = "The big dog of Tom ate all of my food"
+    bench = spark.createDataFrame([(1, item), (2, tom), (3, short)], "item_id long, text string")
+    docs = [
+        (1, "Some words before. " + item.upper() + " and after", 1, True), (2, item.lower(), 1, True), (3, tom.replace("Tom", "Ann"), 2, False), (4, "said that " + tom.replace("Tom", "Ann").replace("3", "4"), 2, False),
+        (5, "they read the " + short, 3, True), (6, "and now Mister " + tom, 2, True), (7, "Short of Words And of Names", None, None),
+    ]
+    got = {(r.doc_id, r.item_id, r.same_values) for r in decontam.find_leaks(spark.createDataFrame([d[:2] for d in docs], "doc_id long, text string"), bench).collect()}
+    assert got == {(d, k, same) for d, _, k, same in docs if k}
