@@ -56,6 +56,7 @@ class Matcher:
     def __init__(self, templates: dict[str, list[str]], counts: dict[str, int], percent: int):
         self.index: dict[str, list[tuple[int, int]]] = {}
         self.sets: list[tuple[str, list[str], int]] = []
+        self.spans: list[int] = []  # words of each template, repeated ones too
         for label, texts in templates.items():
             for text in texts:
                 words = sorted(set(words_of(text)), key=lambda w: (counts.get(w, 0), w))
@@ -63,6 +64,7 @@ class Matcher:
                 for place, word in enumerate(words[: len(words) - need + 1]):
                     self.index.setdefault(word, []).append((len(self.sets), place))
                 self.sets.append((label, words, need))
+                self.spans.append(len(words_of(text)))
         self.prefixes = set(self.index)
 
     def block(self, words: set[str], found: dict[int, float]) -> None:
@@ -82,7 +84,27 @@ class Matcher:
                     found[k] = max(found.get(k, 0), same / len(order))
 
 
-def scan_licenses(docs: DataFrame, templates: dict[str, list[str]] | None = None, percent: int = 90) -> DataFrame:
+    def windows(self, words: list[str], found: dict[int, float]) -> None:
+        """Templates met by some run of as many words of the text as the template has."""
+        for k, (_, order, need) in enumerate(self.sets):
+            own = set(order)
+            if sum(w in own for w in words) < need:
+                continue
+            held: Counter = Counter()
+            best = 0
+            for i, word in enumerate(words):
+                if word in own:
+                    held[word] += 1
+                if i >= self.spans[k] and (gone := words[i - self.spans[k]]) in own:
+                    held[gone] -= 1
+                    if not held[gone]:
+                        del held[gone]
+                best = max(best, len(held))
+            if best >= need:
+                found[k] = max(found.get(k, 0), best / len(order))
+
+
+def scan_licenses(docs: DataFrame, templates: dict[str, list[str]] | None = None, percent: int = 90, by: str = "line") -> DataFrame:
     """Per row of ``docs`` (doc_id, text): doc_id, n_words, n_base, first_word, last_word, base_labels, labels, score, blocks.
 
     Words: runs of characters other than ASCII punctuation, space and controls, after lower-casing A-Z. The base
@@ -90,6 +112,7 @@ def scan_licenses(docs: DataFrame, templates: dict[str, list[str]] | None = None
     smallest and largest start or null. ``labels`` adds the licenses with a template of which a line of the text contains
     ``percent`` per cent of the distinct words; ``blocks`` lists their line numbers; ``score`` is the best containment (1 with a
     base hit, 0 without any label). Null and empty texts have no words. Every line of a text is a block, whatever its length.
+    With ``by`` "window" instead, every run of as many words as a template has is a block, over line breaks; ``blocks`` is empty.
     """
     templates = TEMPLATES if templates is None else templates
     vocabulary = {w for texts in templates.values() for t in texts for w in words_of(t)}
@@ -113,7 +136,9 @@ def scan_licenses(docs: DataFrame, templates: dict[str, list[str]] | None = None
                         at = joined.find(phrase, at + 1)
                 best: dict[int, float] = {}
                 blocks = []
-                if not matcher.prefixes.isdisjoint(words):
+                if by == "window" and not matcher.prefixes.isdisjoint(words):
+                    matcher.windows(words, best)
+                elif not matcher.prefixes.isdisjoint(words):
                     for i, line in enumerate(text.split("\n")):
                         found: dict[int, float] = {}
                         matcher.block(set(words_of(line)), found)

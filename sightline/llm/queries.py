@@ -85,10 +85,15 @@ def op10_license(spark: SparkSession, sf_dir: str) -> DataFrame:
     return license.scan_licenses(table(spark, sf_dir, "documents")).drop("blocks")
 
 
+def op10_license_wrapped(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """As op10_license, with statements over line breaks and without word sets scattered over a long line; no SQL twin."""
+    return license.scan_licenses(table(spark, sf_dir, "documents"), by="window").drop("blocks")
+
+
 QUERIES = {
     f.__name__: f
     for f in (
-        op1_embedding_near_dedup, op2_decontamination, op3_toxicity, op4_line_dedup, op5_html_text, op6_ngram_jaccard, op7_token_files, op8_bpe, op9_url_filter, op10_license,
+        op1_embedding_near_dedup, op2_decontamination, op3_toxicity, op4_line_dedup, op5_html_text, op6_ngram_jaccard, op7_token_files, op8_bpe, op9_url_filter, op10_license, op10_license_wrapped,
     )
 }
 

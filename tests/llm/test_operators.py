@@ -274,3 +274,11 @@ def test_decontamination_by_case_and_names(spark):
     ]
     got = {(r.doc_id, r.item_id, r.same_values) for r in decontam.find_leaks(spark.createDataFrame([d[:2] for d in docs], "doc_id long, text string"), bench).collect()}
     assert got == {(d, k, same) for d, _, k, same in docs if k}
+
+
+def test_wrapped_licenses(spark, odd, none):
+    notice = license.TEMPLATES["mit"][1].split()
+    rows = [(1, "head\n" + " ".join(notice[:7]) + "\n" + " ".join(notice[7:]) + "\ntail"), (2, "all " + "x " * 50 + "rights " + "y " * 50 + "reserved"), (3, "All rights\nreserved"), (4, None)]
+    got = {r.doc_id: r.labels for r in license.scan_licenses(spark.createDataFrame(rows, "doc_id long, text string"), by="window").collect()}
+    assert got == {1: "mit", 2: "", 3: "all-rights-reserved", 4: ""}
+    assert license.scan_licenses(odd, by="window").count() == len(ODD) and license.scan_licenses(none, by="window").count() == 0
