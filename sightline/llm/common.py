@@ -2,10 +2,14 @@
 
 from __future__ import annotations
 
+import ctypes
 import gc
 import tempfile
 import uuid
+from collections.abc import Callable, Iterator
+from functools import wraps
 
+import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
@@ -18,15 +22,46 @@ LOWER_TABLE = {ord(c): c.lower() for c in UPPER}
 
 
 def shared_dir(spark: SparkSession) -> str:
-    """The folder of ``spark.checkpoint.dir``; a temporary one where the setting is absent (tests, local mode)."""
+    """The folder of ``spark.checkpoint.dir``, which all executors must share; a temporary one where it is unset and Spark is one local process."""
     named = spark.conf.get("spark.checkpoint.dir", "") or spark.sparkContext.getConf().get("spark.checkpoint.dir", "")
     if named:
         return named.rstrip("/")
+    if not spark.sparkContext.master.partition("[")[0] == "local":
+        raise ValueError("set spark.checkpoint.dir to a folder that the driver and all executors share")
     if "dir" not in _OWN:
         _OWN["dir"] = tempfile.mkdtemp(prefix="corpus-shared-")
     return _OWN["dir"]
 
 
+def trim() -> None:
+    """Give freed memory back to the system: Python workers live on for other tasks."""
+    pa.default_memory_pool().release_unused()
+    try:
+        ctypes.CDLL("libc.so.6").malloc_trim(0)
+    except (OSError, AttributeError):  # another C library
+        pass
+
+
+def tidy(run: Callable[[Iterator[pa.RecordBatch]], Iterator[pa.RecordBatch]]) -> Callable[[Iterator[pa.RecordBatch]], Iterator[pa.RecordBatch]]:
+    """A function over a partition's batches that ends with :func:`trim`."""
+
+    @wraps(run)
+    def wrapped(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        try:
+            yield from run(batches)
+        finally:
+            trim()
+
+    return wrapped
+
+
+def slices(batches: Iterator[pa.RecordBatch], rows: int = 256) -> Iterator[pa.RecordBatch]:
+    """The batches in pieces of some rows, so that what is made of them stays small."""
+    for batch in batches:
+        for at in range(0, batch.num_rows, rows):
+            yield batch.slice(at, rows)
+
+
 def saved(df: DataFrame, label: str) -> DataFrame:
     """Write ``df`` to the shared folder and read it back: cuts the lineage and survives lost executors."""
     spark = df.sparkSession
@@ -49,7 +84,7 @@ def forget(spark: SparkSession, *tables: DataFrame | None) -> None:
     spark.sparkContext._jvm.System.gc()  # lets Spark's cleaner drop the shuffle files of the steps before
 
 
-def connected_components(edges: DataFrame, rounds: int = 40) -> DataFrame:
+def connected_components(edges: DataFrame) -> DataFrame:
     """Smallest reachable id of every node of ``edges`` (a, b): rows (node, component).
 
     Large-star and small-star steps alternate until nothing changes. Every step is an aggregation with
@@ -62,7 +97,7 @@ def connected_components(edges: DataFrame, rounds: int = 40) -> DataFrame:
         F.greatest("a", "b").alias("u"), F.least("a", "b").alias("v")
     ).distinct()
     links, before = saved(links, "links"), None
-    for _ in range(rounds):
+    while True:  # each pair of steps brings nodes nearer to their smallest one, so this ends
         both = links.select("u", "v").unionByName(links.select(F.col("v").alias("u"), F.col("u").alias("v")))
         least = both.groupBy("u").agg(F.min("v").alias("m")).select("u", F.least("u", "m").alias("m"))
         large = (

@@ -15,7 +15,8 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .hashing import mix
+from . import scan
+from .common import slices, tidy
 
 _TOKEN = re.compile(r"\d+(?:[.,]\d+)*|[^\W\d_]+|[.!?:\n|]|[%€$£°]")
 #: Units, spelled out and short.
@@ -25,7 +26,9 @@ UNITS = {
     "dollar", "dollars", "euro", "euros", "pound", "pounds", "cent", "cents", "percent", "degree", "degrees", "%", "€", "$", "£", "°",
 }
 #: The benchmark's windows are broadcast in parts of about so many (16 bytes each).
-BROADCAST_WINDOWS = 2_000_000
+BROADCAST_WINDOWS = 500_000
+#: Texts that a task holds as Python strings at once.
+_ROWS = 512
 #: Hits of one alignment may be so many words off it, for added or dropped words.
 SHIFT = 3
 #: A part of an item, or an edited one, has so many words at least that are no placeholders.
@@ -81,32 +84,7 @@ def canonical(text: str | None) -> list[tuple[list[str], list[str | None]]]:
     return [(words, values), (out_words + words[done:], out_values + values[done:])]
 
 
-_NAMES: dict[str, int] = {}
-
-
-def _hash_words(words: list[str]) -> np.ndarray:
-    import xxhash
-
-    if len(_NAMES) > 200_000:
-        _NAMES.clear()
-    out = []
-    for w in words:
-        h = _NAMES.get(w)
-        if h is None:
-            h = _NAMES[w] = xxhash.xxh64_intdigest(w.encode())
-        out.append(h)
-    return np.array(out, np.uint64)
-
-
-def window_hashes(words: list[str], size: int) -> np.ndarray:
-    """Hashes of all windows of ``size`` canonical words; of the whole sequence if it is shorter; none without words."""
-    if not words:
-        return np.zeros(0, np.uint64)
-    h, size = _hash_words(words), min(size, len(words))
-    out = np.zeros(len(h) - size + 1, np.uint64)
-    for i in range(size):
-        out = out * np.uint64(0x9E3779B97F4A7C15) + mix(h[i : i + len(out)], 11)
-    return mix(out, size)
+_FIXED = {"<num>": scan.NUM, "<unit>": scan.UNIT, "<name>": scan.NAME}
 
 
 class Index:
@@ -114,13 +92,23 @@ class Index:
 
     def __init__(self, size: int):
         self.size, self.items, self.parts, self.n = size, [], [], 0
+        self.brief: dict[tuple[str, ...], list[int]] = {}
+        self.known: dict[str, int] = {}
 
     def add(self, item_id, words: list[str], values: list[str | None]) -> None:
-        if len(words) < 3:
-            return
         n = len(words)
+        if not n:
+            return
+        if n < 3:  # met by texts of just these words
+            self.brief.setdefault(tuple(words), []).append(len(self.items))
+            self.items.append((item_id, words, n, 1, values))
+            self.n += 1
+            return
         width = n if n < self.size else min(self.size, max(3, (n - 1) // 2))  # one edit leaves a window of every item from ``size`` words on
-        got = window_hashes(words, width)
+        for w in words:
+            if w not in self.known:
+                self.known[w] = _FIXED.get(w) or scan.word_hash(w)
+        got = scan.window_hashes(np.array([self.known[w] for w in words], np.uint64), width)
         self.parts.append((np.full(len(got), len(self.items)), np.arange(len(got)), got))
         self.items.append((item_id, words, width, len(np.unique(got)), values))
         self.n += len(got)
@@ -131,29 +119,29 @@ class Index:
         item, place, hashes = (np.concatenate(c) for c in zip(*self.parts))
         order = np.argsort(hashes, kind="stable")
         self.parts, self.item, self.place, self.hashes = [], item[order].astype(np.int32), place[order].astype(np.int32), hashes[order]
-        self.widths = sorted({i[2] for i in self.items})
+        self.widths = sorted({i[2] for i in self.items if len(i[1]) > 2})
         return self
 
     def hits(self, words: list[str]) -> dict[int, tuple[np.ndarray, np.ndarray]]:
-        """Item -> (places in the item, places in the document) of all windows that both hold."""
-        out = []
+        """Item -> (places in the item, places in the document) of all windows that both hold, word for word."""
+        hashes, out = np.array([self.known.get(w, 0) for w in words], np.uint64), []  # what no item holds is only a gap
         for width in self.widths:
-            if len(words) < width:
-                continue
-            got = window_hashes(words, width)
+            got = scan.window_hashes(hashes, width)
             lo, hi = np.searchsorted(self.hashes, got), np.searchsorted(self.hashes, got, "right")
             at = np.flatnonzero(hi > lo)
             if len(at):
                 n = hi[at] - lo[at]
                 k = np.repeat(lo[at] - np.cumsum(n) + n, n) + np.arange(n.sum())
-                out.append((self.item[k], self.place[k], np.repeat(at, n)))
+                at = np.repeat(at, n)
+                same = [words[q : q + width] == self.items[i][1][p : p + width] for i, p, q in zip(self.item[k].tolist(), self.place[k].tolist(), at.tolist())]
+                out.append((self.item[k[same]], self.place[k[same]], at[same]))
         if not out:
             return {}
         item, place, found = (np.concatenate(c) for c in zip(*out))
         order = np.argsort(item, kind="stable")
         item, place, found = item[order], place[order], found[order]
         cuts = np.flatnonzero(np.diff(item)) + 1
-        return {int(i[0]): (p, q) for i, p, q in zip(np.split(item, cuts), np.split(place, cuts), np.split(found, cuts))}
+        return {int(i[0]): (p, q) for i, p, q in zip(np.split(item, cuts), np.split(place, cuts), np.split(found, cuts)) if len(i)}
 
 
 def _alignments(asked: np.ndarray, found: np.ndarray) -> Iterator[dict[int, int]]:
@@ -210,6 +198,10 @@ def leaks_of(text: str | None, indexes: list[Index], coverage: float) -> dict:
     """Item id -> its best alignment with the text, in either form, that is a leak."""
     out: dict = {}
     for (words, values), index in zip(canonical(text), indexes):
+        for k in index.brief.get(tuple(words), ()) if len(words) < 3 else ():
+            slots = {(a, b) for a, b in zip(index.items[k][4], values) if a is not None}
+            if len({a for a, _ in slots}) == len(slots):
+                out[index.items[k][0]] = (1.0, (len(words), 1, 1, 1.0, True, all(a == b for a, b in slots)))
         for k, (asked, found) in index.hits(words).items():
             item = index.items[k]
             for hits in _alignments(asked, found):
@@ -224,6 +216,20 @@ def leaks_of(text: str | None, indexes: list[Index], coverage: float) -> dict:
     return {k: got for k, (_, got) in out.items()}
 
 
+def _may_leak(texts: list[str], filters: list[scan.Filter], units: np.ndarray, brief: bool) -> list[int]:
+    """Places of the texts that hold a window of the benchmark in either form, of odd ones, and of very short ones where items are so short."""
+    out: list[int] = []
+    for at, to in scan.steps(texts):
+        words = scan.Words(texts[at:to], units)
+        found = words.odd.copy()
+        for (hashes, own), some in zip(words.forms, filters):
+            found[some.texts(hashes, own)] = True
+            if brief:
+                found |= np.bincount(own, minlength=to - at) < 3
+        out += (at + np.flatnonzero(found)).tolist()
+    return out
+
+
 def _indexes(benchmark: DataFrame, size: int) -> Iterator[list[Index]]:
     """The whole benchmark by form, in parts of at most ``BROADCAST_WINDOWS`` windows or one item."""
     part = [Index(size), Index(size)]
@@ -240,7 +246,8 @@ def _indexes(benchmark: DataFrame, size: int) -> Iterator[list[Index]]:
 def find_leaks(docs: DataFrame, benchmark: DataFrame, size: int = 8, coverage: float = 0.6) -> DataFrame:
     """Pairs (doc_id, item_id, n_windows, n_hit, coverage, consistent, same_values) of documents with benchmark items in them.
 
-    An item with fewer than ``size`` canonical words counts as one window of all its words, if it has three at least. Every place of
+    An item with fewer than ``size`` canonical words counts as one window of all its words; one of one or two words is met by a text of
+    just these words, and one without words by nothing. Texts are first scanned as arrays of hashes for windows of the benchmark; what that finds is compared word for word. Every place of
     a window counts; an item is laid on a document in all ways that windows of both allow, and judged for each way alone. A pair is
     returned when in one of them the slots are consistent and one of these holds: the share of the item's windows in the document
     reaches ``coverage``; all its words but one are there; ``size`` + 2 words in a row are there, or half of an item of under twice
@@ -257,16 +264,22 @@ def find_leaks(docs: DataFrame, benchmark: DataFrame, size: int = 8, coverage: f
     for part in _indexes(benchmark, size):
         held = spark.sparkContext.broadcast(part)
 
+        @tidy
         def run(batches: Iterator[pa.RecordBatch], held=held) -> Iterator[pa.RecordBatch]:
             from pyspark.sql.pandas.types import to_arrow_type
 
             kinds = [to_arrow_type(item), pa.int64(), pa.int64(), pa.int64(), pa.float64(), pa.bool_(), pa.bool_()]
             names = ["doc_id", "item_id", "met", "n_windows", "n_hit", "coverage", "consistent", "same_values"]
-            for batch in batches:
+            indexes = held.value
+            filters = [scan.Filter(index.hashes, index.widths) for index in indexes]
+            units = np.array([scan.word_hash(u) for u in UNITS], np.uint64)
+            brief = any(index.brief for index in indexes)
+            for part in slices(batches, _ROWS):
+                ids, texts = part.column(0), part.column(1).to_pylist()
                 rows = []
-                for doc_id, text in zip(batch.column(0).to_pylist(), batch.column(1).to_pylist()):
-                    rows += [(doc_id, item_id, *got) for item_id, got in leaks_of(text, held.value, coverage).items()]
-                yield pa.RecordBatch.from_arrays([pa.array(c, k) for c, k in zip(list(zip(*rows)) or [()] * 8, [batch.schema.field(0).type, *kinds])], names)
+                for k in _may_leak(texts, filters, units, brief):
+                    rows += [(ids[k].as_py(), item_id, *got) for item_id, got in leaks_of(texts[k], indexes, coverage).items()]
+                yield pa.RecordBatch.from_arrays([pa.array(c, k) for c, k in zip(list(zip(*rows)) or [()] * 8, [part.schema.field(0).type, *kinds])], names)
 
         out = out.unionByName(given.mapInArrow(run, kind))
     best = F.max(F.struct("met", "n_windows", "n_hit", "coverage", "consistent", "same_values")).alias("b")
