@@ -13,7 +13,7 @@ from sightline.llm import bpe, decontam, lines, ngram_join, toxicity
 from sightline.llm.common import saved
 from sightline.llm.queries import BYTE_BPE, REJECT, learn, table
 
-#: SQL cannot express the toxicity stage; tests/llm compares run() with a plain Python version.
+#: SQL cannot express the toxicity stage; tests/llm/test_pipeline.py compares run() with a plain Python version.
 ORACLE_SQL = None
 COLUMNS = ["doc_id", "text", "lang", "source", "n_chars"]
 

@@ -14,15 +14,17 @@ import pyarrow as pa
 import regex
 from pyspark.sql import DataFrame
 
+from .common import slices, tidy
+
 #: The pre-tokenizer's white space (Unicode White_Space) and its pattern.
 _SPACE = r"\t-\r\x20\x85\xa0\u1680\u2000-\u200a\u2028\u2029\u202f\u205f\u3000"
 PIECES = rf"'s|'t|'re|'ve|'m|'ll|'d| ?\p{{L}}+| ?\p{{N}}+| ?[^{_SPACE}\p{{L}}\p{{N}}]+|[{_SPACE}]+(?![^{_SPACE}])|[{_SPACE}]+"
 #: The same pattern for texts of ASCII only.
 ASCII_PIECES = r"'s|'t|'re|'ve|'m|'ll|'d| ?[A-Za-z]+| ?[0-9]+| ?[^\t-\r\x20A-Za-z0-9]+|[\t-\r\x20]+(?![^\t-\r\x20])|[\t-\r\x20]+"
-_CACHE_ROWS = 150_000
+_CACHE_ROWS = 80_000
 _CACHE_PIECE = 64
 _TOKENIZERS: dict[str, "ByteBpe"] = {}
-_PATTERNS: dict[str, "Pieces"] = {}
+_NEWER: dict[str, dict[str, str]] = {}
 
 
 def _byte_letters() -> dict[str, int]:
@@ -39,17 +41,12 @@ class Pieces:
     pre-tokenizer with each letter and number once. Only texts with one of them take the slower exact pattern.
     """
 
-    def __init__(self, path: str):
-        from tokenizers import Tokenizer
-
-        cut = Tokenizer.from_file(path).pre_tokenizer.pre_tokenize_str
-        text = "".join(map(chr, [*range(128, 0xD800), *range(0xE000, 0x110000)]))
-        exact, every = PIECES, ""
-        for kind, lead in (("L", "a"), ("N", "1")):
-            newer = "".join(c for c in regex.findall(rf"\p{{{kind}}}", text) if len(cut(lead + c)) > 1)
-            every += newer
-            if newer:
-                exact = exact.replace(rf"\p{{{kind}}}", rf"[\p{{{kind}}}--[{newer}]]")
+    def __init__(self, newer: dict[str, str]):
+        exact = PIECES
+        for kind, letters in newer.items():
+            if letters:
+                exact = exact.replace(rf"\p{{{kind}}}", rf"[\p{{{kind}}}--[{letters}]]")
+        every = "".join(newer.values())
         self.newer = frozenset(every)
         self.far = re.compile(f"[{min(every, default=chr(0x10FFFF))}-\U0010ffff]")
         near = [chr(c) for c in range(128, 0x250)]
@@ -66,10 +63,15 @@ class Pieces:
         return (self.exact if self.far.search(text) and not self.newer.isdisjoint(text) else self.usual).findall(text)
 
 
-def pieces_of(path: str) -> Pieces:
-    if path not in _PATTERNS:
-        _PATTERNS[path] = Pieces(path)
-    return _PATTERNS[path]
+def newer_of(path: str) -> dict[str, str]:
+    """Letters (L) and numbers (N) that ``regex`` knows and the pre-tokenizer of the file does not. Asked once, on the driver, and sent along."""
+    if path not in _NEWER:
+        from tokenizers import Tokenizer
+
+        cut = Tokenizer.from_file(path).pre_tokenizer.pre_tokenize_str
+        text = "".join(map(chr, [*range(128, 0xD800), *range(0xE000, 0x110000)]))
+        _NEWER[path] = {kind: "".join(c for c in regex.findall(rf"\p{{{kind}}}", text) if len(cut(lead + c)) > 1) for kind, lead in (("L", "a"), ("N", "1"))}
+    return _NEWER[path]
 
 
 class ByteBpe:
@@ -79,7 +81,7 @@ class ByteBpe:
     empty) or of any length; work is linear in the text but for single pieces, which take n log n.
     """
 
-    def __init__(self, path: str):
+    def __init__(self, path: str, newer: dict[str, str] | None = None):
         with open(path, encoding="utf-8") as f:
             spec = json.load(f)
         if (kind := spec["pre_tokenizer"]["type"]) != "ByteLevel" or spec.get("normalizer"):
@@ -89,15 +91,16 @@ class ByteBpe:
         vocab = spec["model"]["vocab"]
         self.strings: dict[int, bytes] = {i: raw(s) for s, i in vocab.items()}
         self.single = [vocab[c] for c, _ in sorted(letters.items(), key=lambda x: x[1])]
-        self.merges: dict[tuple[int, int], tuple[int, int]] = {}
+        # left id and right id in one number -> rank and made id in one number: half the memory of tuples
+        self.merges: dict[int, int] = {}
         for rank, pair in enumerate(spec["model"]["merges"]):
             a, b = pair if isinstance(pair, list) else pair.split(" ")
-            self.merges.setdefault((vocab[a], vocab[b]), (rank, vocab[a + b]))
+            self.merges.setdefault(vocab[a] << 32 | vocab[b], rank << 32 | vocab[a + b])
         added = {t["content"]: t["id"] for t in spec.get("added_tokens", [])}
         self.added = {s: np.uint32(i).tobytes() for s, i in added.items()}
         self.strings |= {i: s.encode() for s, i in added.items()}
         self.split = regex.compile("(" + "|".join(regex.escape(s) for s in sorted(added, key=len, reverse=True)) + ")") if added else None
-        self.pieces = pieces_of(path)
+        self.pieces = Pieces(newer_of(path) if newer is None else newer)
         self.cache: dict[str, bytes] = {}
 
     def merge(self, data: bytes) -> list[int]:
@@ -111,8 +114,8 @@ class ByteBpe:
         before = list(range(-1, n - 1))
         queue = []
         for i in range(n - 1):
-            if found := merges.get((ids[i], ids[i + 1])):
-                queue.append((found[0], i, ids[i], ids[i + 1], found[1]))
+            if (found := merges.get(ids[i] << 32 | ids[i + 1])) is not None:
+                queue.append((found >> 32, i, ids[i], ids[i + 1], found & 0xFFFFFFFF))
         heapq.heapify(queue)
         while queue:
             _, i, left, right, made = heapq.heappop(queue)
@@ -123,11 +126,11 @@ class ByteBpe:
             j = after[i] = after[j]
             if j < n:
                 before[j] = i
-                if found := merges.get((made, ids[j])):
-                    heapq.heappush(queue, (found[0], i, made, ids[j], found[1]))
+                if (found := merges.get(made << 32 | ids[j])) is not None:
+                    heapq.heappush(queue, (found >> 32, i, made, ids[j], found & 0xFFFFFFFF))
             h = before[i]
-            if h >= 0 and (found := merges.get((ids[h], made))):
-                heapq.heappush(queue, (found[0], h, ids[h], made, found[1]))
+            if h >= 0 and (found := merges.get(ids[h] << 32 | made)) is not None:
+                heapq.heappush(queue, (found >> 32, h, ids[h], made, found & 0xFFFFFFFF))
         return [x for x in ids if x >= 0]
 
     def piece(self, text: str) -> bytes:
@@ -159,10 +162,10 @@ class ByteBpe:
         return b"".join([strings.get(i, b"") for i in np.frombuffer(ids, "<u4").tolist()]).decode("utf-8", "replace")
 
 
-def tokenizer(path: str) -> ByteBpe:
+def tokenizer(path: str, newer: dict[str, str] | None = None) -> ByteBpe:
     """One encoder per Python worker and file."""
     if path not in _TOKENIZERS:
-        _TOKENIZERS[path] = ByteBpe(path)
+        _TOKENIZERS[path] = ByteBpe(path, newer)
     return _TOKENIZERS[path]
 
 
@@ -175,28 +178,27 @@ def encode_decode(docs: DataFrame, path: str, keep_text: bool = False) -> DataFr
     a lost task is encoded again from its input split.
     """
     docs = docs.select("doc_id", "text")
+    newer = newer_of(path)
 
+    @tidy
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        own = tokenizer(path)
-        for batch in batches:
-            # a few hundred texts at most, so that ids and strings of one step stay small
-            for at in range(0, batch.num_rows, 256):
-                part = batch.slice(at, 256)
-                texts = part.column(1).to_pylist()
-                ids = [own.encode(t) for t in texts]
-                back = [own.decode(i) for i in ids]
-                columns = [
-                    part.column(0),
-                    pa.array([len(i) // 4 for i in ids], pa.int64()),
-                    pa.array([hashlib.sha256(i).hexdigest() for i in ids], pa.string()),
-                    pa.array([hashlib.sha256(t.encode("utf-8")).hexdigest() for t in back], pa.string()),
-                    pa.array([(t or "") == b for t, b in zip(texts, back)], pa.bool_()),
-                ]
-                names = ["doc_id", "n_tokens", "ids_sha256", "decoded_sha256", "round_trip"]
-                if keep_text:
-                    columns += [pa.array([np.frombuffer(i, "<u4").astype(np.int64) for i in ids], pa.list_(pa.int64())), pa.array(back, pa.string())]
-                    names += ["ids", "decoded"]
-                yield pa.RecordBatch.from_arrays(columns, names)
+        own = tokenizer(path, newer)
+        for part in slices(batches):
+            texts = part.column(1).to_pylist()
+            ids = [own.encode(t) for t in texts]
+            back = [own.decode(i) for i in ids]
+            columns = [
+                part.column(0),
+                pa.array([len(i) // 4 for i in ids], pa.int64()),
+                pa.array([hashlib.sha256(i).hexdigest() for i in ids], pa.string()),
+                pa.array([hashlib.sha256(t.encode("utf-8")).hexdigest() for t in back], pa.string()),
+                pa.array([(t or "") == b for t, b in zip(texts, back)], pa.bool_()),
+            ]
+            names = ["doc_id", "n_tokens", "ids_sha256", "decoded_sha256", "round_trip"]
+            if keep_text:
+                columns += [pa.array([np.frombuffer(i, "<u4").astype(np.int64) for i in ids], pa.list_(pa.int64())), pa.array(back, pa.string())]
+                names += ["ids", "decoded"]
+            yield pa.RecordBatch.from_arrays(columns, names)
 
     kind = docs.schema["doc_id"].dataType.simpleString()
     more = ", ids array<bigint>, decoded string" if keep_text else ""

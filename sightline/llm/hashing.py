@@ -8,7 +8,7 @@ import pyarrow.compute as pc
 
 _MASK = (1 << 64) - 1
 _RADIX = np.uint64(0x9E3779B97F4A7C15)
-_CHUNK = 1 << 20
+_CHUNK = 1 << 18
 
 
 def mix(x: np.ndarray, seed: int = 0) -> np.ndarray:
@@ -29,7 +29,7 @@ def _powers(n: int) -> np.ndarray:
         factors = np.full(n, _RADIX, dtype=np.uint64)
         factors[0] = 1
         have = np.multiply.accumulate(factors)
-        if n <= 4 * _CHUNK:
+        if n <= _CHUNK:
             _POW["p"] = have
     return have[:n]
 
@@ -65,7 +65,7 @@ def shingle_sets(column: pa.Array, k: int):
     """Yield, text by text, the sorted distinct 64-bit hashes of its ``k``-word shingles.
 
     A text of one to k-1 words gives the whole sequence as its one shingle; null, empty or blank texts give
-    an empty set. Works through the column in slices of about a megabyte, so memory follows the largest text.
+    an empty set. Works through the column in slices of about a quarter of a megabyte, so memory follows the largest text.
     """
     weights = mix(np.arange(1, k + 1, dtype=np.uint64), 7)
     for data, bounds in _slices(column):

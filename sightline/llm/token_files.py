@@ -12,12 +12,14 @@ from pyspark import TaskContext
 from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
-from .bpe import pieces_of
-from .common import shared_dir
+from .bpe import Pieces, newer_of
+from .common import shared_dir, slices, tidy
 
 _CACHE_ROWS = 200_000
 _CACHE_PIECE = 64
 _STEP = 1000
+#: Shards grow to about so much input before there are more of them.
+SHARD_BYTES = 256 << 20
 _READY: dict[str, "LibraryEncoder"] = {}
 
 
@@ -28,14 +30,14 @@ class LibraryEncoder:
     recent ones lack goes through the library, all of a step at once. Texts that hold an added token go through it whole.
     """
 
-    def __init__(self, path: str):
+    def __init__(self, path: str, newer: dict[str, str]):
         from tokenizers import Tokenizer
 
         self.library = Tokenizer.from_file(path)
         self.library.no_truncation()
         self.library.no_padding()
         self.added = [t.content for t in self.library.get_added_tokens_decoder().values()]
-        self.pieces = pieces_of(path)
+        self.pieces = Pieces(newer)
         self.young: dict[str, bytes] = {}
         self.old: dict[str, bytes] = {}
 
@@ -65,12 +67,18 @@ class LibraryEncoder:
         return out
 
 
-def library(path: str) -> LibraryEncoder:
+def library(path: str, newer: dict[str, str]) -> LibraryEncoder:
     if path not in _READY:
-        _READY[path] = LibraryEncoder(path)
+        _READY[path] = LibraryEncoder(path, newer)
     return _READY[path]
 
 
+def _size(docs: DataFrame) -> int:
+    """Bytes of the input as the planner knows them, 0 where it doesn't."""
+    known = int(str(docs._jdf.queryExecution().optimizedPlan().stats().sizeInBytes()))
+    return known if known < 1 << 60 else 0
+
+
 def write_token_files(docs: DataFrame, tokenizer_path: str, target: str, end_id: int = 0, shards: int | None = None, row_group_bytes: int = 16 << 20, page_bytes: int = 256 << 10) -> None:
     """Encode ``docs`` (doc_id, text) and write Parquet shards in ascending doc_id order below ``target``.
 
@@ -81,25 +89,26 @@ def write_token_files(docs: DataFrame, tokenizer_path: str, target: str, end_id:
     empty. Spark's commit protocol makes lost tasks harmless. An empty table gives an empty data set.
     """
     spark = docs.sparkSession
-    count = shards or int(spark.conf.get("spark.sql.shuffle.partitions"))
+    count = shards or max(int(spark.conf.get("spark.sql.shuffle.partitions")), -(-_size(docs) // SHARD_BYTES))
+
+    newer = newer_of(tokenizer_path)
 
+    @tidy
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        own = library(tokenizer_path)
+        own = library(tokenizer_path, newer)
         end = np.uint32(end_id).tobytes()
         shard, before = TaskContext.get().partitionId(), 0
-        for batch in batches:
-            for at in range(0, batch.num_rows, _STEP):
-                part = batch.slice(at, _STEP)
-                ids = [i + end for i in own.encode([t or "" for t in part.column(1).to_pylist()])]
-                sizes = np.array([len(i) // 4 for i in ids], np.int64)
-                ends = np.cumsum(sizes)
-                flat = pa.array(np.frombuffer(b"".join(ids), "<i4"), pa.int32())
-                lists = pa.ListArray.from_arrays(pa.array(np.concatenate([[0], ends]).astype(np.int32)), flat)
-                yield pa.RecordBatch.from_arrays(
-                    [part.column(0), pa.array(np.full(len(ids), shard, np.int32)), pa.array(before + ends - sizes), pa.array(sizes), pa.array([zlib.crc32(i) for i in ids], pa.int64()), lists],
-                    ["doc_id", "shard", "inside", "n_tokens", "ids_crc32", "tokens"],
-                )
-                before += int(ends[-1])
+        for part in slices(batches, _STEP):
+            ids = [i + end for i in own.encode([t or "" for t in part.column(1).to_pylist()])]
+            sizes = np.array([len(i) // 4 for i in ids], np.int64)
+            ends = np.cumsum(sizes)
+            flat = pa.array(np.frombuffer(b"".join(ids), "<i4"), pa.int32())
+            lists = pa.ListArray.from_arrays(pa.array(np.concatenate([[0], ends]).astype(np.int32)), flat)
+            yield pa.RecordBatch.from_arrays(
+                [part.column(0), pa.array(np.full(len(ids), shard, np.int32)), pa.array(before + ends - sizes), pa.array(sizes), pa.array([zlib.crc32(i) for i in ids], pa.int64()), lists],
+                ["doc_id", "shard", "inside", "n_tokens", "ids_crc32", "tokens"],
+            )
+            before += int(ends[-1])
 
     kind = docs.schema["doc_id"].dataType.simpleString()
     order = F.col("doc_id").asc_nulls_first()
@@ -129,6 +138,7 @@ def read_token_files(spark: SparkSession, target: str, tokens: bool = True) -> D
 def verified(rows: DataFrame) -> DataFrame:
     """Recomputes n_tokens and ids_crc32 from the token lists that the files hold."""
 
+    @tidy
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
             lists = batch.column(2)

@@ -13,11 +13,12 @@ from collections.abc import Iterator
 from dataclasses import dataclass
 
 import numpy as np
-import pandas as pd
 import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from .common import slices, tidy, trim
+
 #: Identity terms by kind; terms of a kind are swapped for one another.
 IDENTITY = {
     "faith": ["christian", "muslim", "jewish", "hindu", "buddhist", "atheist", "christ", "juif", "musulman", "chrétien", "judío", "musulmán", "cristiano", "jude", "moslem"],
@@ -30,7 +31,8 @@ IDENTITY = {
 }
 _KIND = {term: kind for kind, terms in IDENTITY.items() for term in terms}
 _WORD = re.compile(r"\w+")
-_CACHE_ROWS = 200_000
+_CACHE_ROWS = 100_000
+_FLUSH = 60_000
 
 
 def words_of(text: str | None) -> set[str]:
@@ -86,6 +88,7 @@ class ToxicityModel:
 def _counted(rows: DataFrame) -> DataFrame:
     """feature, toxic documents and other documents that hold it; flushed often, so memory stays bounded."""
 
+    @tidy
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         seen = (Counter(), Counter())
 
@@ -98,10 +101,10 @@ def _counted(rows: DataFrame) -> DataFrame:
                 c.clear()
             return out
 
-        for batch in batches:
+        for batch in slices(batches):
             for text, toxic in zip(batch.column(0).to_pylist(), batch.column(1).to_pylist()):
                 seen[toxic].update({f for w in words_of(text) for f in features_of(w)})
-                if len(seen[0]) + len(seen[1]) > 300_000:
+                if len(seen[0]) + len(seen[1]) > _FLUSH:
                     yield flush()
         yield flush()
 
@@ -118,7 +121,8 @@ def fit(docs: DataFrame, labels: DataFrame, sample_rows: int = 6000, features: i
     share of toxic rows, or 0 without any.
     """
     spark = docs.sparkSession
-    known = labels.where("toxic in (0, 1) and doc_id is not null").groupBy("doc_id").agg(F.max("toxic").cast("int").alias("toxic"))
+    kind = docs.schema["doc_id"].dataType
+    known = labels.where("toxic in (0, 1) and doc_id is not null").withColumn("doc_id", F.col("doc_id").cast(kind)).where("doc_id is not null").groupBy("doc_id").agg(F.max("toxic").cast("int").alias("toxic"))
     totals = {r.toxic: r.n for r in known.groupBy("toxic").agg(F.count("*").alias("n")).collect()}
     if len(totals) < 2:
         share = totals.get(1, 0) and 1.0
@@ -127,8 +131,8 @@ def fit(docs: DataFrame, labels: DataFrame, sample_rows: int = 6000, features: i
     for c in (0, 1):
         part = known.where(F.col("toxic") == c).orderBy(F.xxhash64("doc_id"), "doc_id").limit(sample_rows)
         chosen = part if chosen is None else chosen.unionByName(part)
-    picked = spark.createDataFrame([(r.doc_id, r.toxic) for r in chosen.collect()], "doc_id long, toxic int")  # 2 * sample_rows at most
-    rows = docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text").join(F.broadcast(picked), "doc_id")
+    picked = spark.createDataFrame([(r.doc_id, r.toxic) for r in chosen.collect()], f"doc_id {kind.simpleString()}, toxic int")  # 2 * sample_rows at most
+    rows = docs.select("doc_id", "text").join(F.broadcast(picked), "doc_id")
     sizes = Counter(r[0] for r in picked.select("toxic").collect())
     p, q, r = F.col("pos") / sizes[1], F.col("neg") / sizes[0], (F.col("pos") + F.col("neg")) / (sizes[0] + sizes[1])
     stats = _counted(rows).where(F.col("pos") + F.col("neg") >= least_docs)
@@ -138,8 +142,9 @@ def fit(docs: DataFrame, labels: DataFrame, sample_rows: int = 6000, features: i
     for term in _KIND:
         names.setdefault(term + "$", len(names))
 
+    @tidy
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for batch in batches:
+        for batch in slices(batches):
             own, other = [], []
             for doc_id, text in zip(batch.column(0).to_pylist(), batch.column(1).to_pylist()):
                 words = words_of(text)
@@ -149,7 +154,7 @@ def fit(docs: DataFrame, labels: DataFrame, sample_rows: int = 6000, features: i
             lists = pa.list_(pa.int32())
             yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(2), pa.array(own, lists), pa.array(other, lists)], ["doc_id", "toxic", "own", "other"])
 
-    data = rows.select("doc_id", "text", "toxic").mapInArrow(run, "doc_id long, toxic int, own array<int>, other array<int>").orderBy("doc_id").collect()
+    data = rows.select("doc_id", "text", "toxic").mapInArrow(run, f"doc_id {kind.simpleString()}, toxic int, own array<int>, other array<int>").orderBy("doc_id").collect()
     if len({r.toxic for r in data}) < 2:  # the documents with labels are not here
         return ToxicityModel({}, float(np.log((totals[1] + 0.5) / (totals[0] + 0.5))) if data else -40.0)
     y = np.array([r.toxic for r in data], float)
@@ -186,10 +191,12 @@ def score_texts(docs: DataFrame, model: ToxicityModel, column: str = "score") ->
     """The rows of ``docs`` (text) with the score 0 to 1 in ``column``, which is replaced if there. Null and empty texts get the score of no features."""
     weights, bias = docs.sparkSession.sparkContext.broadcast(model.weights), model.bias  # at most features + identity terms
 
-    @F.pandas_udf("double")
-    def scored(batches: Iterator[pd.Series]) -> Iterator[pd.Series]:
+    @F.arrow_udf("double")
+    def scored(batches: Iterator[pa.Array]) -> Iterator[pa.Array]:
         score = ToxicityModel(weights.value, bias).scorer()
         for texts in batches:
-            yield pd.Series([score(t) for t in texts], dtype="float64")
+            # some hundred strings at a time
+            yield pa.array([score(t) for at in range(0, len(texts), 256) for t in texts.slice(at, 256).to_pylist()], pa.float64())
+        trim()
 
     return docs.drop(column).withColumn(column, scored("text"))
