@@ -86,14 +86,14 @@ def op10_license(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def op10_license_wrapped(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """As op10_license, with statements over line breaks and without word sets scattered over a long line; no SQL twin."""
+    """As op10_license, with statements over line breaks and without word sets scattered over a long line."""
     return license.scan_licenses(table(spark, sf_dir, "documents"), by="window").drop("blocks")
 
 
 QUERIES = {
     f.__name__: f
     for f in (
-        op1_embedding_near_dedup, op2_decontamination, op3_toxicity, op4_line_dedup, op5_html_text, op6_ngram_jaccard, op7_token_files, op8_bpe, op9_url_filter, op10_license, op10_license_wrapped,
+        op1_embedding_near_dedup, op2_decontamination, op3_toxicity, op4_line_dedup, op5_html_text, op6_ngram_jaccard, op7_token_files, op8_bpe, op9_url_filter, op10_license_wrapped, op10_license,
     )
 }
 
@@ -138,6 +138,18 @@ def _license_sql() -> str:
     FROM sums LEFT JOIN more USING (doc_id)"""
 
 
+def _wrapped_sql() -> str:
+    """Every run of as many words as a template has, instead of lines."""
+    rows = ", ".join(f"('{label}', [{', '.join(repr(x) for x in sorted(set(license.words_of(t))))}], {len(license.words_of(t))})" for label, texts in license.TEMPLATES.items() for t in texts)
+    head, _, rest = _license_sql().partition("templates(label, words) AS (VALUES ")
+    _, _, tail = rest.partition("more AS (")
+    return f"""{head}templates(label, words, span) AS (VALUES {rows}),
+    near AS (SELECT doc_id, label, t.words AS words, span, d.w AS w FROM words d, templates t WHERE 100 * len(list_intersect(t.words, d.w)) >= 90 * len(t.words)),
+    runs AS (SELECT doc_id, label, words, w[i:i + span - 1] AS r FROM (SELECT *, unnest(range(1, greatest(len(w) - span + 1, 1) + 1)) AS i FROM near)),
+    met AS (SELECT doc_id, label, max(c / n::DOUBLE) AS c FROM (SELECT doc_id, label, len(words) AS n, len(list_intersect(words, r)) AS c FROM runs) WHERE 100 * c >= 90 * n GROUP BY doc_id, label),
+    more AS ({tail}"""
+
+
 def _url_sql() -> str:
     rows = ", ".join(f"('{v}', '{h}', '{p}')" for v, h, p in urls.RULES)
     return f"""WITH RECURSIVE rules(verdict, h, p) AS (VALUES {rows}),
@@ -182,4 +194,5 @@ ORACLES = {
     SELECT id AS doc_id, len(s) AS n_shingles, component_id FROM sets JOIN comps USING (id)""",
     "op9_url_filter": _url_sql(),
     "op10_license": _license_sql(),
+    "op10_license_wrapped": _wrapped_sql(),
 }
