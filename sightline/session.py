@@ -11,6 +11,7 @@ from pyspark.sql import SparkSession
 
 ROOT = Path(__file__).resolve().parent.parent
 _SHIPPED: set[str] = set()
+_OWN: dict[str, str] = {}
 
 
 def build_session(name: str = "sightline", master: str | None = None, **settings: str) -> SparkSession:
@@ -30,6 +31,18 @@ def build_session(name: str = "sightline", master: str | None = None, **settings
     return builder.getOrCreate()
 
 
+def shared_dir(spark: SparkSession) -> str:
+    """The folder of ``spark.checkpoint.dir``, which all executors must share; a temporary one where it is unset and Spark is one local process."""
+    named = spark.conf.get("spark.checkpoint.dir", "") or spark.sparkContext.getConf().get("spark.checkpoint.dir", "")
+    if named:
+        return named.rstrip("/")
+    if spark.sparkContext.master.partition("[")[0] != "local":
+        raise ValueError("set spark.checkpoint.dir to a folder that the driver and all executors share")
+    if "dir" not in _OWN:
+        _OWN["dir"] = tempfile.mkdtemp(prefix="sightline-shared-")
+    return _OWN["dir"]
+
+
 def ship_package(spark: SparkSession) -> None:
     """Send this package to the Python workers, unless their path has it already or it was sent before."""
     app = spark.sparkContext.applicationId
