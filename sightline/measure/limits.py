@@ -2,7 +2,10 @@
 
 from __future__ import annotations
 
-from pyspark.sql import DataFrame
+from collections.abc import Iterator
+
+from pyspark.sql import DataFrame, Row
+from pyspark.sql import functions as F
 
 
 def spaced(ranked: DataFrame, count: int, distance: int) -> list[int]:
@@ -18,3 +21,23 @@ def spaced(ranked: DataFrame, count: int, distance: int) -> list[int]:
             if len(out) == count:
                 break
     return out
+
+
+def ranked_pages(rows: DataFrame, score: str, at: str, page: int = 2000) -> Iterator[Row]:
+    """Rows from the greatest score down (ties: smallest ``at``), ``page`` of them at a time.
+
+    A page is a top-k below the last row of the one before, so the driver never holds more than a page and nothing is sorted as a whole; a walk that stops
+    early asks for no more. ``at`` is unique.
+    """
+    rows = rows.cache()
+    try:
+        rest = rows
+        while True:
+            got = rest.orderBy(F.desc(score), at).limit(page).collect()
+            yield from got
+            if len(got) < page:
+                return
+            last = got[-1]
+            rest = rows.where((F.col(score) < F.lit(last[score])) | ((F.col(score) == F.lit(last[score])) & (F.col(at) > F.lit(last[at]))))
+    finally:
+        rows.unpersist()

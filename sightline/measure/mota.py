@@ -40,7 +40,3 @@ def mota(terms: dict[str, int]) -> float:
     """1 - errors / true boxes; may be negative; 1 without true boxes and errors."""
     errors = terms["misses"] + terms["spurious"] + terms["switches"]
     return 1 - errors / terms["truth"] if terms["truth"] else float(not errors)
-
-
-def correlation(a: list[float], b: list[float]) -> float:
-    return float(np.corrcoef(a, b)[0, 1])

@@ -6,6 +6,7 @@ from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 from ..catalog import query
+from ..measure.limits import ranked_pages
 from ..model.schemas import COST, FRAMES, MISSES, PROXY_COST
 from ..sources.scenes import detections, frame_cells, frames_of, noise, objects, simulated
 from .sql import CELLS, SIM, with_scene
@@ -48,11 +49,11 @@ def walk(ranked, asked: int, distance: int) -> tuple[list[int], int]:
 def limit_proxy(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Limit query by a guessed count: frames of one scene by guess, the detector run until twenty hold four cars in the lower half, five seconds apart.
 
-    Ranked rows stream to the driver partition by partition and the walk stops early: rows that no one asks for never leave.
+    Ranked rows come to the driver page by page, and the walk stops with the twentieth hit: rows that no one asks for never leave.
     """
     holds = detections(spark, sf_dir).where("scene = 0 and category = 'car' and y >= 192e0").groupBy("clip", "t").agg((F.count("*") >= 4).alias("holds"))
-    ranked = guesses(spark, sf_dir).where("scene = 0").join(holds, ["clip", "t"], "left").selectExpr("clip * 480 + t AS at", "coalesce(holds, false) AS holds", "score").orderBy(F.desc("score"), "at")
-    found, calls = walk(((r["at"], r["holds"]) for r in ranked.select("at", "holds", "score").toLocalIterator()), 20, 40)
+    ranked = guesses(spark, sf_dir).where("scene = 0").join(holds, ["clip", "t"], "left").selectExpr("clip * 480 + t AS at", "coalesce(holds, false) AS holds", "score")
+    found, calls = walk(((r["at"], r["holds"]) for r in ranked_pages(ranked, "score", "at")), 20, 40)
     return spark.createDataFrame([(i + 1, at // FRAMES, at % FRAMES, calls) for i, at in enumerate(found)], "pick int, clip bigint, t bigint, calls bigint")
 
 

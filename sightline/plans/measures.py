@@ -9,7 +9,7 @@ from pyspark.sql import functions as F
 from ..catalog import query
 from ..measure.mota import mota, mota_terms
 from ..sources.scenes import detections, objects, simulated
-from ..tune.trial import changed, run_clip
+from ..tune.trial import Clip, changed, percent, run_clip
 from .sql import SIM, with_scene
 from .tuning import BASE, OURS, clips, models
 from .windows import iou
@@ -118,25 +118,23 @@ def _mutual(spark: SparkSession, sf_dir: str, some: str, how: str = "inner") ->
 
 @query()
 def mota_study(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """MOTA (optimal matching) beside count accuracy for several configurations, on all test clips at one frame a second."""
-    import json
-
-    from ..tune.trial import Config, percent
-
+    """MOTA (optimal matching) beside count accuracy for several configurations, on the sampled test clips at one frame a second."""
     truth = clips(spark, sf_dir, "test")
     own = spark.sparkContext.broadcast(models(spark, sf_dir))
-    configs = [changed(b, gap=g, tracker=t) for b in (BASE, OURS) for g in (1, 2, 4, 8) for t in ("overlap", "motion", "recurrent")]
-    wanted = spark.createDataFrame([(c.id,) for c in dict.fromkeys(configs)], "cfg string")
+    configs = list({c.id: c for c in (changed(b, gap=g, tracker=t) for b in (BASE, OURS) for g in (1, 2, 4, 8) for t in ("overlap", "motion", "recurrent"))}.values())
 
     def run(key, pdf: pd.DataFrame) -> pd.DataFrame:
-        cfg, m = Config(**json.loads(key[0])), own.value
-        tracks, got = run_clip(pdf, cfg, m.net, (m.references or {}).get(int(key[1])))
-        terms = mota_terms(pdf[pdf["t"] % 8 == 0], tracks[tracks["t"] % 8 == 0])
+        m, scene, out = own.value, int(key[0]), []
+        clip = Clip(pdf, (m.sizes or {}).get(scene))
         true = pdf.drop_duplicates("obj")["pat"].value_counts()
-        acc = sum(percent(got["counts"][p], float(true.get(p, 0))) for p in range(5)) / 5
-        return pd.DataFrame([(*key, mota(terms), acc)], columns=["cfg", "scene", "clip", "mota", "accuracy"])
-
-    return truth.crossJoin(F.broadcast(wanted)).groupBy("cfg", "scene", "clip").applyInPandas(run, "cfg string, scene int, clip bigint, mota double, accuracy double").groupBy("cfg").agg(F.avg("mota").alias("mota"), F.avg("accuracy").alias("accuracy"))
+        for cfg in configs:
+            tracks, got = run_clip(clip, cfg, m.net, (m.references or {}).get(scene))
+            terms = mota_terms(pdf[pdf["t"] % 8 == 0], tracks[tracks["t"] % 8 == 0])
+            acc = sum(percent(got["counts"][p], float(true.get(p, 0))) for p in range(5)) / 5
+            out.append((cfg.id, *key, mota(terms), acc))
+        return pd.DataFrame(out, columns=["cfg", "scene", "clip", "mota", "accuracy"])
+
+    return truth.groupBy("scene", "clip").applyInPandas(run, "cfg string, scene int, clip bigint, mota double, accuracy double").groupBy("cfg").agg(F.avg("mota").alias("mota"), F.avg("accuracy").alias("accuracy"))
 
 
 @query()

@@ -6,7 +6,7 @@ from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 from ..catalog import query
-from ..sources.scenes import box_cells, detections, frames_of, objects, simulated, table, visible
+from ..sources.scenes import detections, frame_cells, frames_of, objects, simulated, table, visible
 from .sql import CELLS, SIM, with_scene
 
 
@@ -39,7 +39,7 @@ def gap_scan(spark: SparkSession, sf_dir: str) -> DataFrame:
 @query(with_scene("SELECT scene, cx, cy, count(*) AS frames FROM cells GROUP BY ALL", CELLS))
 def cell_labels(spark: SparkSession, sf_dir: str) -> DataFrame:
     """How many frames label each cell positive."""
-    return box_cells(visible(detections(spark, sf_dir)), "scene", "clip", "t").distinct().groupBy("scene", "cx", "cy").agg(F.count("*").alias("frames"))
+    return frame_cells(detections(spark, sf_dir)).groupBy("scene", "cx", "cy").agg(F.count("*").alias("frames"))
 
 
 @query(with_scene("SELECT scene, count(*) AS frames FROM (SELECT DISTINCT scene, clip, t FROM det WHERE clip % 3 = 0) GROUP BY scene"))
@@ -52,8 +52,7 @@ def training_frames(spark: SparkSession, sf_dir: str) -> DataFrame:
 @query(with_scene("SELECT scene, count(*) AS frames FROM (SELECT DISTINCT scene, clip FROM obj) c CROSS JOIN range(0, 480) r(t) WHERE NOT EXISTS (SELECT 1 FROM cells d WHERE d.scene = c.scene AND d.clip = c.clip AND d.t = r.t) GROUP BY scene", CELLS))
 def skipped_frames(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Frames without a positive cell: no detector run at all."""
-    cells = box_cells(visible(detections(spark, sf_dir)), "scene", "clip", "t")
-    return frames_of(spark, sf_dir).join(cells, ["scene", "clip", "t"], "left_anti").groupBy("scene").agg(F.count("*").alias("frames"))
+    return frames_of(spark, sf_dir).join(visible(detections(spark, sf_dir)).select("scene", "clip", "t"), ["scene", "clip", "t"], "left_anti").groupBy("scene").agg(F.count("*").alias("frames"))
 
 
 @query(with_scene("SELECT scene, category, count(*) AS n, round(sum(x), 3) AS sum_x, sum((2000e0 - round(2000e0 * score))::BIGINT)::BIGINT AS sum_noise, count(*) FILTER (obj < 0) AS spurious FROM sim GROUP BY ALL", SIM))

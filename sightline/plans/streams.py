@@ -6,6 +6,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from ..catalog import query
+from ..sources.scenes import detections
 from ..stream import windows as w
 
 _STAMP = "strftime({}, '%Y-%m-%d %H')"
@@ -59,3 +60,24 @@ def stream_join(spark: SparkSession, sf_dir: str) -> DataFrame:
     seen = w.events(spark, sf_dir).where("event_type = 'view'").select(F.col("event_id").alias("seen"), F.col("user_id").alias("u"), F.col("ts").alias("seen_at"))
     bought = w.events(spark, sf_dir).where("event_type = 'purchase'").select(F.col("event_id").alias("bought"), "user_id", "ts")
     return w.drained(bought.join(seen, F.expr("user_id = u AND ts BETWEEN seen_at AND seen_at + INTERVAL 1 HOUR"))).select("seen", "bought")
+
+
+@query(f"""WITH mid AS (SELECT min(ts) + (max(ts) - min(ts)) / 2 AS m FROM events), kept AS (SELECT ts FROM events, mid WHERE NOT (ts < m AND user_id % 10 = 0))
+    SELECT {_STAMP.format('day')} AS start, n FROM (SELECT date_trunc('day', ts) AS day, count(*) AS n FROM kept GROUP BY 1), {_LAST} WHERE day + INTERVAL 1 DAY <= bound""")
+def stream_late(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Daily counts when a tenth of the users' early events come after all others: the watermark has passed their days, they are dropped."""
+    rows = w.table(spark, sf_dir)
+    low, high = rows.agg(F.min("ts"), F.max("ts")).first()
+    early, middle = (F.col("ts") < F.lit(low + (high - low) * part) for part in (0.5, 0.75))
+    late = early & (F.col("user_id") % 10 == 0)
+    # rows are held against the watermark that the batch before began with, so the later half comes in two
+    stream = w.in_order([rows.where(early & ~late), rows.where(~early & middle), rows.where(~middle), rows.where(late)]).withWatermark("ts", "1 hour")
+    return w.drained(w.tumbling(stream)).select(_start("window.start").alias("start"), "n")
+
+
+@query()
+def stream_tracks(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """The tracker as a stateful stream over the test clips, in batches of a quarter of a minute: boxes and span of each track."""
+    boxes = detections(spark, sf_dir, "test").select("scene", "clip", "t", "obj", "category", "x", "y", "w", "h", F.timestamp_seconds(F.col("t") / 8.0).alias("ts"))
+    stream = w.in_order([boxes.where(F.col("t").between(120 * k, 120 * k + 119)) for k in range(4)]).withWatermark("ts", "1 minute")
+    return w.drained(w.tracker(stream)).groupBy("scene", "clip", "track_id").agg(F.count("*").alias("n"), F.min("t").alias("t_first"), F.max("t").alias("t_last"))

@@ -10,14 +10,15 @@ from pyspark.sql import functions as F
 
 from ..catalog import ORACLES, QUERIES, query
 from ..detect.proxy import fit_many, tally
-from ..model.schemas import COST, FRAMES, PROXY_COST, seconds
+from ..measure.limits import ranked_pages
+from ..model.schemas import COST, FRAMES, PROXY_COST, PROXY_SIZES, seconds
 from ..sources.scenes import detections, frame_cells, noise, objects, simulated, table
-from ..tune.trial import changed
+from ..tune.trial import changed, outcomes
 from ..windows.group import components, grouped
 from .gates import walk
 from .sql import CELLS, SIM, with_scene
 from .sql import noise as sql_noise
-from .tuning import BASE, frame, judge
+from .tuning import BASE, CLIPS, FULL, PAIR_CLIPS, frame, judge, models
 from .windows import _S, SIZES
 
 _GAPPED = "gapped AS (SELECT scene, clip, obj, g AS gap, calls, count(*) AS n FROM sim, (VALUES (4, 4), (8, 6), (16, 8)) v(g, calls) WHERE obj >= 0 AND t % g = 0 GROUP BY ALL)"
@@ -141,21 +142,21 @@ def frame_gate_ml(spark: SparkSession, sf_dir: str) -> DataFrame:
 @query()
 def limit_vec(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Limit query over the vectors: by trained score, twenty frames of label 4 or more at distance 5, and the calls made."""
-    ranked = vector_scores(spark, sf_dir).orderBy(F.desc("score"), "vec_id").select("vec_id", (F.col("label") >= 4).alias("holds"))
-    found, calls = walk(((r["vec_id"], r["holds"]) for r in ranked.toLocalIterator()), 20, 5)
+    ranked = vector_scores(spark, sf_dir).select("vec_id", "score", (F.col("label") >= 4).alias("holds"))
+    found, calls = walk(((r["vec_id"], r["holds"]) for r in ranked_pages(ranked, "score", "vec_id")), 20, 5)
     return spark.createDataFrame([(i + 1, at, calls) for i, at in enumerate(found)], "pick int, vec_id bigint, calls bigint")
 
 
 def _proxies(spark: SparkSession, sf_dir: str):
-    """Trained on every eighth frame of all training clips of each scene."""
-    rows = detections(spark, sf_dir, "train", 8).selectExpr("clip * 5 + scene AS clip", "t", "x", "y", "w", "h").toPandas()
+    """Trained on every eighth frame of a sample of training clips of each scene: a set of fixed size."""
+    rows = detections(spark, sf_dir, "train", 8, clips=PAIR_CLIPS).selectExpr("clip * 5 + scene AS clip", "t", "x", "y", "w", "h").toPandas()
     return fit_many(rows)
 
 
 @query()
 def proxy_scores_by_res(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Recall and false alarms of trained proxies on test clips, by input size and threshold."""
-    sums = tally(detections(spark, sf_dir, "test", 4).where("scene >= 3"), _proxies(spark, sf_dir)).groupBy("res", "threshold").agg(*[F.sum(c).alias(c) for c in ("hits", "misses", "alarms", "cells")])
+    sums = tally(detections(spark, sf_dir, "test", 4, clips=CLIPS), _proxies(spark, sf_dir)).groupBy("res", "threshold").agg(*[F.sum(c).alias(c) for c in ("hits", "misses", "alarms", "cells")])
     return sums.withColumns({"recall": F.expr("hits / (hits + misses)"), "alarm_rate": F.expr("alarms / (cells - hits - misses)")})
 
 
@@ -164,3 +165,16 @@ def var_rate_predicate(spark: SparkSession, sf_dir: str) -> DataFrame:
     """The variable-rate baseline with and without the predicate north to south: extra frames only for tracks that may satisfy it."""
     configs = [changed(BASE, gap=16, tolerance=b, refine="frames", only=p) for b in (0.1, 0.3, 0.5, 0.7) for p in (None, 2)]
     return frame(spark, [r | {"pattern": r["config"].only} for r in judge(spark, sf_dir)(configs)], pattern="int")
+
+
+@query()
+def limit_phases(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """The limit query by phases, in modelled seconds: proxies over all frames and then the detector by rank, against tracks made once and no detector after."""
+    own = models(spark, sf_dir)
+    ours = outcomes(detections(spark, sf_dir, None, FULL.gap, True).where("scene = 0"), [FULL], own).where("pat = 0").agg(F.sum("sec")).first()[0] or 0.0
+    frames = objects(spark, sf_dir).where("scene = 0").select("clip").distinct().count() * FRAMES
+    cols, rows = PROXY_SIZES[-1]
+    found = {r.method: r for r in QUERIES["limit_accuracy"](spark, sf_dir).collect()}
+    prep = {"proxy": frames * (PROXY_COST[0] + PROXY_COST[1] * cols * rows), "tracks": float(ours)}
+    out = [(m, prep[m], r.calls * seconds("one_stage", 640, 384), prep[m] + r.calls * seconds("one_stage", 640, 384), r.found, r.right) for m, r in found.items()]
+    return spark.createDataFrame(out, "method string, prep_sec double, query_sec double, total_sec double, found bigint, right bigint")

@@ -12,22 +12,23 @@ from ..catalog import query
 from ..refine.paths import Reference, dbscan, resample
 from ..sources.scenes import detections, simulated
 from ..track import loop
+from ..tune.trial import Clip, changed, run_clip
 from .sql import SIM, with_scene
-from .tuning import models
+from .tuning import BASE, CLIPS, models
 from .windows import iou
 
-_TRACKED = "scene int, clip bigint, t bigint, obj bigint, category string, x double, y double, w double, h double, score double, track_id bigint"
+_TRACKED = "scene int, clip bigint, t bigint, track_id bigint"
 
 
-def tracked(spark: SparkSession, sf_dir: str, tracker: str, gap: int, scenes: str = "scene >= 3") -> DataFrame:
-    """Boxes of the test clips with the ids that a tracker gives them; a clip is one group, frames in order inside it."""
-    net = models(spark, sf_dir).net if tracker == "recurrent" else None
-    truth = detections(spark, sf_dir, "test", gap).where(scenes)
+def tracked(spark: SparkSession, sf_dir: str, tracker: str, gap: int) -> DataFrame:
+    """Boxes of all test clips with the ids that a tracker gives them; a clip is one group, frames in order inside it."""
+    net = spark.sparkContext.broadcast(models(spark, sf_dir).net if tracker == "recurrent" else None)
+    cfg = changed(BASE, conf=0.25, gap=gap, tracker=tracker)
 
-    def run(pdf: pd.DataFrame) -> pd.DataFrame:
-        return loop.track(pdf, loop.scorer_of(tracker, net), gap)
+    def run(key, pdf: pd.DataFrame) -> pd.DataFrame:
+        return run_clip(Clip(pdf), cfg, net.value)[0].assign(scene=int(key[0]), clip=int(key[1]))[["scene", "clip", "t", "track_id"]]
 
-    return simulated(truth).groupBy("scene", "clip").applyInPandas(run, _TRACKED)
+    return detections(spark, sf_dir, "test", gap, True).groupBy("scene", "clip").applyInPandas(run, _TRACKED)
 
 
 @query()
@@ -121,14 +122,14 @@ def variable_gap_frames(spark: SparkSession, sf_dir: str) -> DataFrame:
     return boxes.groupBy("tolerance", "scene", "clip").applyInPandas(run, "tolerance double, scene int, clip bigint, frames bigint")
 
 
-def reference_paths(spark: SparkSession, sf_dir: str, split: str = "train", scenes: str = "scene = 4") -> DataFrame:
+def reference_paths(spark: SparkSession, sf_dir: str, split: str = "train", scenes: str = "scene = 4", clips: int | None = None) -> DataFrame:
     """Resampled path of every true track: scene, category, obj, xs, ys."""
 
     def run(pdf: pd.DataFrame) -> pd.DataFrame:
         p = resample(pdf.sort_values("t")[["x", "y"]].to_numpy())
         return pd.DataFrame({"scene": [pdf["scene"].iloc[0]], "category": [pdf["category"].iloc[0]], "obj": [pdf["obj"].iloc[0]], "pat": [pdf["pat"].iloc[0]], "xs": [p[:, 0]], "ys": [p[:, 1]]})
 
-    rows = detections(spark, sf_dir, split).where(scenes).select("scene", "category", "obj", "pat", "t", "x", "y")
+    rows = detections(spark, sf_dir, split, clips=clips).where(scenes).select("scene", "category", "obj", "pat", "t", "x", "y")
     return rows.groupBy("scene", "category", "obj").applyInPandas(run, "scene int, category string, obj bigint, pat int, xs array<double>, ys array<double>")
 
 
@@ -155,21 +156,21 @@ def path_distance(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 @query()
 def dbscan_clusters(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """Clusters of the training paths by scene and category: a fixed set, so a group is one task."""
+    """Clusters of the paths in the sampled training clips, sixty of each scene, by scene and category: a set of fixed size, so a group is one task."""
 
     def run(pdf: pd.DataFrame) -> pd.DataFrame:
         pdf = pdf.sort_values("obj")
         paths = np.stack([np.stack(pdf["xs"].to_list()), np.stack(pdf["ys"].to_list())], 2)
         return pd.DataFrame({"scene": pdf["scene"], "category": pdf["category"], "obj": pdf["obj"], "pat": pdf["pat"], "cluster_id": dbscan(paths)})
 
-    return reference_paths(spark, sf_dir, scenes="true").groupBy("scene", "category").applyInPandas(run, "scene int, category string, obj bigint, pat int, cluster_id bigint")
+    return reference_paths(spark, sf_dir, scenes="true", clips=CLIPS).groupBy("scene", "category").applyInPandas(run, "scene int, category string, obj bigint, pat int, cluster_id bigint")
 
 
 @query()
 def extended_tracks(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Ends of reduced-rate tracks before and after repair, and their mean distance from the true ends."""
     own = spark.sparkContext.broadcast(models(spark, sf_dir).references)
-    boxes = detections(spark, sf_dir, "test").where("scene >= 3")
+    boxes = detections(spark, sf_dir, "test")
 
     def run(pdf: pd.DataFrame) -> pd.DataFrame:
         pdf = pdf.sort_values("t")

@@ -2,37 +2,76 @@
 
 from __future__ import annotations
 
+import numpy as np
+import pandas as pd
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from ..catalog import query
-from ..sources.scenes import detections
+from ..model.schemas import COST, FRAMES, SPLITS
+from ..sources.scenes import detections, frame_cells, objects, sampled, simulated
+from ..track.loop import EndSearch
 from ..tune import greedy
-from ..tune.trial import Config, Models, changed, evaluate, outcomes, train
+from ..tune.trial import Clip, Config, Models, changed, evaluate, outcomes, train
+from ..windows.group import choose_sizes
+from .sql import with_scene
 
 BASE = Config(arch="one_stage", width=640, conf=0.5)
 OURS = changed(BASE, tracker="recurrent", refine="clusters")
 FULL = changed(OURS, gap=4, proxy=1, threshold=0.2)
+#: The method's sample: so many one-minute clips of each scene for training, validation and test; of the training ones, so many give pairs.
+CLIPS, PAIR_CLIPS = 60, 12
 _MODELS: dict[tuple, Models] = {}
 
 
-def models(spark: SparkSession, sf_dir: str) -> Models:
-    key = (spark.sparkContext.applicationId, sf_dir)
+def models(spark: SparkSession, sf_dir: str, best: Config = BASE, **options) -> Models:
+    """What is learnt from a best configuration's output on the sampled training clips: match net, reference paths, window sizes."""
+    key = (spark.sparkContext.applicationId, sf_dir, best.id, repr(sorted(options.items())))
     if key not in _MODELS:
-        _MODELS[key] = train(spark, sf_dir)
+        own = train(spark, sf_dir, best=best, clips=CLIPS, pair_clips=PAIR_CLIPS, **options)
+        seen = simulated(detections(spark, sf_dir, "train", 16, clips=PAIR_CLIPS), best.arch, best.width, best.conf)
+        own.sizes = choose_sizes(frame_cells(seen), 3, sample=16, coarse=3)
+        _MODELS[key] = own
     return _MODELS[key]
 
 
-def clips(spark: SparkSession, sf_dir: str, split: str, scenes: str = "true") -> DataFrame:
-    """True boxes of all clips of a split: the tuner's validation clips, the experiments' test clips."""
-    return detections(spark, sf_dir, split).where(scenes)
+def clips(spark: SparkSession, sf_dir: str, split: str, scenes: str = "true", gap: int = 1) -> DataFrame:
+    """True boxes of the sampled clips of a split (all of them where there are no more): the tuner's validation clips, the experiments' test clips."""
+    return detections(spark, sf_dir, split, gap, True, CLIPS).where(scenes)
+
+
+def judge(spark: SparkSession, sf_dir: str, split: str = "val", scenes: str = "true", by: tuple[str, ...] = (), own: Models | None = None):
+    """Scores configurations on sampled clips; the learnt parts are made when a configuration needs them."""
+    truth = clips(spark, sf_dir, split, scenes).cache()
 
+    def run(configs: list[Config]) -> list[dict]:
+        plain = all(c.tracker != "recurrent" and c.refine != "clusters" and c.proxy is None for c in configs)
+        return evaluate(truth, configs, Models() if plain and own is None else own or models(spark, sf_dir), by)
 
-def judge(spark: SparkSession, sf_dir: str, split: str = "val", scenes: str = "true", by: tuple[str, ...] = ()):
-    truth, own = clips(spark, sf_dir, split, scenes).cache(), models(spark, sf_dir)
-    return lambda configs: evaluate(truth, configs, own, by)
+    return run
+
+
+def best_of(spark: SparkSession, sf_dir: str) -> tuple[Config, list[dict]]:
+    """The best configuration on the validation clips, and the trace of its search."""
+    key = (spark.sparkContext.applicationId, sf_dir)
+    if key not in _BEST:
+        _BEST[key] = greedy.find_best(judge(spark, sf_dir), BASE)
+    return _BEST[key]
 
 
+def tuned(spark: SparkSession, sf_dir: str, points: int = 8) -> list[dict]:
+    """The joint tuner's curve from the best configuration on, with the parts that learnt from that configuration's output."""
+    key = (spark.sparkContext.applicationId, sf_dir, points)
+    if key not in _CURVES:
+        best, _ = best_of(spark, sf_dir)
+        own = models(spark, sf_dir, best)
+        start = changed(best, tracker="recurrent", refine="clusters")
+        _CURVES[key] = greedy.tune(judge(spark, sf_dir, own=own), start, [greedy.DetectionModule(), greedy.ProxyModule(), greedy.TrackingModule()], points=points)[0]
+    return _CURVES[key]
+
+
+_BEST: dict[tuple, tuple[Config, list[dict]]] = {}
+_CURVES: dict[tuple, list[dict]] = {}
 _ROW = "place int, arch string, width int, proxy int, threshold double, gap int, tracker string, refine string, gate double, tolerance double, sec double, accuracy double, recall double, frames bigint, over double"
 
 
@@ -48,20 +87,19 @@ def frame(spark: SparkSession, rows: list[dict], **more: str) -> DataFrame:
 @query()
 def turning_counts_full(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Turning counts of the test clips after the full method: cells, windows, detector, reduced-rate tracker, repaired ends."""
-    return outcomes(detections(spark, sf_dir, "test"), [FULL], models(spark, sf_dir)).select("scene", "clip", "pat", F.col("est").cast("long").alias("n"), F.col("truth").cast("long").alias("truth"))
+    return outcomes(detections(spark, sf_dir, "test", FULL.gap, True), [FULL], models(spark, sf_dir)).select("scene", "clip", "pat", F.col("est").cast("long").alias("n"), F.col("truth").cast("long").alias("truth"))
 
 
 @query()
 def best_config_trace(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Both descents of the search for the best configuration."""
-    return frame(spark, greedy.find_best(judge(spark, sf_dir), BASE)[1], step="string")
+    return frame(spark, best_of(spark, sf_dir)[1], step="string")
 
 
 @query()
 def tune_curve(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """The joint greedy tuner's curve on validation clips."""
-    curve, _ = greedy.tune(judge(spark, sf_dir), OURS, [greedy.DetectionModule(), greedy.ProxyModule(), greedy.TrackingModule()])
-    return frame(spark, curve, module="string")
+    """The joint greedy tuner's curve on validation clips, from the best configuration on."""
+    return frame(spark, tuned(spark, sf_dir), module="string")
 
 
 @query()
@@ -112,11 +150,11 @@ def ablation(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 def curves_of(spark: SparkSession, sf_dir: str) -> list[dict]:
     """Curves of all methods: tuned on validation clips, every point scored on test clips by scene."""
-    val, test = judge(spark, sf_dir), judge(spark, sf_dir, "test", by=("scene",))
-    ours, _ = greedy.tune(val, OURS, [greedy.DetectionModule(), greedy.ProxyModule(), greedy.TrackingModule()], points=7)
+    best, _ = best_of(spark, sf_dir)
+    val, test = judge(spark, sf_dir), judge(spark, sf_dir, "test", by=("scene",), own=models(spark, sf_dir, best))
     points = {
-        "ours": [r["config"] for r in ours], "rate_res": [r["config"] for r in greedy.rate_res(val, BASE, 7)],
-        "frame_gate": [changed(BASE, gate=b) for b in (0.1, 0.3, 0.5, 0.7, 0.9)], "var_rate": [changed(BASE, gap=16, tolerance=b, refine="frames") for b in (0.1, 0.3, 0.5, 0.7)],
+        "ours": [r["config"] for r in tuned(spark, sf_dir)], "rate_res": [r["config"] for r in greedy.rate_res(val, best)],
+        "frame_gate": [changed(best, gate=b) for b in (0.1, 0.3, 0.5, 0.7, 0.9)], "var_rate": [changed(best, gap=16, tolerance=b, refine="frames") for b in (0.1, 0.3, 0.5, 0.7)],
     }
     names = {c.id: m for m, some in points.items() for c in some}
     return [r | {"method": names[r["config"].id]} for r in test([c for some in points.values() for c in some])]
@@ -157,3 +195,59 @@ def config_space(spark: SparkSession, sf_dir: str) -> DataFrame:
     """The discretised space of detector and rate, for the exhaustive tuner."""
     knob = lambda name, kind, values: spark.createDataFrame([(v,) for v in values], f"{name} {kind}")
     return knob("arch", "string", ("one_stage", "two_stage")).crossJoin(knob("width", "int", greedy.resolution_ladder())).crossJoin(knob("gap", "int", greedy.GAPS))
+
+
+@query()
+def ablation_elapsed(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """The recurrent matcher without elapsed frames as input, and trained at the native rate only, beside the full one, by sampling gap."""
+    variants = {"full": {}, "no_elapsed": {"elapsed": False}, "native_rate": {"gaps": (1,)}}
+    rows = []
+    for name, options in variants.items():
+        run = judge(spark, sf_dir, own=models(spark, sf_dir, **options))
+        rows += [r | {"variant": name} for r in run([changed(OURS, gap=g, refine="none") for g in (1, 4, 8, 16)])]
+    return frame(spark, rows, variant="string")
+
+
+@query()
+def brute_force(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Every combination of a small space of widths, gaps and proxies on the sparsest scene's validation clips."""
+    run = judge(spark, sf_dir, scenes="scene = 4")
+    return frame(spark, greedy.brute(run, OURS, [640, 393], [1, 4, 16], [(None, 0.3), (1, 0.2), (3, 0.4)]))
+
+
+@query(with_scene("""SELECT scene, split, clip, place FROM (SELECT *, row_number() OVER (PARTITION BY scene, split ORDER BY draw, clip) AS place
+    FROM (SELECT DISTINCT scene, clip, CASE clip % 3 WHEN 0 THEN 'train' WHEN 1 THEN 'val' ELSE 'test' END AS split, ((clip * 7919 + scene * 104729) % 1000003) % 1000 AS draw FROM obj)) WHERE place <= 60"""))
+def sample_clips(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """The sample of one-minute clips: sixty of each scene for training, validation and test."""
+    parts = [sampled(spark, sf_dir, split, CLIPS).select("scene", F.lit(split).alias("split"), "clip", F.col("place").cast("long").alias("place")) for split in SPLITS]
+    return parts[0].unionByName(parts[1]).unionByName(parts[2])
+
+
+@query(with_scene("SELECT scene, g AS gap, round(480e0 * n / (480 // g * n * (0.002e0 + 3.2e-8 * 245760e0)), 6) AS fps FROM (SELECT scene, count(DISTINCT clip)::DOUBLE AS n FROM obj GROUP BY scene), (VALUES (1), (2), (4), (8), (16)) v(g)"))
+def frames_per_second(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Frames of video for each modelled second of the detector, by sampling gap."""
+    n = objects(spark, sf_dir).groupBy("scene").agg(F.countDistinct("clip").cast("double").alias("n")).withColumn("gap", F.explode(F.expr("array(1, 2, 4, 8, 16)")))
+    return n.select("scene", "gap", F.round(F.expr(f"480e0 * n / (480 div gap * n * ({COST['one_stage'][0]!r}D + {COST['one_stage'][1]!r}D * 245760e0))"), 6).alias("fps"))
+
+
+@query()
+def end_search(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Ends of the sampled test clips' tracks found by bisection inside skipped frames: mean miss before and after, and the detector calls made."""
+
+    def run(key, pdf: pd.DataFrame) -> pd.DataFrame:
+        clip, out = Clip(pdf), []
+        t, obj, cats, boxes = clip.found(BASE)
+        true = {o: g[["x", "y"]].to_numpy()[[0, -1]] for o, g in clip.truth.groupby("obj")}
+        for gap in (4, 8, 16):
+            search = EndSearch(list(range(0, FRAMES, gap)), clip.look(BASE))
+            for o in np.unique(obj[obj >= 0]).tolist():
+                own = np.flatnonzero((obj == o) & (t % gap == 0))
+                if len(own) > 1:
+                    ends = np.array(search.ends(t[own], boxes[own], cats[own[0]]))[:, :2]
+                    miss = [float(np.hypot(*(p - true[o]).T).mean()) for p in (boxes[own][[0, -1], :2], ends)]
+                    out.append((*key, gap, *miss, 0))
+            out.append((*key, gap, None, None, search.calls()))
+        return pd.DataFrame(out, columns=["scene", "clip", "gap", "before", "after", "calls"])
+
+    rows = clips(spark, sf_dir, "test").groupBy("scene", "clip").applyInPandas(run, "scene int, clip bigint, gap int, before double, after double, calls bigint")
+    return rows.groupBy("scene", "gap").agg(F.count("before").alias("tracks"), F.avg("before").alias("before"), F.avg("after").alias("after"), F.sum("calls").alias("calls"))

@@ -8,7 +8,7 @@ from pyspark.sql import functions as F
 
 from ..catalog import query
 from ..model.schemas import window_sizes
-from ..sources.scenes import box_cells, detections, frame_cells, noise, simulated, visible
+from ..sources.scenes import detections, frame_cells, frame_masks, noise, simulated, visible
 from ..windows.group import choose_sizes as pick_sizes
 from ..windows.group import grouped, signatures
 from .sql import CELLS, SIM, with_scene
@@ -88,6 +88,13 @@ def windows(spark: SparkSession, sf_dir: str) -> DataFrame:
     return grouped(_cells(spark, sf_dir), SIZES)
 
 
+@query()
+def windows_all(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Windows and seconds of the test frames of every scene by greedy merging, busy scenes too."""
+    wins = grouped(frame_cells(detections(spark, sf_dir, "test")), SIZES)
+    return wins.groupBy("scene").agg(F.countDistinct("clip", "t").alias("frames"), F.count("*").alias("windows"), F.sum("sec").alias("sec"))
+
+
 @query(with_scene(f"SELECT pw, ph, count(*) AS n, round(sum(sec), 6) AS sec FROM (SELECT s.w AS pw, s.h AS ph, s.sec FROM boxes, LATERAL (SELECT * FROM sizes z WHERE z.w >= bw AND z.h >= bh ORDER BY z.w * z.h LIMIT 1) s) GROUP BY ALL", CELLS, _TEST, _COMP, _BOXES, _S, recursive=True))
 def cover_cost(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Cost of the windows by size: window counts joined with the cost table."""
@@ -179,9 +186,9 @@ def area_fraction(spark: SparkSession, sf_dir: str) -> DataFrame:
 @query(with_scene("SELECT scene, 1e0 - count(DISTINCT (clip, t)) / (480e0 * count(DISTINCT clip)) AS frames_idle, 1e0 - count(*) / (240e0 * 480e0 * count(DISTINCT clip)) AS area_idle FROM cells GROUP BY scene", CELLS))
 def skippable(spark: SparkSession, sf_dir: str) -> DataFrame:
     """What frame gating and what cells can skip, from busy to sparse scenes."""
-    cells = frame_cells(detections(spark, sf_dir))
-    clips = F.countDistinct("clip")
-    return cells.groupBy("scene").agg((1.0 - F.countDistinct("clip", "t") / (480.0 * clips)).alias("frames_idle"), (1.0 - F.count("*") / (240.0 * 480.0 * clips)).alias("area_idle"))
+    cells = F.expr("bit_count(m0) + bit_count(m1) + bit_count(m2) + bit_count(m3)")
+    frames = frame_masks(detections(spark, sf_dir)).withColumn("n", cells).groupBy("scene", "clip").agg(F.count("*").alias("frames"), F.sum("n").alias("n"))
+    return frames.groupBy("scene").agg((1.0 - F.sum("frames") / (480.0 * F.count("*"))).alias("frames_idle"), (1.0 - F.sum("n") / (240.0 * 480.0 * F.count("*"))).alias("area_idle"))
 
 
 @query()

@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-from pyspark.sql import Column, DataFrame, SparkSession
+from pyspark.sql import Column, DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 from ..model.schemas import FRAMES, HEIGHT, MISSES, SPURIOUS, WIDTH
@@ -56,10 +56,27 @@ def _along(axis: int) -> Column:
     return out
 
 
-def detections(spark: SparkSession, sf_dir: str, split: str | None = None, gap: int = 1) -> DataFrame:
-    """True boxes at every ``gap``-th frame: scene, clip, t, obj, category, x, y, w, h, k, dur, pat."""
-    step = objects(spark, sf_dir, split).withColumn("k", F.explode(F.expr("sequence(0L, least(dur, 479 - t_in))")))
-    step = step.withColumn("t", F.col("t_in") + F.col("k")).where(F.col("t") % gap == 0)
+def sampled(spark: SparkSession, sf_dir: str, split: str, clips: int = 60) -> DataFrame:
+    """At most ``clips`` clips of each scene's split, those with the smallest hash: the sample that the method trains and tunes on."""
+    draw = F.expr("((clip * 7919 + scene * 104729) % 1000003) % 1000")
+    every = objects(spark, sf_dir, split).select("scene", "clip").distinct().withColumn("draw", draw)
+    place = F.row_number().over(Window.partitionBy("scene").orderBy("draw", "clip"))
+    return every.withColumn("place", place).where(F.col("place") <= clips).select("scene", "clip", "place")
+
+
+def detections(spark: SparkSession, sf_dir: str, split: str | None = None, gap: int = 1, first: bool = False, clips: int | None = None) -> DataFrame:
+    """True boxes at every ``gap``-th frame: scene, clip, t, obj, category, x, y, w, h, k, dur, pat.
+
+    Only these frames are made. ``first``: each object's first box too; ``clips``: of so many sampled clips a scene.
+    """
+    rows = objects(spark, sf_dir, split)
+    if clips is not None and split:
+        rows = rows.join(F.broadcast(sampled(spark, sf_dir, split, clips).select("scene", "clip")), ["scene", "clip"], "left_semi")  # that many rows a scene
+    last, start = "least(dur, 479L - t_in)", f"(({gap}L - t_in % {gap}L) % {gap}L)"
+    some = f"sequence({start}, {last}, {gap}L)"
+    if gap > 1:
+        some = f"CASE WHEN {start} > {last} THEN {'array(0L)' if first else 'array()'} " + (f"WHEN {start} > 0L THEN concat(array(0L), {some}) " if first else "") + f"ELSE {some} END"
+    step = rows.withColumn("k", F.explode(F.expr(some))).withColumn("t", F.col("t_in") + F.col("k"))
     v = F.col("k").cast("double") / F.col("dur").cast("double")
     moved = step.withColumn("u", F.when(F.col("braking"), v * (2e0 - v)).otherwise(v))
     return moved.withColumns({"x": _along(0) + F.col("lane"), "y": _along(1) + F.col("lane")}).select(
@@ -89,23 +106,29 @@ def simulated(truth: DataFrame, arch: str = "one_stage", res: int = WIDTH, conf:
     return seen.unionByName(ghosts).where(F.col("score") >= conf)
 
 
-def box_cells(boxes: DataFrame, *keep: str) -> DataFrame:
-    """Rows (keep..., cx, cy) for the cells that each box touches, the box cut to the canvas."""
-    return boxes.selectExpr(
-        *keep, f"explode(sequence(int(floor(greatest(x - w / 2e0, 0e0) / 32e0)), int(ceil(least(x + w / 2e0, {WIDTH}e0) / 32e0)) - 1)) AS cx", "y", "h", "x", "w"
-    ).where(f"x + w / 2e0 > 0e0 AND x - w / 2e0 < {WIDTH}e0 AND y + h / 2e0 > 0e0 AND y - h / 2e0 < {HEIGHT}e0").selectExpr(
-        *keep, "cx", f"explode(sequence(int(floor(greatest(y - h / 2e0, 0e0) / 32e0)), int(ceil(least(y + h / 2e0, {HEIGHT}e0) / 32e0)) - 1)) AS cy"
-    )
-
-
 def visible(boxes: DataFrame) -> DataFrame:
     """Boxes with some area on the canvas."""
     return boxes.where(f"x + w / 2e0 > 0e0 AND x - w / 2e0 < {WIDTH}e0 AND y + h / 2e0 > 0e0 AND y - h / 2e0 < {HEIGHT}e0")
 
 
+def frame_masks(boxes: DataFrame) -> DataFrame:
+    """The cells that the boxes of a frame touch, as bits: scene, clip, t, m0 to m3, three rows of twenty cells each.
+
+    A box's bits follow from its corners, and the boxes of a frame are combined by a bit-wise or, so no row is made for a cell.
+    """
+    cut = visible(boxes).selectExpr(
+        "scene", "clip", "t",
+        f"shiftleft(shiftleft(1L, int(ceil(least(x + w / 2e0, {WIDTH}e0) / 32e0)) - int(floor(greatest(x - w / 2e0, 0e0) / 32e0))) - 1L, int(floor(greatest(x - w / 2e0, 0e0) / 32e0))) AS across",
+        "int(floor(greatest(y - h / 2e0, 0e0) / 32e0)) AS y0", f"int(ceil(least(y + h / 2e0, {HEIGHT}e0) / 32e0)) - 1 AS y1",
+    )
+    bits = {f"m{k}": F.bit_or(F.expr(" | ".join(f"IF({3 * k + r} BETWEEN y0 AND y1, shiftleft(across, {20 * r}), 0L)" for r in range(3)))) for k in range(4)}
+    return cut.groupBy("scene", "clip", "t").agg(*[v.alias(k) for k, v in bits.items()])
+
+
 def frame_cells(boxes: DataFrame) -> DataFrame:
     """The perfect proxy: distinct cells of every frame that some box touches."""
-    return box_cells(visible(boxes), "scene", "clip", "t").distinct()
+    lit = "explode(filter(sequence(0, 239), i -> getbit(CASE int(i / 60) WHEN 0 THEN m0 WHEN 1 THEN m1 WHEN 2 THEN m2 ELSE m3 END, i % 60) = 1))"
+    return frame_masks(boxes).selectExpr("scene", "clip", "t", f"{lit} AS i").selectExpr("scene", "clip", "t", "i % 20 AS cx", "int(i / 20) AS cy")
 
 
 def frames_of(spark: SparkSession, sf_dir: str, gap: int = 1) -> DataFrame:

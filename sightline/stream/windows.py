@@ -10,6 +10,7 @@ import pandas as pd
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+from ..session import shared_dir
 from ..track.assign import assign
 from ..track.scorers import iou
 
@@ -22,17 +23,39 @@ def events(spark: SparkSession, sf_dir: str, delay: str = "1 hour") -> DataFrame
     return stream.withColumn("ts", F.col("ts").cast("timestamp")).withWatermark("ts", delay)
 
 
+def table(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """The event table, its time zone fixed."""
+    return spark.read.parquet(f"{sf_dir}/events.parquet").withColumn("ts", F.col("ts").cast("timestamp"))
+
+
 def _is_dir(spark: SparkSession, path: str) -> bool:
     p = spark.sparkContext._jvm.org.apache.hadoop.fs.Path(path)
     return p.getFileSystem(spark.sparkContext._jsc.hadoopConfiguration()).getFileStatus(p).isDirectory()
 
 
 def drained(stream: DataFrame, mode: str = "append") -> DataFrame:
-    """Everything that a stream emits when run over what is there now."""
-    name = f"drained_{uuid.uuid4().hex}"
-    q = stream.writeStream.format("memory").queryName(name).outputMode(mode).trigger(availableNow=True).start()
-    q.awaitTermination()
-    return stream.sparkSession.table(name)
+    """Everything that a stream emits when run over what is there now, written to the shared folder batch by batch and read back.
+
+    A batch overwrites the folder of its own number, so one that runs twice after a failure counts once.
+    """
+    spark = stream.sparkSession
+    base = f"{shared_dir(spark)}/stream-{uuid.uuid4().hex}"
+
+    def put(batch: DataFrame, number: int) -> None:
+        batch.write.mode("overwrite").parquet(f"{base}/rows/batch={0 if mode == 'complete' else number}")
+
+    spark.createDataFrame([], stream.schema).write.parquet(f"{base}/rows/batch=-1")
+    stream.writeStream.foreachBatch(put).outputMode(mode).option("checkpointLocation", f"{base}/state").trigger(availableNow=True).start().awaitTermination()
+    return spark.read.schema(stream.schema).parquet(f"{base}/rows").select(*stream.columns)
+
+
+def in_order(parts: list[DataFrame]) -> DataFrame:
+    """A file stream that delivers the given tables one after another, a batch each."""
+    spark = parts[0].sparkSession
+    base = f"{shared_dir(spark)}/parts-{uuid.uuid4().hex}"
+    for part in parts:
+        part.coalesce(1).write.mode("append").parquet(base)
+    return spark.readStream.schema(parts[0].schema).option("maxFilesPerTrigger", 1).parquet(base)
 
 
 def tumbling(stream: DataFrame, width: str = "1 day") -> DataFrame:
@@ -51,32 +74,43 @@ def deduplicated(stream: DataFrame) -> DataFrame:
     return stream.dropDuplicatesWithinWatermark(["event_id"])
 
 
-def tracker(stream: DataFrame, least: float = 0.3, max_lost: int = 3) -> DataFrame:
-    """The overlap tracker over a stream of boxes (scene, clip, t, obj, category, x, y, w, h, ts): prefixes are the state of a
-    clip and frames must come in order from batch to batch; prefixes expire by frame count. Emits the boxes with their track_id."""
+def tracker(stream: DataFrame, least: float = 0.3, max_lost: int = 3, idle: str = "10 minutes") -> DataFrame:
+    """The overlap tracker over a stream of boxes (scene, clip, t, obj, category, x, y, w, h): prefixes are the state of a
+    clip and frames must come in order from batch to batch; a box goes on only with a prefix of its category. Prefixes expire by frame count, the
+    state of a clip that no box has come for since ``idle`` goes, by the watermark on the column ``ts``; streams without it keep their states. Emits the boxes with their track_id."""
+    names = ["bus", "car", "walker"]
+    timed = "ts" in stream.columns
+    millis = int(idle.split()[0]) * {"seconds": 1000, "minutes": 60_000, "hours": 3_600_000}[idle.split()[1]]
 
     def step(key, batches: Iterator[pd.DataFrame], state) -> Iterator[pd.DataFrame]:
+        if state.hasTimedOut:
+            state.remove()
+            return
         fresh, alive = 0, []
         if state.exists:
             fresh, flat = state.get
-            alive = [list(flat[i : i + 6]) for i in range(0, len(flat), 6)]
+            alive = [list(flat[i : i + 7]) for i in range(0, len(flat), 7)]
         pdf = pd.concat(list(batches)).sort_values(["t", "obj"], kind="stable")
         for t, frame in pdf.groupby("t", sort=True):
             boxes = frame[["x", "y", "w", "h"]].to_numpy(float)
+            kinds = np.array([names.index(c) if c in names else len(names) for c in frame["category"]], float)
             alive = [p for p in alive if t - p[1] <= max_lost + 1]
             ids = [-1] * len(frame)
             if alive:
-                for i, j in assign(iou(np.array([p[2:6] for p in alive]), boxes), least):
+                score = iou(np.array([p[3:7] for p in alive]), boxes)
+                for i, j in assign(np.where(np.array([p[2] for p in alive])[:, None] == kinds[None], score, -1.0), least):
                     ids[j] = int(alive[i][0])
-                    alive[i][1:6] = [float(t), *boxes[j].tolist()]
+                    alive[i][1:] = [float(t), float(kinds[j]), *boxes[j].tolist()]
             for j, box in enumerate(boxes):
                 if ids[j] < 0:
                     ids[j] = fresh
-                    alive.append([float(fresh), float(t), *box.tolist()])
+                    alive.append([float(fresh), float(t), float(kinds[j]), *box.tolist()])
                     fresh += 1
             yield frame[["scene", "clip", "t", "obj"]].assign(track_id=ids)
         state.update((int(fresh), [float(v) for p in alive for v in p]))
+        if timed:
+            state.setTimeoutTimestamp(max(int(pdf["ts"].max().timestamp() * 1000), state.getCurrentWatermarkMs()) + millis)
 
     return stream.groupBy("scene", "clip").applyInPandasWithState(
-        step, "scene int, clip bigint, t bigint, obj bigint, track_id bigint", "fresh bigint, alive array<double>", "append", "NoTimeout"
+        step, "scene int, clip bigint, t bigint, obj bigint, track_id bigint", "fresh bigint, alive array<double>", "append", "EventTimeTimeout" if timed else "NoTimeout"
     )

@@ -6,7 +6,7 @@ import numpy as np
 import pandas as pd
 
 from .assign import assign
-from .scorers import Motion, Overlap, Prefix, Recurrent, iou, train_match_net
+from .scorers import INPUTS, PLAIN, Motion, Overlap, Prefix, Recurrent, iou
 
 MAX_LOST = 3
 
@@ -17,15 +17,18 @@ def frames_of(pdf: pd.DataFrame) -> dict[int, pd.DataFrame]:
 
 def track(pdf: pd.DataFrame, scorer, gap: int = 1, max_lost: int = MAX_LOST, least: float | None = None) -> pd.DataFrame:
     """Adds track_id to the boxes of one clip. A prefix unmatched for more than ``max_lost`` processed frames ends; categories must agree."""
+    pdf = pdf.sort_values(["t", "obj"], kind="stable")
+    return pdf.assign(track_id=track_ids(pdf["t"].to_numpy(), pdf["category"].to_numpy(), pdf[["x", "y", "w", "h"]].to_numpy(float), scorer, gap, max_lost, least))
+
+
+def track_ids(t_all: np.ndarray, cats: np.ndarray, boxes_all: np.ndarray, scorer, gap: int = 1, max_lost: int = MAX_LOST, least: float | None = None) -> np.ndarray:
+    """Track ids of the boxes of one clip, given in the order of their frames."""
     least = scorer.least if least is None else least
     alive: list[Prefix] = []
-    pdf = pdf.sort_values(["t", "obj"], kind="stable")
-    t_all, cats = pdf["t"].to_numpy(), pdf["category"].to_numpy()
-    boxes_all = pdf[["x", "y", "w", "h"]].to_numpy(float)
-    ids = np.full(len(pdf), -1, np.int64)
+    ids = np.full(len(t_all), -1, np.int64)
     cuts = np.flatnonzero(np.diff(t_all, prepend=-1))
     fresh = 0
-    for a, b in zip(cuts, [*cuts[1:], len(pdf)]):
+    for a, b in zip(cuts, [*cuts[1:], len(t_all)]):
         t = int(t_all[a])
         alive = [p for p in alive if t - p.t <= max_lost * gap + gap]
         taken = set()
@@ -40,78 +43,159 @@ def track(pdf: pd.DataFrame, scorer, gap: int = 1, max_lost: int = MAX_LOST, lea
             if j not in taken:
                 p = Prefix(fresh, boxes_all[a + j], t, cats[a + j])
                 if isinstance(scorer, Recurrent):
-                    p.hidden = scorer._step(p.hidden, p.box, p.v, 0)
+                    scorer.start(p)
                 alive.append(p)
                 ids[a + j] = fresh
                 fresh += 1
-    return pdf.assign(track_id=ids)
+    return ids
 
 
 def scorer_of(name: str, net: dict | None = None):
-    return {"overlap": Overlap, "motion": Motion}[name]() if name != "recurrent" else Recurrent(net)
+    return {"overlap": Overlap, "motion": Motion}[name]() if name != "recurrent" else Recurrent(net, (net or {}).get("elapsed", True))
 
 
-def training_pairs(pdf: pd.DataFrame, gaps: tuple[int, ...] = (1, 2, 4, 8, 16), elapsed: bool = True) -> tuple[np.ndarray, np.ndarray]:
-    """Features and labels of all (prefix, box) pairs of true tracks sampled at each gap: one positive for each prefix that is seen again."""
-    scorer = Recurrent(None, elapsed)
-    rows, labels = [], []
-    for gap in gaps:
-        alive: dict[int, Prefix] = {}
-        for t, frame in frames_of(pdf[pdf["t"] % gap == 0]).items():
-            boxes, objs, cats = frame[["x", "y", "w", "h"]].to_numpy(float), frame["obj"].to_numpy(), frame["category"].to_numpy()
-            alive = {o: p for o, p in alive.items() if t - p.t <= MAX_LOST * gap + gap}
-            if alive:
-                f = scorer.features(list(alive.values()), boxes, t)
-                for i, (o, p) in enumerate(alive.items()):
-                    near = cats == p.category
-                    rows.append(f[i][near])
-                    labels.append((objs[near] == o).astype(float))
-            for o, box, cat in zip(objs, boxes, cats):
-                if o in alive:
-                    scorer.update(alive[o], box, t)
-                else:
-                    alive[o] = Prefix(int(o), box, t, cat)
-                    alive[o].hidden = scorer._step(alive[o].hidden, box, alive[o].v, 0)
-    return np.concatenate(rows or [np.zeros((0, 33))]), np.concatenate(labels or [np.zeros(0)])
-
-
-def fit_recurrent(pdf: pd.DataFrame, rows: int = 20_000, seed: int = 5, **options) -> dict:
-    """Match net from at most ``rows`` pairs of each kind over the clips of ``pdf``."""
-    parts = [training_pairs(g, **options) for _, g in pdf.groupby(["scene", "clip"])]
-    x, y = np.concatenate([p[0] for p in parts]), np.concatenate([p[1] for p in parts])
-    rng = np.random.default_rng(seed)
-    pick = np.concatenate([rng.permutation(np.flatnonzero(y == k))[:rows] for k in (0, 1)])
-    return train_match_net(x[pick], y[pick])
+def thinned(t: np.ndarray, gap: int, start: int = 0) -> np.ndarray:
+    """Places of a track's boxes, in order of time, that are at least ``gap`` frames apart, from its box ``start`` on."""
+    out, last = [], -(10**9)
+    for i in range(start, len(t)):
+        if t[i] >= last + gap:
+            out.append(i)
+            last = int(t[i])
+    return np.array(out, int)
 
 
-def variable_gap(pdf: pd.DataFrame, tolerance: float = 0.5, most: int = 16) -> tuple[pd.DataFrame, int]:
+#: Steps of a training sequence and boxes that a step is tried with: the right one, if it is there, and the nearest others.
+STEPS, TRIED = 6, 5
+
+
+def training_sequences(pdf: pd.DataFrame, gaps: tuple[int, ...] = (1, 2, 4, 8, 16), elapsed: bool = True, most: int = 80, seed: int = 5) -> tuple[np.ndarray, ...]:
+    """Sequences of tracks thinned to each gap: inputs of the state, then for every step the match features, labels and mask of the next one.
+
+    ``pdf`` has the tracks as ``obj`` and, where known, looks as a0, a1, ... Each track is thinned from a start of its own, drawn by hash among the first boxes
+    of a gap, and cut in pieces of ``STEPS`` boxes and one to match; of the clip's pieces ``most`` are drawn by seed.
+    """
+    scorer = Recurrent(None, elapsed)
+    pdf = pdf.sort_values(["t", "obj"], kind="stable")
+    looks = [c for c in ("a0", "a1", "a2", "a3") if c in pdf]
+    t_all, objs, cats, boxes = pdf["t"].to_numpy(), pdf["obj"].to_numpy(), pdf["category"].to_numpy(), pdf[["x", "y", "w", "h", *looks]].to_numpy(float)
+    at = {t: (lo, hi) for t, lo, hi in zip(*_runs(t_all))}
+    order = np.argsort(objs, kind="stable")
+    pieces = []
+    for places in np.split(order, np.flatnonzero(np.diff(objs[order])) + 1) if len(objs) else []:
+        o = int(objs[places[0]])
+        for gap in gaps:
+            kept = places[thinned(t_all[places], gap, min(len(places) - 1, abs(o) * 7919 % gap))]
+            # where the track ends, one more frame is asked for, in which no box is right
+            pieces += [(o, gap, kept[first : first + STEPS + 1], first + STEPS >= len(kept)) for first in range(0, len(kept), STEPS)]
+    some = sorted(np.random.default_rng(seed).permutation(len(pieces))[:most].tolist())
+    xs, plains, owns, ys, masks = [], [], [], [], []
+    for o, gap, piece, left in (pieces[i] for i in some):
+        x, plain, own = np.zeros((STEPS, INPUTS)), np.zeros((STEPS, TRIED, PLAIN)), np.zeros((STEPS, 2))
+        y, mask = np.zeros((STEPS, TRIED)), np.zeros((STEPS, TRIED))
+        p = Prefix(o, boxes[piece[0]], int(t_all[piece[0]]), cats[piece[0]])
+        for k, j in enumerate(piece[:STEPS].tolist()):
+            if k + 1 == len(piece) and not left:
+                break
+            elapsed_now = 0
+            if k:
+                elapsed_now = int(t_all[j]) - p.t
+                scorer.update(p, boxes[j], int(t_all[j]))
+            x[k] = scorer.inputs(p.box, p.v, elapsed_now)
+            t = int(t_all[piece[k + 1]]) if k + 1 < len(piece) else int(t_all[j]) + gap
+            lo, hi = at.get(t, (0, 0))
+            near = lo + np.flatnonzero(cats[lo:hi] == p.category)
+            far = np.hypot(*(boxes[near, :2] - p.box[:2] - p.v * (t - p.t)).T) - 1e6 * (objs[near] == o)
+            near = near[np.argsort(far, kind="stable")[:TRIED]]
+            if not len(near):
+                continue
+            f, own[k] = (a[0] for a in scorer.plain([p], boxes[near], t))
+            plain[k, : len(near)], y[k, : len(near)], mask[k, : len(near)] = f, objs[near] == o, 1.0
+        for into, value in ((xs, x), (plains, plain), (owns, own), (ys, y), (masks, mask)):
+            into.append(value)
+    shapes = ((STEPS, INPUTS), (STEPS, TRIED, PLAIN), (STEPS, 2), (STEPS, TRIED), (STEPS, TRIED))
+    return tuple(np.array(v) if v else np.zeros((0, *shape)) for v, shape in zip((xs, plains, owns, ys, masks), shapes))
+
+
+def _runs(t: np.ndarray) -> tuple[list[int], list[int], list[int]]:
+    """Frames, and where their boxes begin and end."""
+    cuts = np.flatnonzero(np.diff(t, prepend=-1))
+    return t[cuts].tolist(), cuts.tolist(), [*cuts[1:].tolist(), len(t)]
+
+
+def variable_frames(boxes_at, tolerance: float = 0.5, most: int = 16, frames: int = 480) -> list[int]:
     """Two-frame matching with a gap that halves when the least confident match is under the tolerance and doubles otherwise.
 
-    Returns the boxes of the frames processed and their number.
+    ``boxes_at(t)``: the boxes of a frame. Returns the frames that were looked at, in order.
     """
-    frames = frames_of(pdf)
-    none = pdf.iloc[:0]
-    done, t, gap = {0: frames.get(0, none)}, 0, most
-    while t < 479:
-        to = min(479, t + gap)
+    done, t, gap = {0}, 0, most
+    while t < frames - 1:
+        a = boxes_at(t)
+        to = min(frames - 1, t + gap)
         while to - t > 1:
-            a, b = done[t], frames.get(to, none)
-            done[to] = b
-            if a.empty:
+            b = boxes_at(to)
+            done.add(to)
+            if not len(a):
                 break
-            score = iou(a[["x", "y", "w", "h"]].to_numpy(float), b[["x", "y", "w", "h"]].to_numpy(float)) if len(b) else np.zeros((len(a), 1))
+            score = iou(a, b) if len(b) else np.zeros((len(a), 1))
             if score.max(1).min() >= tolerance:
                 break
             to = t + (to - t) // 2
-        done[to] = frames.get(to, none)
+        done.add(to)
         gap = min(most, 2 * (to - t)) if to - t >= gap else max(1, to - t)
         t = to
-    return pd.concat(list(done.values())), len(done)
+    return sorted(done)
 
 
-def extra_frames(first: int, last: int, gap: int) -> int:
-    """Detector calls to find both ends of a track by bisection inside the skipped frames."""
-    return 2 * max(0, int(np.ceil(np.log2(gap)))) if gap > 1 else 0
+def variable_gap(pdf: pd.DataFrame, tolerance: float = 0.5, most: int = 16) -> tuple[pd.DataFrame, int]:
+    """The boxes of the frames that :func:`variable_frames` looks at, and their number."""
+    held = {t: g[["x", "y", "w", "h"]].to_numpy(float) for t, g in frames_of(pdf).items()}
+    done = variable_frames(lambda t: held.get(t, np.zeros((0, 4))), tolerance, most)
+    return pdf[pdf["t"].isin(done)].sort_values(["t", "obj"]), len(done)
+
+
+class EndSearch:
+    """Finds where a track begins and ends inside the frames that were skipped, by bisection with further detector calls.
+
+    ``look(t)``: categories and boxes that the detector returns for a frame. A frame looked at once serves all tracks of
+    the clip; ``probes`` holds those that were not processed before.
+    """
+
+    def __init__(self, processed: list[int], look, frames: int = 480):
+        self.processed, self.look, self.frames, self.probes = np.asarray(sorted(processed)), look, frames, set()
+
+    def _end(self, t: int, box: np.ndarray, v: np.ndarray, category: str, bound: int) -> tuple[int, np.ndarray]:
+        """From a box at ``t`` towards ``bound``, a frame where the track was not seen: the last time and box at which it is."""
+        known, lo, hi = t, t, bound
+        while abs(hi - lo) > 1:
+            m = (lo + hi) // 2
+            self.probes.add(m)
+            cats, boxes = self.look(m)
+            some = boxes[cats == category]
+            found = None
+            if len(some):
+                at = box[:2] + v * (m - known)
+                off = np.hypot(*(some[:, :2] - at).T)
+                i = int(np.argmin(off))
+                if off[i] <= 0.6 * np.hypot(*box[2:4]) + 0.5 * np.hypot(*v) * abs(m - known):
+                    found = some[i]
+            if found is None:
+                hi = m
+            else:
+                v = (found[:2] - box[:2]) / (m - known) if m != known else v
+                box, known, lo = found, m, m
+        return known, box
+
+    def ends(self, t: np.ndarray, boxes: np.ndarray, category: str) -> tuple[np.ndarray, np.ndarray]:
+        """First and last box of a track given its boxes in order of time."""
+        i, j = np.searchsorted(self.processed, t[0]), np.searchsorted(self.processed, t[-1], "right")
+        before = int(self.processed[i - 1]) if i > 0 else -1
+        after = int(self.processed[j]) if j < len(self.processed) else self.frames
+        speed = lambda a, b: (boxes[b, :2] - boxes[a, :2]) / max(1, int(t[b] - t[a]))
+        one, two = (speed(0, 1), speed(-2, -1)) if len(t) > 1 else (np.zeros(2), np.zeros(2))
+        return self._end(int(t[0]), boxes[0], one, category, before)[1], self._end(int(t[-1]), boxes[-1], two, category, after)[1]
+
+    def calls(self) -> int:
+        return len(self.probes - set(self.processed.tolist()))
 
 
 def stitch(left: pd.DataFrame, right: pd.DataFrame, overlap: tuple[int, int]) -> dict[int, int]:

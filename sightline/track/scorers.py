@@ -5,6 +5,11 @@ from __future__ import annotations
 import numpy as np
 
 HIDDEN = 24
+#: Numbers of a box that describe how its object looks; boxes are rows x, y, w, h and, where known, these.
+LOOKS = 4
+INPUTS = 7 + LOOKS
+#: Features of a prefix and a box that are not learnt.
+PLAIN = 8
 
 
 def iou(a: np.ndarray, b: np.ndarray) -> np.ndarray:
@@ -15,14 +20,19 @@ def iou(a: np.ndarray, b: np.ndarray) -> np.ndarray:
     return inter / (a[:, None, 2] * a[:, None, 3] + b[None, :, 2] * b[None, :, 3] - inter)
 
 
+def looks_of(boxes: np.ndarray) -> np.ndarray:
+    """The looks of a box or of many; zeros where they are not known."""
+    return boxes[..., 4:] if boxes.shape[-1] == 4 + LOOKS else np.zeros((*boxes.shape[:-1], LOOKS))
+
+
 class Prefix:
-    """A running track: last box and time, speed in px a frame, hidden state."""
+    """A running track: last box and time, speed in px a frame, hidden state, and a running mean of its looks."""
 
-    __slots__ = ("id", "box", "t", "v", "hidden", "n", "category")
+    __slots__ = ("id", "box", "t", "v", "hidden", "n", "category", "looks")
 
     def __init__(self, id_: int, box: np.ndarray, t: int, category: str):
         self.id, self.box, self.t, self.category = id_, box, t, category
-        self.v, self.hidden, self.n = np.zeros(2), np.zeros(HIDDEN), 1
+        self.v, self.hidden, self.n, self.looks = np.zeros(2), np.zeros(HIDDEN), 1, looks_of(box)
 
 
 class Overlap:
@@ -50,7 +60,7 @@ class Motion(Overlap):
     def offsets(self, prefixes: list[Prefix], boxes: np.ndarray, t: int) -> tuple[np.ndarray, np.ndarray]:
         at = np.array([p.box[:2] + p.v * (t - p.t) for p in prefixes])
         off = boxes[None, :, :2] - at[:, None]
-        reach = np.array([0.6 * np.hypot(*p.box[2:]) + (9.0 * (t - p.t) if p.n == 1 else 1.2 * (t - p.t)) for p in prefixes])
+        reach = np.array([0.6 * np.hypot(*p.box[2:4]) + (9.0 * (t - p.t) if p.n == 1 else 1.2 * (t - p.t)) for p in prefixes])
         return off, reach
 
     def score(self, prefixes: list[Prefix], boxes: np.ndarray, t: int) -> np.ndarray:
@@ -59,64 +69,123 @@ class Motion(Overlap):
 
 
 class Recurrent(Motion):
-    """A gated recurrent state over the prefix's box features and elapsed frames, and a trained match net on it.
+    """A gated recurrent state over the prefix's boxes, speeds, looks and elapsed frames, and a match net on it, trained together.
 
-    The recurrent weights are drawn once from a seed, the match net (two layers) is trained by back-propagation on true tracks
-    sampled at many gaps, with the elapsed frames as an input, so one set of weights serves all gaps.
+    The elapsed frames are an input and training sequences are sampled at many gaps, so one set of weights serves all gaps. Without
+    weights the score is that of :class:`Motion`.
     """
 
     least = 0.5
 
-    def __init__(self, weights: dict | None = None, elapsed: bool = True, seed: int = 5):
-        rng = np.random.default_rng(seed)
-        self.wx, self.wh = rng.normal(0, 0.6, (3, HIDDEN, 7)), rng.normal(0, 0.3, (3, HIDDEN, HIDDEN))
-        self.elapsed = elapsed
-        self.net = weights
+    def __init__(self, weights: dict | None = None, elapsed: bool = True):
+        self.elapsed, self.net = elapsed, weights
+
+    def inputs(self, box: np.ndarray, v: np.ndarray, gap: int) -> np.ndarray:
+        plain = [box[0] / 640, box[1] / 384, box[2] / 96, box[3] / 64, v[0] / 10, v[1] / 10, np.log2(1 + gap) / 5 if self.elapsed else 0.0]
+        return np.concatenate([plain, looks_of(box)])
 
-    def _step(self, h: np.ndarray, box: np.ndarray, v: np.ndarray, gap: int) -> np.ndarray:
-        x = np.array([box[0] / 640, box[1] / 384, box[2] / 96, box[3] / 64, v[0] / 10, v[1] / 10, np.log2(1 + gap) / 5 if self.elapsed else 0.0])
-        sig = lambda z: 1 / (1 + np.exp(-z))
-        z, r = sig(self.wx[0] @ x + self.wh[0] @ h), sig(self.wx[1] @ x + self.wh[1] @ h)
-        return (1 - z) * h + z * np.tanh(self.wx[2] @ x + self.wh[2] @ (r * h))
+    def start(self, p: Prefix) -> None:
+        if self.net is not None:
+            p.hidden = cell(self.net["wx"], self.net["wh"], self.inputs(p.box, p.v, 0), p.hidden)[0]
 
     def update(self, p: Prefix, box: np.ndarray, t: int) -> None:
         gap = t - p.t
         super().update(p, box, t)
-        p.hidden = self._step(p.hidden, box, p.v, gap)
+        p.looks = 0.6 * p.looks + 0.4 * looks_of(box)
+        if self.net is not None:
+            p.hidden = cell(self.net["wx"], self.net["wh"], self.inputs(box, p.v, gap), p.hidden)[0]
 
-    def features(self, prefixes: list[Prefix], boxes: np.ndarray, t: int) -> np.ndarray:
-        """(prefixes, boxes, features) for the match net."""
+    def plain(self, prefixes: list[Prefix], boxes: np.ndarray, t: int) -> tuple[np.ndarray, np.ndarray]:
+        """(prefixes, boxes, PLAIN) offsets, sizes and looks; (prefixes, 2) elapsed frames and whether a prefix has one box only."""
         off, reach = self.offsets(prefixes, boxes, t)
-        n, m = off.shape[:2]
         gap = np.array([np.log2(1 + t - p.t) / 5 if self.elapsed else 0.0 for p in prefixes])
         young = np.array([p.n == 1 for p in prefixes], float)
-        size = np.array([p.box[2:] for p in prefixes])[:, None] / boxes[None, :, 2:] - 1
-        plain = np.stack([off[..., 0] / reach[:, None], off[..., 1] / reach[:, None], (off**2).sum(-1) / reach[:, None] ** 2, off[..., 0] / 100, off[..., 1] / 100, size[..., 0], size[..., 1]], -1)
-        own = np.concatenate([np.array([p.hidden for p in prefixes]), gap[:, None], young[:, None]], 1)
-        return np.concatenate([np.clip(plain, -6, 6), np.broadcast_to(own[:, None], (n, m, own.shape[1]))], -1)
+        size = np.array([p.box[2:4] for p in prefixes])[:, None] / boxes[None, :, 2:4] - 1
+        looks = np.linalg.norm(np.array([p.looks for p in prefixes])[:, None] - looks_of(boxes)[None], axis=-1)
+        parts = [off[..., 0] / reach[:, None], off[..., 1] / reach[:, None], (off**2).sum(-1) / reach[:, None] ** 2, off[..., 0] / 100, off[..., 1] / 100, size[..., 0], size[..., 1], looks]
+        return np.clip(np.stack(parts, -1), -6, 6), np.stack([gap, young], 1)
 
     def score(self, prefixes: list[Prefix], boxes: np.ndarray, t: int) -> np.ndarray:
         if self.net is None:
             return super().score(prefixes, boxes, t)
-        f = self.features(prefixes, boxes, t)
-        hidden = np.tanh(f @ self.net["a"] + self.net["b"])
-        return 1 / (1 + np.exp(-np.clip(hidden @ self.net["c"] + self.net["d"], -30, 30)))
+        plain, own = self.plain(prefixes, boxes, t)
+        w = self.net
+        # the part of the first layer that depends on the prefix alone is made once for all boxes
+        state = np.concatenate([np.array([p.hidden for p in prefixes]), own], 1) @ w["a"][PLAIN:] + w["b"]
+        hidden = np.tanh(plain @ w["a"][:PLAIN] + state[:, None])
+        return 1 / (1 + np.exp(-np.clip(hidden @ w["c"] + w["d"], -30, 30)))
+
+
+def _sigmoid(z: np.ndarray) -> np.ndarray:
+    return 1 / (1 + np.exp(-np.clip(z, -30, 30)))
 
 
-def train_match_net(features: np.ndarray, labels: np.ndarray, width: int = 16, steps: int = 300, seed: int = 5) -> dict:
-    """Two-layer net by full-batch Adam on binary cross-entropy; positives weigh as much as negatives."""
+def cell(wx: np.ndarray, wh: np.ndarray, x: np.ndarray, h: np.ndarray) -> tuple:
+    """One step of the gated state for one input or a batch: the new state, and what its gradient needs."""
+    z, r = _sigmoid(x @ wx[0].T + h @ wh[0].T), _sigmoid(x @ wx[1].T + h @ wh[1].T)
+    c = np.tanh(x @ wx[2].T + (r * h) @ wh[2].T)
+    return (1 - z) * h + z * c, z, r, c
+
+
+def loss_and_gradient(w: dict, x: np.ndarray, plain: np.ndarray, own: np.ndarray, y: np.ndarray, weight: np.ndarray) -> tuple[float, dict]:
+    """Cross-entropy of all matches of a batch of sequences, and its gradient through the match net and back through time.
+
+    x: (sequences, steps, INPUTS) what the state reads; plain: (sequences, steps, boxes, PLAIN), own: (sequences, steps, 2) and
+    y: (sequences, steps, boxes) the matches asked for after each step, with their weight (0 where there is none).
+    """
+    n, steps = x.shape[:2]
+    h, kept = np.zeros((n, HIDDEN)), []
+    loss = 0.0
+    grad = {k: np.zeros_like(v) for k, v in w.items()}
+    ups = []
+    for t in range(steps):
+        before = h
+        h, z, r, c = cell(w["wx"], w["wh"], x[:, t], before)
+        kept.append((before, z, r, c))
+        state = np.concatenate([h, own[:, t]], 1)
+        hidden = np.tanh(plain[:, t] @ w["a"][:PLAIN] + (state @ w["a"][PLAIN:] + w["b"])[:, None])
+        p = _sigmoid(hidden @ w["c"] + w["d"])
+        loss -= float((weight[:, t] * (y[:, t] * np.log(p + 1e-12) + (1 - y[:, t]) * np.log(1 - p + 1e-12))).sum())
+        err = weight[:, t] * (p - y[:, t])
+        back = err[..., None] * w["c"] * (1 - hidden * hidden)
+        both = back.sum(1)
+        grad["c"] += np.einsum("sm,smk->k", err, hidden)
+        grad["d"] += err.sum()
+        grad["b"] += both.sum(0)
+        grad["a"][:PLAIN] += np.einsum("smf,smk->fk", plain[:, t], back)
+        grad["a"][PLAIN:] += state.T @ both
+        ups.append(both @ w["a"][PLAIN : PLAIN + HIDDEN].T)
+    down = np.zeros((n, HIDDEN))
+    for t in range(steps - 1, -1, -1):
+        before, z, r, c = kept[t]
+        g = down + ups[t]
+        gc = g * z * (1 - c * c)
+        gz = g * (c - before) * z * (1 - z)
+        through = gc @ w["wh"][2]
+        gr = through * before * r * (1 - r)
+        for k, (gate, state) in enumerate(((gz, before), (gr, before), (gc, r * before))):
+            grad["wx"][k] += gate.T @ x[:, t]
+            grad["wh"][k] += gate.T @ state
+        down = g * (1 - z) + through * r + gz @ w["wh"][0] + gr @ w["wh"][1]
+    return loss, grad
+
+
+def train_recurrent(x: np.ndarray, plain: np.ndarray, own: np.ndarray, y: np.ndarray, mask: np.ndarray, elapsed: bool = True, width: int = 16, steps: int = 120, batch: int = 256, seed: int = 5) -> dict:
+    """Recurrent weights and match net by back-propagation through time (Adam, batches drawn by seed); positives weigh as much as negatives."""
     rng = np.random.default_rng(seed)
-    w = {"a": rng.normal(0, 0.3, (features.shape[1], width)), "b": np.zeros(width), "c": rng.normal(0, 0.3, width), "d": np.zeros(1)}
-    m, v = ({k: np.zeros_like(x) for k, x in w.items()} for _ in range(2))
-    pos = max(1.0, labels.sum())
-    weight = np.where(labels > 0, 0.5 / pos, 0.5 / max(1.0, len(labels) - pos))
+    w = {
+        "wx": rng.normal(0, 0.4, (3, HIDDEN, INPUTS)), "wh": rng.normal(0, 0.2, (3, HIDDEN, HIDDEN)), "a": rng.normal(0, 0.3, (PLAIN + HIDDEN + 2, width)), "b": np.zeros(width),
+        "c": rng.normal(0, 0.3, width), "d": np.zeros(1),
+    }
+    m, v = ({k: np.zeros_like(a) for k, a in w.items()} for _ in range(2))
     for t in range(1, steps + 1):
-        h = np.tanh(features @ w["a"] + w["b"])
-        err = weight * (1 / (1 + np.exp(-np.clip(h @ w["c"] + w["d"], -30, 30))) - labels)
-        back = err[:, None] * w["c"] * (1 - h * h)
-        grad = {"a": features.T @ back, "b": back.sum(0), "c": h.T @ err, "d": err.sum(keepdims=True)}
+        pick = rng.choice(len(x), min(batch, len(x)), replace=False)
+        positive = mask[pick] * (y[pick] > 0)
+        negative = mask[pick] - positive
+        weight = positive * 0.5 / max(1.0, positive.sum()) + negative * 0.5 / max(1.0, negative.sum())
+        _, grad = loss_and_gradient(w, x[pick], plain[pick], own[pick], y[pick], weight)
         for k in w:
             m[k] = 0.9 * m[k] + 0.1 * grad[k]
-            v[k] = 0.999 * v[k] + 0.001 * grad[k] ** 2
-            w[k] = w[k] - 0.02 * (m[k] / (1 - 0.9**t)) / (np.sqrt(v[k] / (1 - 0.999**t)) + 1e-8)
-    return w
+            v[k] = 0.99 * v[k] + 0.01 * grad[k] ** 2
+            w[k] = w[k] - 0.02 * (m[k] / (1 - 0.9**t)) / (np.sqrt(v[k] / (1 - 0.99**t)) + 1e-8)
+    return w | {"elapsed": elapsed}

@@ -8,6 +8,7 @@ from itertools import combinations
 import pandas as pd
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
+from pyspark.sql.types import IntegerType, StructField, StructType
 
 from ..model.schemas import CELL, COLUMNS, HEIGHT, ROWS, WIDTH, seconds
 
@@ -236,7 +237,7 @@ def batches(windows: DataFrame, size: int = 16) -> DataFrame:
                 ids.append(n // size)
             yield part.assign(batch=ids)
 
-    return windows.mapInPandas(run, windows.schema.add("batch", "int"))
+    return windows.mapInPandas(run, StructType([*windows.schema.fields, StructField("batch", IntegerType())]))
 
 
 assert (COLUMNS, ROWS) == (20, 12)
