@@ -16,7 +16,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import connected_components, forget, saved
+from .common import connected_components, forget, saved, slices, tidy
 from .hashing import mix, shingle_sets
 
 #: Buckets of the count sketch that orders tokens from rare to frequent: a fixed size, whatever the corpus.
@@ -25,6 +25,9 @@ _CHUNK_BITS = 15
 #: Bits of the filter of document ids that a verification needs: a fixed size too; false hits only cost time.
 FILTER_BITS = 22
 ORDERS = 2
+#: Classes of equal sets are broadcast up to so many rows (some 32 bytes each), else joined under so many salts.
+BROADCAST_CLASSES = 200_000
+SALTS = 32
 #: Rows for each leader, and leaders that each row is tried with in a round.
 SLOT = 16
 TRIALS = 3
@@ -37,6 +40,7 @@ def _sketch(docs: DataFrame, words: int) -> np.ndarray:
     """
     chunk = 1 << _CHUNK_BITS
 
+    @tidy
     def count(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         seen = np.zeros(1 << SKETCH_BITS, np.int32)
         some: list[np.ndarray] = []
@@ -62,6 +66,7 @@ def _sketch(docs: DataFrame, words: int) -> np.ndarray:
         kept = list(sums)
         yield pa.RecordBatch.from_arrays([pa.array(kept, pa.int32()), pa.array([zlib.compress(sums[i].astype(np.int64).tobytes(), 1) for i in kept], pa.binary())], ["chunk", "counts"])
 
+    @tidy
     def add(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         sums: dict[int, np.ndarray] = {}
         for batch in batches:
@@ -89,9 +94,10 @@ def _profiles(docs: DataFrame, words: int, percent: int, ranks) -> DataFrame:
     """doc_id, n (set size), sign_a and sign_b (of the set), prefix0, prefix1, ...: first tokens under each order."""
     kind = docs.schema["doc_id"].dataType.simpleString()
 
+    @tidy
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         rank = ranks.value
-        for batch in batches:
+        for batch in slices(batches, 1024):
             sizes, signs, first = [], ([], []), [[] for _ in range(ORDERS)]
             for s in shingle_sets(batch.column(1), words):
                 n = len(s)
@@ -120,7 +126,7 @@ def _fit(n: str, place: str, m: str, at: str, percent: int):
 
 
 def _stars(rows: DataFrame, turn: int, percent: int) -> DataFrame:
-    """Pairs (a, b) of bucket members with leaders, as many as rows at most in the first turn and ``TRIALS`` times that later.
+    """Pairs (a, b) of bucket members with leaders: in every trial the leader that a member meets in most buckets.
 
     The first leader of a bucket is its smallest doc_id. Later ones are drawn by hash, one for each ``SLOT`` rows or so, anew
     in every trial, and preferably with an early place, where more pairs pass the positional filter.
@@ -136,6 +142,8 @@ def _stars(rows: DataFrame, turn: int, percent: int) -> DataFrame:
     leaders = rows.groupBy(*spot).agg(F.min(F.struct(*order, *lead)).alias("l"), F.max("comp").alias("top"), F.min("comp").alias("low"))
     leaders = leaders.where("top <> low").select(*spot, "l.lead", "l.lead_comp", "l.lead_n", "l.lead_place")
     met = rows.join(leaders, spot).where((F.col("comp") != F.col("lead_comp")) & _fit("n", "place", "lead_n", "lead_place", percent))
+    met = met.groupBy("doc_id", "trial", "lead").agg(F.count(F.lit(1)).alias("times"))
+    met = met.groupBy("doc_id", "trial").agg(F.max(F.struct("times", "lead")).alias("best")).select("doc_id", F.col("best.lead").alias("lead"))
     return met.select(F.least("doc_id", "lead").alias("a"), F.greatest("doc_id", "lead").alias("b")).distinct()
 
 
@@ -146,6 +154,7 @@ def _passing(pairs: DataFrame, profiles: DataFrame, percent: int) -> DataFrame:
     most the number of common prefix tokens plus what the set with the smaller last token has behind its prefix. This has to reach the overlap
     that the threshold asks of the two sizes.
     """
+    profiles = profiles.where(_in_pairs(pairs)(_place("doc_id")))
     side = lambda s: profiles.select(F.col("doc_id").alias(s), F.col("n").alias(f"n_{s}"), *(F.col(f"prefix{k}").alias(f"p{k}_{s}") for k in range(ORDERS)))
     out = pairs.join(side("a"), "a").join(side("b"), "b").where(100 * F.least("n_a", "n_b") >= percent * F.greatest("n_a", "n_b"))
     asked = F.expr(f"({percent}L * (n_a + n_b) + {99 + percent}) div {100 + percent}")
@@ -156,34 +165,36 @@ def _passing(pairs: DataFrame, profiles: DataFrame, percent: int) -> DataFrame:
     return out.select("a", "b")
 
 
-def _id_filter(pairs: DataFrame):
-    """A bit array of the ids of pairs (fixed size), as words of 32 bits."""
-    place = F.pmod(F.xxhash64("id"), F.lit(1 << FILTER_BITS))
+def _place(column: str):
+    return F.pmod(F.xxhash64(column), F.lit(1 << FILTER_BITS))
+
+
+def _in_pairs(pairs: DataFrame):
+    """A test of places (see ``_place``) for ids that stand in pairs, by a bit array of fixed size: what it lets through too much only costs time."""
     words = (
-        pairs.select(F.explode(F.array("a", "b")).alias("id")).select(place.alias("p"))
+        pairs.select(F.explode(F.array("a", "b")).alias("id")).select(_place("id").alias("p"))
         .groupBy(F.expr("p div 32").alias("w")).agg(F.bit_or(F.expr("shiftleft(1L, int(p % 32))")).alias("bits")).toPandas()
     )
     out = np.zeros(1 << (FILTER_BITS - 5), np.uint32)
     out[words["w"].to_numpy(np.int64)] = words["bits"].to_numpy(np.int64).astype(np.uint32)
-    return out
-
-
-def verify_pairs(pairs: DataFrame, docs: DataFrame, words: int, percent: int) -> DataFrame:
-    """The pairs (a, b) of doc_ids whose sets reach the threshold, by exact intersection of the whole sets."""
-    spark = docs.sparkSession
-    bits = spark.sparkContext.broadcast(_id_filter(pairs))
+    bits = pairs.sparkSession.sparkContext.broadcast(out)
 
     @F.pandas_udf("boolean")
     def wanted(place: pd.Series) -> pd.Series:
         p = place.to_numpy()
         return pd.Series((bits.value[p >> 5] >> (p & 31).astype(np.uint32)) & 1 == 1)
 
-    place = F.pmod(F.xxhash64("doc_id"), F.lit(1 << FILTER_BITS))
-    texts = docs.select("doc_id", "text").where(wanted(place))
+    return wanted
+
+
+def verify_pairs(pairs: DataFrame, docs: DataFrame, words: int, percent: int) -> DataFrame:
+    """The pairs (a, b) of doc_ids whose sets reach the threshold, by exact intersection of the whole sets."""
+    texts = docs.select("doc_id", "text").where(_in_pairs(pairs)(_place("doc_id")))
     left = pairs.join(texts.select(F.col("doc_id").alias("a"), F.col("text").alias("left_text")), "a")
     both = left.join(texts.select(F.col("doc_id").alias("b"), F.col("text").alias("right_text")), "b").select("a", "b", "left_text", "right_text")
     kind = docs.schema["doc_id"].dataType.simpleString()
 
+    @tidy
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
             keep = []
@@ -203,7 +214,7 @@ def jaccard_components(docs: DataFrame, words: int = 5, percent: int = 80, star_
     Rows with null doc_id are left out, and of rows with equal doc_id the one whose text is greatest is used. Empty tables give no rows.
 
     1. A sketch of how frequent all shingles are ranks them (rare first), fixed in size. 2. Each document gets its set's signature and
-    its prefix under every order. 3. Equal signatures collapse to the smallest doc_id. 4. In rounds, each member of a first-order bucket is
+    its prefix under every order. 3. Equal signatures (128 bits and the set's size) collapse to the smallest doc_id; shingles are compared by 64-bit hashes throughout. 4. In rounds, each member of a first-order bucket is
     tried with a leader or a few of it; verified links make components. 5. What is still apart after the rounds is joined pair by pair within
     buckets and across components only, so the result is exact.
     """
@@ -215,9 +226,11 @@ def jaccard_components(docs: DataFrame, words: int = 5, percent: int = 80, star_
         base = saved(base.groupBy("doc_id").agg(F.max("text").alias("text")), "texts")
         forget(spark, every)
         every = saved(_profiles(base, words, percent, ranks), "profiles")
-    classes = every.where("n > 0").groupBy("sign_a", "sign_b", "n").agg(F.min("doc_id").alias("rep"))
-    member = saved(every.select("doc_id", "n", "sign_a", "sign_b").join(classes, ["sign_a", "sign_b", "n"], "left").select("doc_id", "n", F.coalesce("rep", "doc_id").alias("rep")), "members")
-    reps = saved(every.join(member.where("doc_id = rep and n > 1").select("doc_id"), "doc_id", "left_semi"), "representatives")
+    signs = ["sign_a", "sign_b", "n"]
+    classes = every.where("n > 0").groupBy(*signs).agg(F.min("doc_id").alias("rep"), F.count(F.lit(1)).alias("c")).where("c > 1").drop("c")
+    named = _with_class(every, saved(classes, "classes"), signs).withColumn("rep", F.coalesce("rep", "doc_id"))
+    member = saved(named.select("doc_id", "n", "rep"), "members")
+    reps = saved(named.where("doc_id = rep and n > 1").select(*every.columns), "representatives")
     forget(spark, every)
     rows = reps.select("doc_id", "n", F.posexplode("prefix0").alias("place", "token"))
     shared = rows.groupBy("token").agg(F.count(F.lit(1)).alias("c")).where("c > 1").select("token")
@@ -246,6 +259,15 @@ def jaccard_components(docs: DataFrame, words: int = 5, percent: int = 80, star_
     return member.join(comp.withColumnRenamed("doc_id", "rep"), "rep", "left").select("doc_id", F.col("n").cast("long").alias("n_shingles"), F.coalesce("comp", "rep").alias("component_id"))
 
 
+def _with_class(every: DataFrame, classes: DataFrame, signs: list[str]) -> DataFrame:
+    """The profiles with the representative of their class, if it has several members. The classes are broadcast up to a size; beyond it
+    they are joined under salts, so that the members of a large class are dealt over several tasks."""
+    if classes.count() <= BROADCAST_CLASSES:
+        return every.join(F.broadcast(classes), signs, "left")
+    dealt = classes.withColumn("salt", F.explode(F.sequence(F.lit(0), F.lit(SALTS - 1))))
+    return every.withColumn("salt", F.pmod(F.xxhash64("doc_id"), F.lit(SALTS)).cast("int")).join(dealt, [*signs, "salt"], "left").drop("salt")
+
+
 def _components(links: list[DataFrame]) -> DataFrame:
     edges = links[0]
     for more in links[1:]:
