@@ -12,10 +12,11 @@ import html as entities
 import json
 import re
 import zlib
-from bisect import bisect_left
 from collections import Counter
-from collections.abc import Iterator
+from collections.abc import Iterator, Sequence
+from math import isqrt
 
+import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
@@ -55,8 +56,8 @@ _OUTSIDE_NAME = re.compile(r"(?:(?:site|page|top)[-_]?)?header|related(?:[-_](?:
 _SPACE = re.compile(r"\s+")
 #: References of all hosts are broadcast up to so many bytes, else joined by host.
 BROADCAST_BYTES = 32 << 20
-#: Tables of a page's alignment have so many cells in all; what is left over is aligned in order of labels.
-CELLS = 400_000
+#: Rows of an alignment's table with fewer children than this are lists, longer ones arrays of the same numbers.
+_SHORT = 32
 #: The share of a part's varying text that one kind of children must hold to be looked into.
 SHARE = 0.6
 _ROWS = 64
@@ -260,107 +261,167 @@ def layout_of(html):
     return F.xxhash64(F.array_sort(F.array_distinct(F.transform(found, lambda x: F.regexp_replace(F.lower(x), "[0-9]+", "")))))
 
 
-def align(page: Node, shape: Shape) -> list[tuple[Node, int]]:
-    """Simple tree matching of a page with a reference: (node, place of its partner), parents before children.
+class _Kinds:
+    """Subtrees with the same labels as one number each: its label, the kinds of its children and its nodes."""
 
-    Roots match when labels are equal; among children, the order-preserving matching of largest total size is
-    taken. Children that match one by one from either end are taken first, so that the table is built for the rest only. Where
-    a page's tables would have more than ``CELLS`` cells, its remaining children are matched in order, each with the next of its label.
-    """
-    sizes: dict[tuple[int, int], int] = {}
-    kept: dict[int, list[Node]] = {}
-    left = CELLS
-
-    def kids(n: Node) -> list[Node]:
-        got = kept.get(id(n))
-        if got is None:
-            got = kept[id(n)] = _kids(n)
+    __slots__ = ("known", "labels", "kids", "nodes")
+
+    def __init__(self):
+        self.known: dict[tuple, int] = {}
+        self.labels: list[str] = []
+        self.kids: list[tuple[int, ...]] = []
+        self.nodes: list[int] = []
+
+    def of(self, label: str, kids: tuple[int, ...]) -> int:
+        got = self.known.setdefault((label, kids), len(self.labels))
+        if got == len(self.labels):
+            self.labels.append(label)
+            self.kids.append(kids)
+            self.nodes.append(1 + sum(self.nodes[k] for k in kids))
         return got
 
-    def split(n: Node, s: int) -> tuple[list[tuple[Node, int]], list[Node], list[int]]:
-        """Children that match from either end, and the rest of both sides."""
-        a, b, names = kids(n), shape.kids[s], shape.labels
-        lo, hi, most = 0, 0, min(len(a), len(b))
-        while lo < most and _label(a[lo]) == names[b[lo]]:
-            lo += 1
-        while hi < most - lo and _label(a[-1 - hi]) == names[b[-1 - hi]]:
-            hi += 1
-        ends = list(zip(a[:lo], b[:lo])) + list(zip(a[len(a) - hi :], b[len(b) - hi :]))
-        return ends, a[lo : len(a) - hi], b[lo : len(b) - hi]
-
-    def in_order(a: list[Node], b: list[int]) -> list[tuple[Node, int]]:
-        places: dict[str, list[int]] = {}
-        for j, s in enumerate(b):
-            places.setdefault(shape.labels[s], []).append(j)
-        out, at = [], 0
-        for n in a:
-            if (own := places.get(_label(n))) and (k := bisect_left(own, at)) < len(own):
-                out.append((n, b[own[k]]))
-                at = own[k] + 1
+    def of_page(self, page: Node) -> dict[int, int]:
+        """Kinds by the id of a node."""
+        out: dict[int, int] = {}
+        work: list = [(page, None)]
+        while work:
+            node, kids = work.pop()
+            if kids is None and (kids := _kids(node)):
+                work.append((node, kids))
+                work.extend((k, None) for k in kids)
+            else:
+                out[id(node)] = self.of(_label(node), tuple(out[id(k)] for k in kids))
+        return out
+
+    def of_shape(self, shape: Shape) -> list[int]:
+        """Kinds by place."""
+        out = [0] * len(shape.labels)
+        for s in range(len(out) - 1, -1, -1):  # parents stand before their children
+            out[s] = self.of(shape.labels[s], tuple(out[k] for k in shape.kids[s]))
         return out
 
-    def same(a: list[Node], b: list[int]) -> list[tuple[Node, int]]:
+
+class _Matching:
+    """Largest order-preserving matchings of subtrees, found once for each pair of kinds."""
+
+    def __init__(self, kinds: _Kinds):
+        self.kinds, self.sizes = kinds, {}
+
+    def size(self, x: int, y: int) -> int | None:
+        """Nodes in the matching of two subtrees; None: not found yet."""
+        kinds = self.kinds
+        if kinds.labels[x] != kinds.labels[y]:
+            return 0
+        if x == y:
+            return kinds.nodes[x]
+        return self.sizes.get((x, y)) if kinds.kids[x] and kinds.kids[y] else 1
+
+    def missing(self, a: Sequence[int], b: Sequence[int]) -> list[tuple[int, int]]:
         names: dict[str, list[int]] = {}
-        for s in b:
-            names.setdefault(shape.labels[s], []).append(s)
-        return [(n, s) for n in a for s in names.get(_label(n), ())]
-
-    def table(a: list[Node], b: list[int]) -> list[list[int]]:
-        m = [[0] * (len(b) + 1)]
-        for n in a:
-            row, above, name = [0], m[-1], _label(n)
-            for j, s in enumerate(b):
-                here = above[j] + sizes[id(n), s] if name == shape.labels[s] else 0
-                row.append(max(row[j], above[j + 1], here))
-            m.append(row)
-        return m
-
-    def measure(a: list[Node], b: list[int]) -> bool:
-        """Sizes of the matchings of all pairs of ``a`` and ``b``; False when that takes more cells than are left."""
-        nonlocal left
-        work = [(n, s, None) for n, s in same(a, b) if (id(n), s) not in sizes]
+        for y in set(b):
+            names.setdefault(self.kinds.labels[y], []).append(y)
+        return [(x, y) for x in set(a) for y in names.get(self.kinds.labels[x], ()) if self.size(x, y) is None]
+
+    def measure(self, a: Sequence[int], b: Sequence[int]) -> None:
+        """Find the sizes of all pairs of ``a`` and ``b``."""
+        labels = self.kinds.labels
+        work: list = [(x, y, None) for x, y in self.missing(a, b)]
         while work:
-            n, s, parts = work.pop()
-            if (id(n), s) in sizes:
+            x, y, parts = work.pop()
+            if (x, y) in self.sizes:
                 continue
             if parts is None:
-                parts = split(n, s)
-                left -= 1 + len(parts[1]) * len(parts[2])
-                if left < 0:
-                    return False
-                below = [(x, y, None) for x, y in parts[0] + same(parts[1], parts[2]) if (id(x), y) not in sizes]
-                if below:
-                    work.append((n, s, parts))
-                    work += below
+                own, other = self.kinds.kids[x], self.kinds.kids[y]
+                lo, hi = _ends([labels[k] for k in own], [labels[k] for k in other])
+                ends = [*zip(own[:lo], other[:lo]), *zip(own[len(own) - hi :], other[len(other) - hi :])]
+                parts = ends, own[lo : len(own) - hi], other[lo : len(other) - hi]
+                if below := [p for p in ends if self.size(*p) is None] + self.missing(*parts[1:]):
+                    work.append((x, y, parts))
+                    work += [(*p, None) for p in below]
                     continue
-            ends, x, y = parts
-            rest = table(x, y)[-1][-1] if x and y else 0
-            sizes[id(n), s] = 1 + sum(sizes[id(u), v] for u, v in ends) + rest
-        return True
+            ends, own, other = parts
+            self.sizes[x, y] = 1 + sum(self.size(*p) for p in ends) + self.total(own, other)
+
+    def rows(self, a: Sequence[int], b: Sequence[int], row: Sequence[int]) -> Iterator[Sequence[int]]:
+        """The rows of the table of ``a`` and ``b`` that follow ``row``. A row is the running maximum of what stands above it and of what matches add, as a list or an array."""
+        if len(b) < _SHORT:
+            for x in a:
+                above, row = row, [0]
+                for j, y in enumerate(b):
+                    row.append(max(row[j], above[j + 1], above[j] + self.size(x, y)))
+                yield row
+            return
+        some = sorted(set(b))
+        at, adds, row = np.searchsorted(some, b), {}, np.asarray(row, np.int32)
+        for x in a:
+            if x not in adds:
+                adds[x] = np.array([self.size(x, y) for y in some], np.int32)
+            above, row = row, np.zeros_like(row)
+            np.maximum.accumulate(np.maximum(above[1:], above[:-1] + adds[x][at]), out=row[1:])
+            yield row
+
+    def total(self, a: Sequence[int], b: Sequence[int]) -> int:
+        row = [0] * (len(b) + 1)
+        for row in self.rows(a, b, row):
+            pass
+        return int(row[-1])
+
+    def pairs(self, a: Sequence[int], b: Sequence[int]) -> list[tuple[int, int]]:
+        """Places in ``a`` and ``b`` that match, from the last on. Only every so many rows are kept, the others are made again from these."""
+        self.measure(a, b)
+        every, first = isqrt(len(a)) + 1, [0] * (len(b) + 1)
+        kept = [first, *(row for i, row in enumerate(self.rows(a, b, first), 1) if i % every == 0)]
+        out, j = [], len(b)
+        for part in range(len(kept) - 1, -1, -1):
+            low = part * every
+            m = [kept[part], *self.rows(a[low : low + every], b, kept[part])]
+            i = len(m) - 1
+            while i and j:
+                if m[i][j] == m[i - 1][j]:
+                    i -= 1
+                elif m[i][j] == m[i][j - 1]:
+                    j -= 1
+                else:
+                    i, j = i - 1, j - 1
+                    out.append((low + i, j))
+        return out
+
+
+def _ends(a: list[str], b: list[str]) -> tuple[int, int]:
+    """How many labels are equal one by one from the start and, of the rest, from the end."""
+    lo, hi, most = 0, 0, min(len(a), len(b))
+    while lo < most and a[lo] == b[lo]:
+        lo += 1
+    while hi < most - lo and a[-1 - hi] == b[-1 - hi]:
+        hi += 1
+    return lo, hi
+
 
+def align(page: Node, shape: Shape) -> list[tuple[Node, int]]:
+    """Simple tree matching of a page with a reference: (node, place of its partner), parents before children.
+
+    Roots match when labels are equal; among children, the order-preserving matching of largest total size is
+    taken. Children that match one by one from either end are taken first, so that the table is built for the rest only. Pages
+    of every size are matched in this one way.
+    """
     pairs: list[tuple[Node, int]] = []
+    matching = None
     work = [(page, 0)]
     while work:
         n, s = work.pop()
         pairs.append((n, s))
         if n.tag == "#text":
             continue
-        ends, a, b = split(n, s)
+        a, b = _kids(n), shape.kids[s]
+        lo, hi = _ends([_label(k) for k in a], [shape.labels[k] for k in b])
+        work += zip(a[:lo], b[:lo])
+        work += zip(a[len(a) - hi :], b[len(b) - hi :])
+        a, b = a[lo : len(a) - hi], b[lo : len(b) - hi]
         if a and b:
-            left -= len(a) * len(b)
-            if left >= 0 and measure(a, b):
-                m, i, j = table(a, b), len(a), len(b)
-                while i and j:
-                    if m[i][j] == m[i - 1][j]:
-                        i -= 1
-                    elif m[i][j] == m[i][j - 1]:
-                        j -= 1
-                    else:
-                        i, j = i - 1, j - 1
-                        ends.append((a[i], b[j]))
-            else:
-                ends += in_order(a, b)
-        work += ends
+            if matching is None:
+                matching = _Matching(_Kinds())
+                nodes, places = matching.kinds.of_page(page), matching.kinds.of_shape(shape)
+            work += [(a[i], b[j]) for i, j in matching.pairs([nodes[id(k)] for k in a], [places[k] for k in b])]
     return pairs
 
 

@@ -46,6 +46,73 @@ def test_alignment_is_the_largest_matching_that_keeps_the_ends(seed):
         del first, last
 
 
+def branch(label, *kids):
+    node = Node(label)
+    node.kids = list(kids)
+    return node
+
+
+def test_wide_pages_are_aligned_as_narrow_ones():
+    for n in (5, 40, 900):
+        a = branch("r", branch("u"), branch("z"), *(branch("p", branch("b"), branch("i")) for _ in range(n)), branch("v"))
+        b = branch("r", branch("x"), *(branch("p", branch("i"), branch("s")) for _ in range(n)), branch("z"), branch("y"))
+        assert len(align(a, Shape.of(b))) == 1 + 2 * n
+
+
+@pytest.mark.parametrize("short", [0, 10_000])
+def test_rows_as_lists_and_as_arrays_match_alike(monkeypatch, short):
+    monkeypatch.setattr(html_text, "_SHORT", short)
+    for seed in range(3):
+        test_alignment_is_the_largest_matching_that_keeps_the_ends(seed)
+    rng = np.random.default_rng(9)
+    a, b = (node_of(("r", [some_tree(rng, 2) for _ in range(120)])) for _ in range(2))
+    shape = Shape.of(b)
+    assert [s for _, s in align(a, shape)] == [s for _, s in _plain_align(a, shape)]
+
+
+def _plain_align(page, shape):
+    """The matching with whole tables of nodes and the same ties."""
+    from functools import cache
+
+    kids, names = (lambda n: n.kids), shape.labels
+    ends = html_text._ends
+
+    @cache
+    def size(n, s):
+        return 1 + sum(size(x, y) for x, y in ended(n, s)[0]) + grid(*ended(n, s)[1:])[-1][-1] if n.tag == names[s] else 0
+
+    @cache
+    def ended(n, s):
+        a, b = kids(n), shape.kids[s]
+        lo, hi = ends([k.tag for k in a], [names[k] for k in b])
+        return [*zip(a[:lo], b[:lo]), *zip(a[len(a) - hi :], b[len(b) - hi :])], tuple(a[lo : len(a) - hi]), tuple(b[lo : len(b) - hi])
+
+    @cache
+    def grid(a, b):
+        m = [[0] * (len(b) + 1) for _ in range(len(a) + 1)]
+        for i, x in enumerate(a, 1):
+            for j, y in enumerate(b, 1):
+                m[i][j] = max(m[i - 1][j], m[i][j - 1], m[i - 1][j - 1] + size(x, y))
+        return m
+
+    out, work = [], [(page, 0)]
+    while work:
+        n, s = work.pop()
+        out.append((n, s))
+        some, a, b = ended(n, s)
+        m, i, j = grid(a, b), len(a), len(b)
+        while i and j:
+            if m[i][j] == m[i - 1][j]:
+                i -= 1
+            elif m[i][j] == m[i][j - 1]:
+                j -= 1
+            else:
+                i, j = i - 1, j - 1
+                some = [*some, (a[i], b[j])]
+        work += some
+    return out
+
+
 def texts(spark, pages):
     got = html_text.extract_text(spark.createDataFrame(pages, PAGES)).collect()
     assert len(got) == len(pages) and all(r.n_chars == len(r.text) for r in got)
