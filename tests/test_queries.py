@@ -72,3 +72,25 @@ def test_whole_tables_beside_the_slices_of_the_sql(spark):
     assert rows(whole[(whole["scene"] == 0) & whole["clip"].isin([2, 5, 8, 11])].drop(columns="scene")) == rows(few)
     assert set(whole["scene"]) == set(range(5)) and whole["clip"].nunique() == 20
     assert set(QUERIES["subsample_tracks_all"](spark, some).toPandas()["scene"]) == set(range(5))
+
+
+@pytest.mark.parametrize("name", ["sweep_threshold", "pareto", "proxy_next"])
+def test_thresholds_make_no_row_for_a_cell_and_move_no_box(spark, name):
+    plan = QUERIES[name](spark, DATA)._jdf.queryExecution().executedPlan().toString()
+    assert "getbit" not in plan
+    objects = plan.index("REPARTITION_BY_NUM")
+    assert plan[plan.rindex("bit_or", 0, objects) : objects].count("Exchange") == 1  # that of the objects alone
+
+
+def test_masks_of_boxes_across_and_beyond_the_border(spark):
+    from sightline.sources.scenes import frame_cells
+
+    rng = np.random.default_rng(3)
+    some = [(0, 0, i, float(rng.integers(-120, 760)), float(rng.integers(-120, 500)), float(rng.integers(1, 700)), float(rng.integers(1, 400))) for i in range(200)]
+    boxes = spark.createDataFrame(some, "scene int, clip long, t long, x double, y double, w double, h double")
+    want = set()
+    for _, _, t, x, y, w, h in some:
+        x0, x1, y0, y1 = max(x - w / 2, 0), min(x + w / 2, 640), max(y - h / 2, 0), min(y + h / 2, 384)
+        if x1 > x0 and y1 > y0:
+            want |= {(t, i, j) for i in range(int(x0 // 32), int(-(-x1 // 32))) for j in range(int(y0 // 32), int(-(-y1 // 32)))}
+    assert {(r.t, r.cx, r.cy) for r in frame_cells(boxes).collect()} == want
