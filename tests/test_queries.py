@@ -94,3 +94,9 @@ def test_masks_of_boxes_across_and_beyond_the_border(spark):
         if x1 > x0 and y1 > y0:
             want |= {(t, i, j) for i in range(int(x0 // 32), int(-(-x1 // 32))) for j in range(int(y0 // 32), int(-(-y1 // 32)))}
     assert {(r.t, r.cx, r.cy) for r in frame_cells(boxes).collect()} == want
+
+
+@pytest.mark.parametrize("name", ["config_space", "detection_next", "fit_size", "gap_ladder", "pick_within5", "published_speedup", "res_ladder"])
+def test_reads_the_given_tables_in_spark(spark, name):
+    plan = QUERIES[name](spark, DATA)._jdf.queryExecution().optimizedPlan().collectLeaves().toString()
+    assert "o_orderkey" in plan and "c_custkey" in plan
