@@ -173,3 +173,20 @@ def test_overlap_scorer_ignores_looks():
     a = np.array([[10.0, 10, 4, 4, 0.1, 0.2, 0.3, 0.4]])
     p = loop.Prefix(0, a[0], 0, "car")
     assert Overlap().score([p], a, 1)[0, 0] == pytest.approx(1.0)
+
+
+def test_nearest_paths_are_those_of_all_pairs_and_few_pairs_are_looked_at():
+    from sightline.plans.repair import nearest_paths
+
+    rng = np.random.default_rng(4)
+    start, step = rng.uniform(0, 600, (700, 2, 1)), rng.uniform(-5, 5, (700, 2, 1))
+    ref = np.round(start + step * np.arange(20) + rng.normal(0, 1, (700, 2, 20)), 2)
+    ref[300:330] = ref[10]  # ties
+    own = np.concatenate([ref[::9], ref[:40] + rng.normal(0, 3, (40, 2, 20))])
+    every = np.sqrt(((own[:, None] - ref[None]) ** 2).sum(2)).mean(2)
+    i, j, d = nearest_paths(own, ref)
+    assert np.allclose(d, every[i, j])
+    for k in range(len(own)):
+        got, bound = set(j[i == k].tolist()), np.sort(every[k])[9]
+        assert got >= set(np.flatnonzero(every[k] <= bound + 1e-6).tolist()) and got <= set(np.flatnonzero(every[k] <= bound + 3e-6).tolist())
+    assert all(len(v) == 0 for v in nearest_paths(own[:0], ref)) and len(nearest_paths(own[:1], ref[:3])[0]) == 3
