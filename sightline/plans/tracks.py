@@ -9,6 +9,7 @@ from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 from ..catalog import query
+from ..model.schemas import FRAMES
 from ..refine.paths import Reference, dbscan, resample
 from ..sources.scenes import detections, simulated
 from ..track import loop
@@ -112,14 +113,19 @@ def drop_singletons(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 @query()
 def variable_gap_frames(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """Frames that the variable-gap tracker processes, by tolerance."""
-    levels = spark.createDataFrame([(0.1,), (0.3,), (0.5,)], "tolerance double")
+    """Frames that the variable-gap tracker processes, by tolerance. A clip's boxes go to one task once, and the tolerances share what is known of two frames."""
+    levels = (0.1, 0.3, 0.5)
 
     def run(key, pdf: pd.DataFrame) -> pd.DataFrame:
-        return pd.DataFrame([(*key, loop.variable_gap(pdf, key[0])[1])], columns=["tolerance", "scene", "clip", "frames"])
-
-    boxes = simulated(detections(spark, sf_dir, "test")).crossJoin(F.broadcast(levels))
-    return boxes.groupBy("tolerance", "scene", "clip").applyInPandas(run, "tolerance double, scene int, clip bigint, frames bigint")
+        t, boxes = pdf["t"].to_numpy(), pdf[["x", "y", "w", "h"]].to_numpy(float)
+        order = np.argsort(t, kind="stable")
+        cuts, boxes = np.searchsorted(t[order], np.arange(FRAMES + 1)).tolist(), boxes[order]
+        at = lambda f: boxes[cuts[f] : cuts[f + 1]]
+        least = loop.Confidence(at)
+        return pd.DataFrame([(b, *key, len(loop.variable_frames(at, b, least=least))) for b in levels], columns=["tolerance", "scene", "clip", "frames"])
+
+    boxes = simulated(detections(spark, sf_dir, "test", by_clip=True)).select("scene", "clip", "t", "x", "y", "w", "h")
+    return boxes.groupBy("scene", "clip").applyInPandas(run, "tolerance double, scene int, clip bigint, frames bigint")
 
 
 def reference_paths(spark: SparkSession, sf_dir: str, split: str = "train", scenes: str = "scene = 4", clips: int | None = None) -> DataFrame:

@@ -122,22 +122,49 @@ def _runs(t: np.ndarray) -> tuple[list[int], list[int], list[int]]:
     return t[cuts].tolist(), cuts.tolist(), [*cuts[1:].tolist(), len(t)]
 
 
-def variable_frames(boxes_at, tolerance: float = 0.5, most: int = 16, frames: int = 480) -> list[int]:
+class Confidence:
+    """The least confident match of the boxes of a frame with those of another, found once for each two frames; ``boxes_at(t)``: the boxes of a frame, rows x, y, w, h."""
+
+    def __init__(self, boxes_at):
+        self.boxes_at, self.known = boxes_at, {}
+
+    def __call__(self, t: int, to: int) -> float | None:
+        """None: the first frame has no boxes."""
+        if (t, to) not in self.known:
+            a, b = self.boxes_at(t), self.boxes_at(to)
+            self.known[t, to] = None if not len(a) else self._least(a, b) if len(b) else 0.0
+        return self.known[t, to]
+
+    @staticmethod
+    def _least(a: np.ndarray, b: np.ndarray) -> float:
+        if len(a) * len(b) > 64:
+            return float(iou(a, b).max(1).min())
+        # the same sums in plain numbers: on so few boxes arrays cost more than they save
+        some = [(x - w / 2, x + w / 2, y - h / 2, y + h / 2, w * h) for x, y, w, h in b[:, :4].tolist()]
+        least = np.inf
+        for x, y, w, h in a[:, :4].tolist():
+            x0, x1, y0, y1, area, best = x - w / 2, x + w / 2, y - h / 2, y + h / 2, w * h, -np.inf
+            for u0, u1, v0, v1, other in some:
+                dx, dy = min(x1, u1) - max(x0, u0), min(y1, v1) - max(y0, v0)
+                inter = dx * dy if dx > 0 and dy > 0 else 0.0
+                best = max(best, inter / (area + other - inter))
+            least = min(least, best)
+        return least
+
+
+def variable_frames(boxes_at, tolerance: float = 0.5, most: int = 16, frames: int = 480, least: Confidence | None = None) -> list[int]:
     """Two-frame matching with a gap that halves when the least confident match is under the tolerance and doubles otherwise.
 
-    ``boxes_at(t)``: the boxes of a frame. Returns the frames that were looked at, in order.
+    ``boxes_at(t)``: the boxes of a frame; ``least``: what is known of them, for several tolerances. Returns the frames that were looked at, in order.
     """
+    least = least or Confidence(boxes_at)
     done, t, gap = {0}, 0, most
     while t < frames - 1:
-        a = boxes_at(t)
         to = min(frames - 1, t + gap)
         while to - t > 1:
-            b = boxes_at(to)
             done.add(to)
-            if not len(a):
-                break
-            score = iou(a, b) if len(b) else np.zeros((len(a), 1))
-            if score.max(1).min() >= tolerance:
+            score = least(t, to)
+            if score is None or score >= tolerance:
                 break
             to = t + (to - t) // 2
         done.add(to)

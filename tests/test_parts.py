@@ -190,3 +190,21 @@ def test_nearest_paths_are_those_of_all_pairs_and_few_pairs_are_looked_at():
         got, bound = set(j[i == k].tolist()), np.sort(every[k])[9]
         assert got >= set(np.flatnonzero(every[k] <= bound + 1e-6).tolist()) and got <= set(np.flatnonzero(every[k] <= bound + 3e-6).tolist())
     assert all(len(v) == 0 for v in nearest_paths(own[:0], ref)) and len(nearest_paths(own[:1], ref[:3])[0]) == 3
+
+
+def test_tolerances_share_what_is_known_of_two_frames():
+    from sightline.track.scorers import iou
+
+    rng = np.random.default_rng(6)
+    held = {t: np.concatenate([rng.uniform(0, 300, (n, 2)), rng.uniform(100, 200, (n, 2))], 1) for t in range(40) if (n := int(rng.integers(0, 14)))}
+    asked = []
+    at = lambda t: asked.append(t) or held.get(t, np.zeros((0, 4)))
+    least = loop.Confidence(at)
+    for _ in range(2):
+        for t, a in held.items():
+            for to in (t + 1, t + 7):
+                b = held.get(to)
+                assert least(t, to) == (0.0 if b is None else iou(a, b).max(1).min())
+    assert len(asked) == 4 * len(held) and least(100, 3) is None
+    some = [loop.variable_frames(at, b, frames=40, least=least) for b in (0.1, 0.3, 0.5)]
+    assert some == [loop.variable_frames(at, b, frames=40) for b in (0.1, 0.3, 0.5)]
