@@ -50,11 +50,11 @@ def drained(stream: DataFrame, mode: str = "append") -> DataFrame:
 
 
 def in_order(parts: list[DataFrame]) -> DataFrame:
-    """A file stream that delivers the given tables one after another, a batch each."""
+    """A file stream that delivers the given tables one after another, a batch each. A table is made by many tasks and written as one file."""
     spark = parts[0].sparkSession
     base = f"{shared_dir(spark)}/parts-{uuid.uuid4().hex}"
     for part in parts:
-        part.coalesce(1).write.mode("append").parquet(base)
+        part.repartition(1).write.mode("append").parquet(base)
     return spark.readStream.schema(parts[0].schema).option("maxFilesPerTrigger", 1).parquet(base)
 
 
@@ -91,22 +91,24 @@ def tracker(stream: DataFrame, least: float = 0.3, max_lost: int = 3, idle: str
             fresh, flat = state.get
             alive = [list(flat[i : i + 7]) for i in range(0, len(flat), 7)]
         pdf = pd.concat(list(batches)).sort_values(["t", "obj"], kind="stable")
-        for t, frame in pdf.groupby("t", sort=True):
-            boxes = frame[["x", "y", "w", "h"]].to_numpy(float)
-            kinds = np.array([names.index(c) if c in names else len(names) for c in frame["category"]], float)
+        t_all, every = pdf["t"].to_numpy(), pdf[["x", "y", "w", "h"]].to_numpy(float)
+        kinds_all = pdf["category"].map(lambda c: names.index(c) if c in names else len(names)).to_numpy(float)
+        cuts = np.flatnonzero(np.diff(t_all, prepend=t_all[0] - 1)).tolist()
+        found = np.full(len(pdf), -1, np.int64)
+        for lo, hi in zip(cuts, [*cuts[1:], len(pdf)]):
+            t, boxes, kinds, ids = int(t_all[lo]), every[lo:hi], kinds_all[lo:hi], found[lo:hi]
             alive = [p for p in alive if t - p[1] <= max_lost + 1]
-            ids = [-1] * len(frame)
             if alive:
-                score = iou(np.array([p[3:7] for p in alive]), boxes)
-                for i, j in assign(np.where(np.array([p[2] for p in alive])[:, None] == kinds[None], score, -1.0), least):
+                last = np.array(alive)
+                score = iou(last[:, 3:7], boxes)
+                for i, j in assign(np.where(last[:, 2][:, None] == kinds[None], score, -1.0), least):
                     ids[j] = int(alive[i][0])
                     alive[i][1:] = [float(t), float(kinds[j]), *boxes[j].tolist()]
-            for j, box in enumerate(boxes):
-                if ids[j] < 0:
-                    ids[j] = fresh
-                    alive.append([float(fresh), float(t), float(kinds[j]), *box.tolist()])
-                    fresh += 1
-            yield frame[["scene", "clip", "t", "obj"]].assign(track_id=ids)
+            for j in np.flatnonzero(ids < 0).tolist():
+                ids[j] = fresh
+                alive.append([float(fresh), float(t), float(kinds[j]), *boxes[j].tolist()])
+                fresh += 1
+        yield pdf[["scene", "clip", "t", "obj"]].assign(track_id=found)
         state.update((int(fresh), [float(v) for p in alive for v in p]))
         if timed:
             state.setTimeoutTimestamp(max(int(pdf["ts"].max().timestamp() * 1000), state.getCurrentWatermarkMs()) + millis)

@@ -100,3 +100,14 @@ def test_masks_of_boxes_across_and_beyond_the_border(spark):
 def test_reads_the_given_tables_in_spark(spark, name):
     plan = QUERIES[name](spark, DATA)._jdf.queryExecution().optimizedPlan().collectLeaves().toString()
     assert "o_orderkey" in plan and "c_custkey" in plan
+
+
+def test_stream_tracker_gives_a_clip_at_once_and_parts_are_made_by_many_tasks(spark):
+    from sightline.stream import windows as w
+
+    jobs = spark.sparkContext.statusTracker()
+    spark.sparkContext.setJobGroup("parts", "parts of a stream")
+    w.in_order([spark.range(0, 80, 1, 8).selectExpr("id", "timestamp_seconds(id) AS ts")])
+    spark.sparkContext.setLocalProperty("spark.jobGroup.id", None)
+    tasks = [jobs.getStageInfo(s).numTasks for j in jobs.getJobIdsForGroup("parts") for s in jobs.getJobInfo(j).stageIds if jobs.getStageInfo(s)]
+    assert 8 in tasks
