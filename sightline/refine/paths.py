@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-from dataclasses import dataclass
+from dataclasses import dataclass, field
 
 import numpy as np
 
@@ -71,6 +71,7 @@ class Reference:
     sizes: np.ndarray
     index: dict[tuple[int, int], set[int]]
     cell: float
+    _parts: dict[tuple[int, int, int, int], np.ndarray] = field(default_factory=dict, repr=False, compare=False)
 
     @classmethod
     def build(cls, paths: np.ndarray, eps: float = 40.0, min_pts: int = 3, cell: float = 64.0) -> "Reference":
@@ -104,9 +105,26 @@ class Reference:
     def nearest(self, path: np.ndarray, k: int = 10, full: bool = False, align: str = "subpath") -> list[tuple[int, int]]:
         """(centre, weight) by distance until the weights, the clusters' sizes, sum up to ``k``; the last is cut unless ``full``."""
         some = self.candidates(path[0], path[-1])
-        far = {c: distance(path, subpath(path, self.centres[c]) if align == "subpath" else self.centres[c]) for c in some}
+        if not some:
+            return []
+        centres = self.centres[some]
+        others = self._subpaths(path, some, centres) if align == "subpath" else centres
+        far = dict(zip(some, np.hypot(path[:, 0] - others[..., 0], path[:, 1] - others[..., 1]).mean(1).tolist()))
         return take_weights([(c, int(self.sizes[c]), far[c]) for c in some], k, full)
 
+    def _subpaths(self, path: np.ndarray, some: list[int], centres: np.ndarray) -> np.ndarray:
+        """:func:`subpath` of each centre. A part follows from the centre and its two points alone, so the latest parts are kept."""
+        a, b = (np.hypot(centres[..., 0] - e[0], centres[..., 1] - e[1]).argmin(1).tolist() for e in (path[0], path[-1]))
+        out = []
+        for key, centre in zip(zip(some, a, b, [len(path)] * len(some)), centres):
+            part = self._parts.get(key)
+            if part is None:
+                if len(self._parts) >= 20_000:
+                    self._parts.clear()
+                part = self._parts[key] = resample(centre[key[1] : key[2] + 1], len(path)) if key[2] > key[1] else centre
+            out.append(part)
+        return np.array(out)
+
     def ends(self, path: np.ndarray, k: int = 10) -> tuple[np.ndarray, np.ndarray] | None:
         """Weighted median start and end of the nearest centres, each coordinate for itself."""
         found = self.nearest(path, k)

@@ -6,7 +6,7 @@ import numpy as np
 import pandas as pd
 
 from .assign import assign
-from .scorers import INPUTS, PLAIN, Motion, Overlap, Prefix, Recurrent, iou
+from .scorers import INPUTS, PLAIN, Motion, Overlap, Pool, Prefix, Recurrent, iou
 
 MAX_LOST = 3
 
@@ -50,6 +50,60 @@ def track_ids(t_all: np.ndarray, cats: np.ndarray, boxes_all: np.ndarray, scorer
     return ids
 
 
+def track_many(runs: list[tuple[np.ndarray, np.ndarray, np.ndarray]], scorer, gap: int = 1, max_lost: int = MAX_LOST, least: float | None = None) -> list[np.ndarray]:
+    """Track ids of many runs (frames, categories, boxes), each as :func:`track_ids` gives them. A frame of all runs is one step over arrays: the pairs of
+    a run's running tracks and boxes are scored together, and only runs in which a feasible pair is not alone are assigned by themselves."""
+    least = scorer.least if least is None else least
+    sizes = [len(t) for t, _, _ in runs]
+    if not sum(sizes):
+        return [np.zeros(0, np.int64) for _ in runs]
+    run, t_all = np.repeat(np.arange(len(runs)), sizes), np.concatenate([t for t, _, _ in runs])
+    kinds, codes = np.unique(np.concatenate([c for _, c, _ in runs]).astype(str), return_inverse=True)
+    boxes = np.concatenate([b for _, _, b in runs if len(b)])
+    order = np.lexsort((run, t_all))  # stable: a run's boxes of a frame keep their order
+    run, t_all, boxes = run[order], t_all[order], boxes[order]
+    key = run * len(kinds) + codes[order]
+    pool, ids = Pool(len(run), boxes.shape[1]), np.empty(len(run), np.int64)
+    # a track's place in the pool is that of its first box, so the places of a run are in the order of their ids
+    alive, fresh = np.zeros(0, np.int64), np.zeros(len(runs), np.int64)
+    cuts = np.flatnonzero(np.diff(t_all, prepend=-1)).tolist()
+    for a, b in zip(cuts, [*cuts[1:], len(run)]):
+        t = int(t_all[a])
+        alive = alive[t - pool.t[alive] <= max_lost * gap + gap]
+        own, free = boxes[a:b], np.ones(b - a, bool)
+        i, j = np.nonzero(key[alive][:, None] == key[a:b])
+        if len(i):
+            score = scorer.pairs(pool, alive, own, i, j, t)
+            fine = score >= least
+            fi, fj = i[fine], j[fine]
+            clash = (np.bincount(fi, minlength=len(alive))[fi] > 1) | (np.bincount(fj, minlength=b - a)[fj] > 1)
+            if clash.any():
+                hard = np.unique(run[a + fj[clash]])
+                easy = ~np.isin(run[a + fj], hard)
+                ends = [(fi[easy], fj[easy])]
+                for r in hard.tolist():
+                    rows, cols = np.flatnonzero(run[alive] == r), np.flatnonzero(run[a:b] == r)
+                    some = run[a + j] == r
+                    table = np.full((len(rows), len(cols)), -1.0)
+                    table[np.searchsorted(rows, i[some]), np.searchsorted(cols, j[some])] = score[some]
+                    pairs = np.array(assign(table, least), np.int64).reshape(-1, 2)
+                    ends.append((rows[pairs[:, 0]], cols[pairs[:, 1]]))
+                fi, fj = (np.concatenate(e) for e in zip(*ends))
+        else:
+            fi = fj = np.zeros(0, np.int64)
+        old, free[fj] = alive[fi], False
+        ids[a + fj] = ids[old]
+        new = a + np.flatnonzero(free)
+        owner = run[new]
+        ids[new] = fresh[owner] + np.arange(len(new)) - np.searchsorted(owner, owner)
+        fresh += np.bincount(owner, minlength=len(runs))
+        scorer.step(pool, old, own[fj], new, boxes[new], t)
+        alive = np.concatenate([alive, new])
+    out = np.empty_like(ids)
+    out[order] = ids
+    return np.split(out, np.cumsum(sizes)[:-1])
+
+
 def scorer_of(name: str, net: dict | None = None):
     return {"overlap": Overlap, "motion": Motion}[name]() if name != "recurrent" else Recurrent(net, (net or {}).get("elapsed", True))
 

@@ -35,6 +35,17 @@ class Prefix:
         self.v, self.hidden, self.n, self.looks = np.zeros(2), np.zeros(HIDDEN), 1, looks_of(box)
 
 
+class Pool:
+    """Running tracks of many runs as arrays, a place each: what :class:`Prefix` holds of one."""
+
+    def __init__(self, most: int, width: int):
+        self.box, self.t, self.v, self.n = np.empty((most, width)), np.zeros(most, np.int64), np.zeros((most, 2)), np.ones(most, np.int64)
+        self.hidden, self.looks = np.zeros((most, HIDDEN)), np.empty((most, LOOKS))
+
+    def start(self, at: np.ndarray, boxes: np.ndarray, t: int) -> None:
+        self.box[at], self.t[at], self.looks[at] = boxes, t, looks_of(boxes)
+
+
 class Overlap:
     """Overlap with the last box, as heuristic trackers use it."""
 
@@ -46,6 +57,20 @@ class Overlap:
     def score(self, prefixes: list[Prefix], boxes: np.ndarray, t: int) -> np.ndarray:
         return iou(np.array([p.box for p in prefixes]), boxes)
 
+    def pairs(self, pool: Pool, at: np.ndarray, boxes: np.ndarray, i: np.ndarray, j: np.ndarray, t: int) -> np.ndarray:
+        """Scores of the pairs (place ``at[i]``, box ``j``), as ``score`` has them."""
+        a, b = pool.box[at[i]], boxes[j]
+        x = np.minimum(a[:, 0] + a[:, 2] / 2, b[:, 0] + b[:, 2] / 2) - np.maximum(a[:, 0] - a[:, 2] / 2, b[:, 0] - b[:, 2] / 2)
+        y = np.minimum(a[:, 1] + a[:, 3] / 2, b[:, 1] + b[:, 3] / 2) - np.maximum(a[:, 1] - a[:, 3] / 2, b[:, 1] - b[:, 3] / 2)
+        inter = np.maximum(x, 0) * np.maximum(y, 0)
+        return inter / (a[:, 2] * a[:, 3] + b[:, 2] * b[:, 3] - inter)
+
+    def step(self, pool: Pool, old: np.ndarray, found: np.ndarray, new: np.ndarray, fresh: np.ndarray, t: int) -> None:
+        """Places ``old`` go on with the boxes ``found``, places ``new`` begin with ``fresh``."""
+        pool.start(new, fresh, t)
+        pool.box[old], pool.t[old] = found, t
+        pool.n[old] += 1
+
 
 class Motion(Overlap):
     """A recursive speed state: nearness to where the prefix would be by now; boxes without a speed yet get a wider reach."""
@@ -67,6 +92,22 @@ class Motion(Overlap):
         off, reach = self.offsets(prefixes, boxes, t)
         return np.exp(-0.69 * (np.hypot(off[..., 0], off[..., 1]) / reach[:, None]) ** 2)
 
+    def reaches(self, pool: Pool, at: np.ndarray, boxes: np.ndarray, i: np.ndarray, j: np.ndarray, t: int) -> tuple[np.ndarray, np.ndarray]:
+        """``offsets`` of pairs."""
+        gap = t - pool.t[at]
+        off = boxes[j, :2] - (pool.box[at, :2] + pool.v[at] * gap[:, None])[i]
+        reach = 0.6 * np.hypot(pool.box[at, 2], pool.box[at, 3]) + np.where(pool.n[at] == 1, 9.0, 1.2) * gap
+        return off, reach[i]
+
+    def pairs(self, pool: Pool, at: np.ndarray, boxes: np.ndarray, i: np.ndarray, j: np.ndarray, t: int) -> np.ndarray:
+        off, reach = self.reaches(pool, at, boxes, i, j, t)
+        return np.exp(-0.69 * (np.hypot(off[:, 0], off[:, 1]) / reach) ** 2)
+
+    def step(self, pool: Pool, old: np.ndarray, found: np.ndarray, new: np.ndarray, fresh: np.ndarray, t: int) -> None:
+        now = (found[:, :2] - pool.box[old, :2]) / np.maximum(1, t - pool.t[old])[:, None]
+        pool.v[old] = np.where((pool.n[old] == 1)[:, None], now, 0.4 * pool.v[old] + 0.6 * now)
+        super().step(pool, old, found, new, fresh, t)
+
 
 class Recurrent(Motion):
     """A gated recurrent state over the prefix's boxes, speeds, looks and elapsed frames, and a match net on it, trained together.
@@ -115,6 +156,39 @@ class Recurrent(Motion):
         hidden = np.tanh(plain @ w["a"][:PLAIN] + state[:, None])
         return 1 / (1 + np.exp(-np.clip(hidden @ w["c"] + w["d"], -30, 30)))
 
+    def _elapsed(self, gap: np.ndarray) -> np.ndarray:
+        return np.log2(1 + gap) / 5 if self.elapsed else np.zeros(len(gap))
+
+    def pairs(self, pool: Pool, at: np.ndarray, boxes: np.ndarray, i: np.ndarray, j: np.ndarray, t: int) -> np.ndarray:
+        if self.net is None:
+            return super().pairs(pool, at, boxes, i, j, t)
+        w = self.net
+        off, reach = self.reaches(pool, at, boxes, i, j, t)
+        plain = np.empty((len(i), PLAIN))
+        plain[:, :2] = off / reach[:, None]
+        plain[:, 2] = (off[:, 0] ** 2 + off[:, 1] ** 2) / reach**2
+        plain[:, 3:5] = off / 100
+        plain[:, 5:7] = pool.box[at, 2:4][i] / boxes[j, 2:4] - 1
+        apart = pool.looks[at][i] - looks_of(boxes)[j]
+        plain[:, 7] = np.sqrt((apart * apart).sum(1))
+        np.minimum(np.maximum(plain, -6, out=plain), 6, out=plain)
+        own = np.stack([self._elapsed(t - pool.t[at]), pool.n[at] == 1], 1)
+        state = np.concatenate([pool.hidden[at], own], 1) @ w["a"][PLAIN:] + w["b"]
+        return _sigmoid(np.tanh(plain @ w["a"][:PLAIN] + state[i]) @ w["c"] + w["d"])
+
+    def step(self, pool: Pool, old: np.ndarray, found: np.ndarray, new: np.ndarray, fresh: np.ndarray, t: int) -> None:
+        gap = np.concatenate([t - pool.t[old], np.zeros(len(new), np.int64)])
+        super().step(pool, old, found, new, fresh, t)
+        pool.looks[old] = 0.6 * pool.looks[old] + 0.4 * looks_of(found)
+        if self.net is None:
+            return
+        every, x = np.concatenate([old, new]), np.empty((len(gap), INPUTS))
+        x[:, :4] = pool.box[every, :4] / (640, 384, 96, 64)
+        x[:, 4:6] = pool.v[every] / 10
+        x[:, 6] = self._elapsed(gap)
+        x[:, 7:] = looks_of(pool.box[every])
+        pool.hidden[every] = cell(self.net["wx"], self.net["wh"], x, pool.hidden[every])[0]
+
 
 def _sigmoid(z: np.ndarray) -> np.ndarray:
     return 1 / (1 + np.exp(-np.clip(z, -30, 30)))
