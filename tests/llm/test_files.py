@@ -38,3 +38,17 @@ def test_empty_table_and_odd_rows(spark, tmp_path):
     token_files.write_token_files(spark.createDataFrame([(None, "a b"), (2, None), (2, "c"), (1, "")], kind), BYTE_BPE(), str(tmp_path / "odd"), shards=3)
     got = [(r.start, r.doc_id, r.n_tokens) for r in token_files.verified(token_files.read_token_files(spark, str(tmp_path / "odd"))).orderBy("start").collect()]
     assert [r[1] for r in got] == [None, 1, 2, 2] and [r[0] for r in got] == np.concatenate([[0], np.cumsum([r[2] for r in got])[:-1]]).tolist()
+
+
+def test_pieces_in_a_row_are_cut_as_alone(monkeypatch):
+    from sightline.llm.bpe import newer_of
+
+    own = token_files.LibraryEncoder(BYTE_BPE(), newer_of(BYTE_BPE()))
+    plain = [" the", " straße", " Überlängen", " naïveté", " x", " слово", " antidisestablishmentarianism"]
+    row, each = own._in_a_row(plain), own._each(plain)
+    assert row[0].tolist() == each[0].tolist() and row[1].tolist() == each[1].tolist() and len(own._in_a_row([])[0]) == 0
+    monkeypatch.setattr(own, "_each", lambda pieces: 1 / 0 if any(p in plain for p in pieces) else each_of(pieces))
+    each_of = type(own)._each.__get__(own)
+    text = "".join(plain) + " 12, end"
+    assert np.frombuffer(own.encode([text])[0], "<u4").tolist() == own.library.encode(text, add_special_tokens=False).ids
+    assert token_files._CACHE_ROWS >= 400_000
