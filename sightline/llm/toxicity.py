@@ -14,6 +14,7 @@ from dataclasses import dataclass
 
 import numpy as np
 import pyarrow as pa
+import pyarrow.compute as pc
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
@@ -154,20 +155,22 @@ def fit(docs: DataFrame, labels: DataFrame, sample_rows: int = 6000, features: i
             lists = pa.list_(pa.int32())
             yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(2), pa.array(own, lists), pa.array(other, lists)], ["doc_id", "toxic", "own", "other"])
 
-    data = rows.select("doc_id", "text", "toxic").mapInArrow(run, f"doc_id {kind.simpleString()}, toxic int, own array<int>, other array<int>").orderBy("doc_id").collect()
-    if len({r.toxic for r in data}) < 2:  # the documents with labels are not here
-        return ToxicityModel({}, float(np.log((totals[1] + 0.5) / (totals[0] + 0.5))) if data else -40.0)
-    y = np.array([r.toxic for r in data], float)
+    data = rows.select("doc_id", "text", "toxic").mapInArrow(run, f"doc_id {kind.simpleString()}, toxic int, own array<int>, other array<int>").orderBy("doc_id").toArrow()  # 2 * sample_rows at most
+    y = data["toxic"].to_numpy().astype(float)
+    if len(np.unique(y)) < 2:  # the documents with labels are not here
+        return ToxicityModel({}, float(np.log((totals[1] + 0.5) / (totals[0] + 0.5))) if len(y) else -40.0)
     share = np.array([totals[int(c)] / sizes[int(c)] for c in y])
-    w, b = _descend([r.own for r in data], [r.other for r in data], y, share / share.sum(), len(names), penalty, ridge, steps)
+    w, b = _descend(data["own"], data["other"], y, share / share.sum(), len(names), penalty, ridge, steps)
+    del data
+    trim()
     return ToxicityModel({f: float(w[i]) for f, i in names.items()}, float(b))
 
 
-def _descend(own, other, y, share, width, penalty, ridge, steps):
-    """Weighted logistic loss + ridge + penalty * (score change under the swap)^2, by Adam on the sparse rows."""
+def _descend(own: pa.ChunkedArray, other: pa.ChunkedArray, y, share, width, penalty, ridge, steps):
+    """Weighted logistic loss + ridge + penalty * (score change under the swap)^2, by Adam on the sparse rows (lists of features)."""
 
     def flat(lists):
-        return np.concatenate([np.asarray(x, np.int64) for x in lists] or [np.zeros(0, np.int64)]), np.repeat(np.arange(len(lists)), [len(x) for x in lists])
+        return pc.list_flatten(lists).to_numpy().astype(np.int64), np.repeat(np.arange(len(lists)), pc.list_value_length(lists).to_numpy())
 
     (ci, cr), (oi, orow) = flat(own), flat(other)
     n = len(y)

@@ -52,3 +52,25 @@ def test_penalty_makes_mentions_of_groups_weigh_less(spark):
         moves.append(abs(score("the muslim word1") - score("the christian word1")))
         assert score("a vileword here") > score("a word here") + 0.3
     assert moves[1] < 0.3 * moves[0] and moves[0] > 0.2
+
+
+def test_driver_holds_no_sketch_at_once(monkeypatch):
+    import tracemalloc
+    import zlib
+
+    from sightline.llm import ngram_join
+
+    monkeypatch.setattr(ngram_join, "SKETCH_BITS", 20)
+    rng = np.random.default_rng(4)
+    counts = rng.poisson(4.0, 1 << 20)
+    counts[rng.integers(0, len(counts), 500)] += 700
+    counts[: 1 << 15] = 0
+    sketch = {i: zlib.compress(row.tobytes()) for i, row in enumerate(counts.reshape(-1, 1 << 15)) if row.any()}
+    tracemalloc.start()
+    got = ngram_join._ranks(sketch)
+    peak = tracemalloc.get_traced_memory()[1]
+    tracemalloc.stop()
+    mean = counts.mean()
+    want = np.clip(np.floor(2 * np.log2(np.maximum(counts - mean, 1.0) / (3 * np.sqrt(mean))) + 1), 0, 31)
+    assert np.array_equal(got, want) and want.max() > 10
+    assert peak < counts.nbytes / 2
