@@ -6,12 +6,23 @@ import numpy as np
 
 
 def assign(score: np.ndarray, least: float) -> list[tuple[int, int]]:
-    """Pairs (row, column) of the largest total score; pairs below ``least`` are not made. When every feasible pair is alone in its row and column, no search is needed."""
+    """Pairs (row, column) of the largest total score; pairs below ``least`` are not made. A feasible pair that is alone in its row and column is taken as it is;
+    only the rows and columns of the others are searched."""
     if not score.size:
         return []
     fine = score >= least
-    if fine.sum(0).max(initial=0) <= 1 and fine.sum(1).max(initial=0) <= 1:
-        return [(int(i), int(j)) for i, j in zip(*np.nonzero(fine))]
+    lone = fine & (fine.sum(0) == 1) & (fine.sum(1) == 1)[:, None]
+    pairs = [(int(i), int(j)) for i, j in zip(*np.nonzero(lone))]
+    left = fine & ~lone
+    if left.any():
+        rows, columns = np.flatnonzero(left.any(1)), np.flatnonzero(left.any(0))
+        pairs += [(int(rows[i]), int(columns[j])) for i, j in _search(score[np.ix_(rows, columns)], least)]
+        pairs.sort(key=lambda p: p[1])
+    return pairs
+
+
+def _search(score: np.ndarray, least: float) -> list[tuple[int, int]]:
+    fine = score >= least
     n, m = score.shape
     # every row may also stay alone, at cost 0; gains are counted above the least score
     cost = np.concatenate([np.where(fine, -(score - least + 1e-9), 1e6), np.zeros((n, n))], 1)

@@ -239,6 +239,18 @@ def test_configurations_together_as_alone():
         assert tracks.equals(alone) and figures == own
 
 
+def test_assignment_searches_only_what_is_contested(monkeypatch):
+    from sightline.track import assign as module
+
+    score = np.full((40, 30), -1.0)
+    score[np.arange(20), np.arange(20)] = 0.9
+    score[20:22, 25:27] = [[0.9, 0.8], [0.8, 0.4]]
+    sizes, search = [], module._search
+    monkeypatch.setattr(module, "_search", lambda s, least: sizes.append(s.shape) or search(s, least))
+    assert module.assign(score, 0.3) == [*((i, i) for i in range(20)), (21, 25), (20, 26)]
+    assert sizes == [(2, 2)]
+
+
 def test_clips_together_as_alone(monkeypatch):
     from sightline.track import loop
     from sightline.tune import trial
