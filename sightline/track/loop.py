@@ -122,11 +122,11 @@ def thinned(t: np.ndarray, gap: int, start: int = 0) -> np.ndarray:
 STEPS, TRIED = 6, 5
 
 
-def training_sequences(pdf: pd.DataFrame, gaps: tuple[int, ...] = (1, 2, 4, 8, 16), elapsed: bool = True, most: int = 80, seed: int = 5) -> tuple[np.ndarray, ...]:
+def training_sequences(pdf: pd.DataFrame, gaps: tuple[int, ...] = (1, 2, 4, 8, 16), elapsed: bool = True) -> tuple[np.ndarray, ...]:
     """Sequences of tracks thinned to each gap: inputs of the state, then for every step the match features, labels and mask of the next one.
 
     ``pdf`` has the tracks as ``obj`` and, where known, looks as a0, a1, ... Each track is thinned from a start of its own, drawn by hash among the first boxes
-    of a gap, and cut in pieces of ``STEPS`` boxes and one to match; of the clip's pieces ``most`` are drawn by seed.
+    of a gap, and cut in pieces of ``STEPS`` boxes and one to match; all pieces are used.
     """
     scorer = Recurrent(None, elapsed)
     pdf = pdf.sort_values(["t", "obj"], kind="stable")
@@ -141,9 +141,8 @@ def training_sequences(pdf: pd.DataFrame, gaps: tuple[int, ...] = (1, 2, 4, 8, 1
             kept = places[thinned(t_all[places], gap, min(len(places) - 1, abs(o) * 7919 % gap))]
             # where the track ends, one more frame is asked for, in which no box is right
             pieces += [(o, gap, kept[first : first + STEPS + 1], first + STEPS >= len(kept)) for first in range(0, len(kept), STEPS)]
-    some = sorted(np.random.default_rng(seed).permutation(len(pieces))[:most].tolist())
     xs, plains, owns, ys, masks = [], [], [], [], []
-    for o, gap, piece, left in (pieces[i] for i in some):
+    for o, gap, piece, left in pieces:
         x, plain, own = np.zeros((STEPS, INPUTS)), np.zeros((STEPS, TRIED, PLAIN)), np.zeros((STEPS, 2))
         y, mask = np.zeros((STEPS, TRIED)), np.zeros((STEPS, TRIED))
         p = Prefix(o, boxes[piece[0]], int(t_all[piece[0]]), cats[piece[0]])

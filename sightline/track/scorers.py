@@ -245,19 +245,26 @@ def loss_and_gradient(w: dict, x: np.ndarray, plain: np.ndarray, own: np.ndarray
 
 
 def train_recurrent(x: np.ndarray, plain: np.ndarray, own: np.ndarray, y: np.ndarray, mask: np.ndarray, elapsed: bool = True, width: int = 16, steps: int = 120, batch: int = 256, seed: int = 5) -> dict:
-    """Recurrent weights and match net by back-propagation through time (Adam, batches drawn by seed); positives weigh as much as negatives."""
+    """Recurrent weights and match net by back-propagation through time (Adam); positives weigh as much as negatives.
+
+    Batches go through all sequences in an order drawn by seed, then through another: ``steps`` of them, or more until every sequence was in one.
+    """
     rng = np.random.default_rng(seed)
     w = {
         "wx": rng.normal(0, 0.4, (3, HIDDEN, INPUTS)), "wh": rng.normal(0, 0.2, (3, HIDDEN, HIDDEN)), "a": rng.normal(0, 0.3, (PLAIN + HIDDEN + 2, width)), "b": np.zeros(width),
         "c": rng.normal(0, 0.3, width), "d": np.zeros(1),
     }
     m, v = ({k: np.zeros_like(a) for k, a in w.items()} for _ in range(2))
-    for t in range(1, steps + 1):
-        pick = rng.choice(len(x), min(batch, len(x)), replace=False)
-        positive = mask[pick] * (y[pick] > 0)
-        negative = mask[pick] - positive
+    order = np.zeros(0, int)
+    for t in range(1, max(steps, -(-len(x) // batch)) + 1):
+        if not len(order):
+            order = rng.permutation(len(x))
+        pick, order = order[:batch], order[batch:]
+        known, right = mask[pick].astype(float), y[pick].astype(float)
+        positive = known * (right > 0)
+        negative = known - positive
         weight = positive * 0.5 / max(1.0, positive.sum()) + negative * 0.5 / max(1.0, negative.sum())
-        _, grad = loss_and_gradient(w, x[pick], plain[pick], own[pick], y[pick], weight)
+        _, grad = loss_and_gradient(w, x[pick].astype(float), plain[pick].astype(float), own[pick].astype(float), right, weight)
         for k in w:
             m[k] = 0.9 * m[k] + 0.1 * grad[k]
             v[k] = 0.99 * v[k] + 0.01 * grad[k] ** 2

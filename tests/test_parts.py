@@ -302,3 +302,67 @@ def test_curves_are_scored_once_for_all_queries(spark, monkeypatch):
     got = tuning.curves(spark, "nowhere").groupBy("method").count().collect()
     assert {r["method"]: r["count"] for r in got} == {"ours": 1, "rate_res": 1, "frame_gate": 5, "var_rate": 4}
     assert [tuple(r) for r in tuning.table_within5(spark, "nowhere").collect()] == [(0, 0.9, 0.25, 4.0, 8.0, 0.5, 2.0)] and len(calls) == 1
+
+
+def test_merging_many_frames_at_once_is_that_of_each():
+    from sightline.model.schemas import seconds
+    from sightline.windows.group import merge, merged_seconds
+
+    rng, draw = np.random.default_rng(9), lambda n: [(int(x), int(y), int(x + w), int(y + h)) for w, h in rng.integers(1, 6, (n, 2)) for x, y in [(rng.integers(0, 21 - w), rng.integers(0, 13 - h))]]
+    for n in (1, 2, 5, 11):
+        frames = [draw(n) for _ in range(150)]
+        sets = [[(w, h, seconds("one_stage", w, h)) for w, h in [(WIDTH, HEIGHT), *(32 * rng.integers(1, (21, 13), (2, 2))).tolist()]] for _ in frames]
+        assert merged_seconds(np.array(frames), np.array(sets)) == pytest.approx([sum(size[2] for _, size in merge(f, s)) for f, s in zip(frames, sets)], abs=1e-12)
+
+
+def test_total_times_are_those_of_the_frames(spark):
+    from sightline.model.schemas import seconds
+    from sightline.windows.group import signatures, total_times
+
+    rng = np.random.default_rng(2)
+    frames = {(s, t): {(int(x), int(y)) for x, y in rng.integers(0, (20, 12), (t % 4 + 1, 2))} for s in (0, 1) for t in range(12)}
+    cells = spark.createDataFrame([(s, 0, t, x, y) for (s, t), own in frames.items() for x, y in own], "scene int, clip long, t long, cx int, cy int")
+    have, every = [(WIDTH, HEIGHT), (96, 64)], [(WIDTH, HEIGHT), (32, 32), (128, 96), (320, 192)]
+    got = {(r.scene, r.w, r.h): r.total for r in total_times(signatures(cells), have, every).collect()}
+    cost = lambda own, extra: sum(w[4] for w in group_cells(own, [(*s, seconds("one_stage", *s)) for s in [*have, extra]]))
+    assert got == pytest.approx({(s, *extra): sum(cost(own, extra) for (scene, _), own in frames.items() if scene == s) for s in (0, 1) for extra in every})
+
+
+def test_matcher_learns_from_every_sequence(spark, monkeypatch):
+    from sightline.sources.scenes import detections
+    from sightline.track import scorers
+    from sightline.tune import trial
+
+    clip = objects(40, speed=6.0, seed=4)
+    starts = {g: [min(len(own) - 1, o * 7919 % g) for o, own in clip.groupby("obj")] for g in (1, 2, 4, 8, 16)}
+    pieces = sum(-(-len(loop.thinned(own["t"].to_numpy(), g, starts[g][n])) // loop.STEPS) for n, (_, own) in enumerate(clip.groupby("obj")) for g in starts)
+    parts = loop.training_sequences(clip)
+    assert {len(p) for p in parts} == {pieces} and pieces > 500
+
+    seen, gradient = set(), loss_and_gradient
+    monkeypatch.setattr(scorers, "loss_and_gradient", lambda w, x, *more: seen.update(x[:, 0, 0].tolist()) or gradient(w, x, *more))
+    some = [p[:50].copy() for p in parts]
+    some[0][:, 0, 0] = np.arange(50) / 64
+    train_recurrent(*some, steps=2, batch=4)
+    assert len(seen) == 50
+
+    fitted = []
+    monkeypatch.setattr(trial, "train_recurrent", lambda *parts, **options: fitted.append(len(parts[0])) or {})
+    trial.train(spark, DATA, clips=60)
+    boxes = detections(spark, DATA, "train", clips=60).toPandas()
+    assert fitted == [sum(len(loop.training_sequences(own)[0]) for _, own in boxes.groupby(["scene", "clip"]))] and fitted[0] > 800
+
+
+def test_sizes_are_learnt_from_every_frame_of_the_training_set(spark, monkeypatch):
+    import sightline.catalog  # noqa: F401  the plans are loaded by it
+    from sightline.plans import tuning
+    from sightline.sources.scenes import detections, frame_cells, simulated
+    from sightline.tune.trial import Models
+
+    asked = []
+    monkeypatch.setattr(tuning, "_MODELS", {})
+    monkeypatch.setattr(tuning, "train", lambda *a, **options: asked.append(options) or Models())
+    monkeypatch.setattr(tuning, "choose_sizes", lambda cells, k, **options: asked.append((cells.select("scene", "clip", "t").distinct().count(), k, options)))
+    tuning.models(spark, DATA)
+    seen = frame_cells(simulated(detections(spark, DATA, "train"), "one_stage", 640, 0.5)).select("scene", "clip", "t").distinct().count()
+    assert asked == [{"best": tuning.BASE, "clips": 60}, (seen, 3, {"sample": None})] and seen > 500
