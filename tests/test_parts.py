@@ -366,3 +366,11 @@ def test_sizes_are_learnt_from_every_frame_of_the_training_set(spark, monkeypatc
     tuning.models(spark, DATA)
     seen = frame_cells(simulated(detections(spark, DATA, "train"), "one_stage", 640, 0.5)).select("scene", "clip", "t").distinct().count()
     assert asked == [{"best": tuning.BASE, "clips": 60}, (seen, 3, {"sample": None})] and seen > 500
+
+
+def test_proxies_are_tried_on_every_frame():
+    from sightline.tune import greedy
+
+    tried = []
+    greedy.ProxyModule().cache(lambda configs: tried.extend(configs) or [{"config": c, "sec": 1.0, "recall": 1.0} for c in configs], Config(gap=4))
+    assert len(tried) == 26 and {c.gap for c in tried} == {1}
