@@ -2,6 +2,8 @@
 
 from __future__ import annotations
 
+from collections.abc import Callable, Iterable, Iterator
+
 import numpy as np
 
 HIDDEN = 24
@@ -244,10 +246,16 @@ def loss_and_gradient(w: dict, x: np.ndarray, plain: np.ndarray, own: np.ndarray
     return loss, grad
 
 
-def train_recurrent(x: np.ndarray, plain: np.ndarray, own: np.ndarray, y: np.ndarray, mask: np.ndarray, elapsed: bool = True, width: int = 16, steps: int = 120, batch: int = 256, seed: int = 5) -> dict:
+def train_recurrent(x: np.ndarray, plain: np.ndarray, own: np.ndarray, y: np.ndarray, mask: np.ndarray, **options) -> dict:
+    """:func:`train_by_parts` on one part."""
+    return train_by_parts(lambda: [(x, plain, own, y, mask)], **options)
+
+
+def train_by_parts(parts: Callable[[], Iterable[tuple[np.ndarray, ...]]], elapsed: bool = True, width: int = 16, steps: int = 120, batch: int = 256, seed: int = 5) -> dict:
     """Recurrent weights and match net by back-propagation through time (Adam); positives weigh as much as negatives.
 
-    Batches go through all sequences in an order drawn by seed, then through another: ``steps`` of them, or more until every sequence was in one.
+    ``parts()`` goes through the sequences in parts (x, plain, own, y, mask), each mixed from all of them, so that one is held at a time. Batches go through
+    a part in an order drawn by seed: ``steps`` of them with as many passes as that takes, or those of one pass if they are more.
     """
     rng = np.random.default_rng(seed)
     w = {
@@ -255,18 +263,28 @@ def train_recurrent(x: np.ndarray, plain: np.ndarray, own: np.ndarray, y: np.nda
         "c": rng.normal(0, 0.3, width), "d": np.zeros(1),
     }
     m, v = ({k: np.zeros_like(a) for k, a in w.items()} for _ in range(2))
-    order = np.zeros(0, int)
-    for t in range(1, max(steps, -(-len(x) // batch)) + 1):
-        if not len(order):
-            order = rng.permutation(len(x))
-        pick, order = order[:batch], order[batch:]
-        known, right = mask[pick].astype(float), y[pick].astype(float)
-        positive = known * (right > 0)
-        negative = known - positive
-        weight = positive * 0.5 / max(1.0, positive.sum()) + negative * 0.5 / max(1.0, negative.sum())
-        _, grad = loss_and_gradient(w, x[pick].astype(float), plain[pick].astype(float), own[pick].astype(float), right, weight)
-        for k in w:
-            m[k] = 0.9 * m[k] + 0.1 * grad[k]
-            v[k] = 0.99 * v[k] + 0.01 * grad[k] ** 2
-            w[k] = w[k] - 0.02 * (m[k] / (1 - 0.9**t)) / (np.sqrt(v[k] / (1 - 0.99**t)) + 1e-8)
+
+    def drawn() -> Iterator[tuple[np.ndarray, ...]]:
+        for part in parts():
+            order = rng.permutation(len(part[0]))
+            for at in range(0, len(order), batch):
+                yield tuple(a[order[at : at + batch]].astype(float) for a in part)
+
+    t, passes = 0, 0
+    while t < steps:
+        for x, plain, own, y, mask in drawn():
+            if passes and t == steps:
+                break
+            t += 1
+            positive = mask * (y > 0)
+            negative = mask - positive
+            weight = positive * 0.5 / max(1.0, positive.sum()) + negative * 0.5 / max(1.0, negative.sum())
+            _, grad = loss_and_gradient(w, x, plain, own, y, weight)
+            for k in w:
+                m[k] = 0.9 * m[k] + 0.1 * grad[k]
+                v[k] = 0.99 * v[k] + 0.01 * grad[k] ** 2
+                w[k] = w[k] - 0.02 * (m[k] / (1 - 0.9**t)) / (np.sqrt(v[k] / (1 - 0.99**t)) + 1e-8)
+        passes += 1
+        if not t:
+            raise ValueError("no sequences to learn from")
     return w | {"elapsed": elapsed}

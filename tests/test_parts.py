@@ -347,7 +347,7 @@ def test_matcher_learns_from_every_sequence(spark, monkeypatch):
     assert len(seen) == 50
 
     fitted = []
-    monkeypatch.setattr(trial, "train_recurrent", lambda *parts, **options: fitted.append(len(parts[0])) or {})
+    monkeypatch.setattr(trial, "train_by_parts", lambda parts, **options: fitted.append(sum(len(p[0]) for p in parts())) or {})
     trial.train(spark, DATA, clips=60)
     boxes = detections(spark, DATA, "train", clips=60).toPandas()
     assert fitted == [sum(len(loop.training_sequences(own)[0]) for _, own in boxes.groupby(["scene", "clip"]))] and fitted[0] > 800
